@@ -86,3 +86,9 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, most_bytes: int) -> I
 def utf8(column: pa.Array) -> list[bytes]:
     """The UTF-8 bytes of a string column, a null as the empty string."""
     return column.cast(pa.binary()).fill_null(b"").to_pylist()
+
+
+def rows_of(batch: pa.RecordBatch) -> Iterator[dict]:
+    """The rows of a batch of few but large rows, one Python copy at a time."""
+    for i in range(batch.num_rows):
+        yield batch.slice(i, 1).to_pylist()[0]

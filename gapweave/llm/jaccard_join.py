@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import mix64, pack, pack_sorted, range_bounds, unpack, unpack_sorted
-from .common import materialise, scratch_root, slices, utf8
+from .common import materialise, rows_of, scratch_root, slices, utf8
 from .components import connected_components
 from .interpolation import _forget
 
@@ -118,7 +118,7 @@ def _block_keys(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
 def _ask(blocks: DataFrame, ranges: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in rows_of(batch):
                 keys, _, _, counts = _block_keys(row)
                 at = range_bounds(keys, ranges)
                 out = [(r, row["block"], int(b - a), pack_sorted(keys[a:b]), pack(counts[a:b])) for r, (a, b) in enumerate(zip(at, at[1:], strict=False)) if b > a]
@@ -181,7 +181,7 @@ def postings(nodes: DataFrame, percent: int, most_l: int, costly: int, block_key
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in rows_of(batch):
                 keys, where, starts, _ = _block_keys(row)
                 totals = np.concatenate([unpack(a["totals"], a["n"]) for a in sorted(row["answers"], key=lambda a: a["range"])]).astype(np.int64)
                 frequency = totals[where]
