@@ -18,7 +18,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, word_count
+from .common import BLANKS, materialise, word_count
 
 #: Sources that the driver may hold (a row of four numbers each) while it fills them.
 MAX_SOURCES = 1_000_000
@@ -47,30 +47,28 @@ def water_fill(sizes: Sequence[float], weights: Sequence[float], budget: float,
     return targets
 
 
-def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), budget_share: float = 1.5, max_epochs: float = 2.0, seed: int = 17, buckets: int = 4096) -> DataFrame:
-    """One row per document: doc_id, source, size, source_size, target, taken, repeats, part.
+def _sized(docs: DataFrame, seed: int, buckets: int) -> DataFrame:
+    """``docs`` with _source, _size (words), _draw (a seeded hash) and _bucket."""
+    rows = docs.withColumns({"_source": F.col("source").cast("string"), "_size": word_count("text")})
+    rows = rows.withColumn("_draw", F.xxhash64(F.lit(seed), F.col("doc_id").cast("long"), F.col("_size")))
+    return rows.withColumn("_bucket", F.pmod("_draw", F.lit(buckets)).cast("int"))
 
-    ``weights`` repeat over the sources in code point order, null last. ``taken`` is the number of words that the
-    mix takes, repetitions counted: ``repeats`` times the whole text and ``part`` words more.
-    """
-    spark = docs.sparkSession
-    sized = docs.select(F.col("doc_id").cast("long"), F.col("source").cast("string"), word_count("text").alias("size"))
-    sized = sized.withColumn("draw", F.xxhash64(F.lit(seed), F.col("doc_id"), F.col("size")))
-    sized = materialise(sized.withColumn("bucket", F.pmod("draw", F.lit(buckets)).cast("int")), "sizes")
 
-    by_source = sized.groupBy("source").agg(F.sum("size").alias("n"))
-    listed = by_source.limit(MAX_SOURCES + 1).collect()
+def source_rates(sized: DataFrame, weights: Sequence[float], budget_share: float, max_epochs: float) -> DataFrame:
+    """One row per source: its size, target, whole repetitions, and the threshold of its fractional repetition."""
+    spark = sized.sparkSession
+    listed = sized.groupBy("_source").agg(F.sum("_size").alias("n")).limit(MAX_SOURCES + 1).collect()
     if len(listed) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources: mix groups of sources instead")
-    listed.sort(key=lambda r: (r.source is None, (r.source or "").encode()))
+    listed.sort(key=lambda r: (r._source is None, (r._source or "").encode()))
     sizes = [int(r.n) for r in listed]
     targets = water_fill(sizes, [float(weights[i % len(weights)]) for i in range(len(listed))], budget_share * sum(sizes), max_epochs)
-    plan = [(i, r.source, n, t, *_whole_and_rest(t, n)) for i, (r, n, t) in enumerate(zip(listed, sizes, targets, strict=True))]
-    plan_df = spark.createDataFrame(plan, "source_no int, source string, source_size long, target double, whole long, rest double")
+    plan = [(r._source, n, t, *_whole_and_rest(t, n)) for r, n, t in zip(listed, sizes, targets, strict=True)]
+    plan_df = spark.createDataFrame(plan, "source string, source_size long, target double, whole long, rest double")
 
     # The threshold of the fractional repetition, from a histogram of words by hash bucket.
-    filled = sized.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
-    steps = filled.groupBy("source").agg(F.array_sort(F.collect_list(F.struct("bucket", "words"))).alias("steps"))
+    filled = sized.groupBy("_source", "_bucket").agg(F.sum("_size").alias("words"))
+    steps = filled.groupBy("_source").agg(F.array_sort(F.collect_list(F.struct(F.col("_bucket").alias("bucket"), "words"))).alias("steps"))
     start = F.struct(F.lit(0.0).alias("below"), F.lit(-1).alias("edge"), F.lit(0.0).alias("share"))
 
     def step(acc, x):  # words below the threshold so far; the bucket in which the rest is reached, and its share
@@ -82,26 +80,57 @@ def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), budget_share: flo
         )
 
     rates = (
-        plan_df.join(steps.withColumnRenamed("source", "_source"), F.col("source").eqNullSafe(F.col("_source")), "left")
+        plan_df.join(steps, F.col("source").eqNullSafe(F.col("_source")), "left")
         .withColumn("found", F.aggregate(F.coalesce("steps", F.array().cast("array<struct<bucket:int,words:bigint>>")), start, step))
-        .select(F.col("source").alias("_source"), "source_size", "target", "whole", "rest", F.col("found.edge").alias("edge"), F.col("found.share").alias("share"))
+        .select(F.col("source").alias("_of"), "source_size", "target", "whole", "rest", F.col("found.edge").alias("edge"), F.col("found.share").alias("share"))
     )
-    rates = materialise(rates.coalesce(1), "rates")
-    # One row a source: adaptive execution broadcasts it if it is small, and else splits hot sources in a sort-merge join.
-    met = sized.join(rates, F.col("source").eqNullSafe(F.col("_source")))
+    return materialise(rates.coalesce(1), "rates")
+
+
+def _taken(sized: DataFrame, rates: DataFrame, seed: int) -> DataFrame:
+    """``sized`` with repeats (of the whole text) and part (words of one repetition more).
+
+    Rates have one row a source: adaptive execution broadcasts them if they are small, and else splits hot sources in
+    a sort-merge join.
+    """
+    met = sized.join(rates, F.col("_source").eqNullSafe(F.col("_of")))
     past = (F.col("edge") < 0) & (F.col("rest") > 0)  # the whole histogram lies below the threshold
-    unit = F.pmod(F.xxhash64(F.lit(seed + 1), F.col("draw")), F.lit(1 << 20)) / F.lit(float(1 << 20))
-    once_more = past | (F.col("bucket") < F.col("edge"))
-    part = F.when(~once_more & (F.col("bucket") == F.col("edge")), F.least(F.col("size"), F.floor(F.col("size") * F.col("share") + unit))).otherwise(F.lit(0))
-    return met.select(
-        "doc_id",
-        "source",
-        "size",
-        "source_size",
-        "target",
-        (F.col("whole") + F.when(once_more, 1).otherwise(0)).cast("long").alias("repeats"),
-        part.cast("long").alias("part"),
-    ).withColumn("taken", (F.col("repeats") * F.col("size") + F.col("part")).cast("long"))
+    unit = F.pmod(F.xxhash64(F.lit(seed + 1), F.col("_draw")), F.lit(1 << 20)) / F.lit(float(1 << 20))
+    once_more = past | (F.col("_bucket") < F.col("edge"))
+    part = F.when(~once_more & (F.col("_bucket") == F.col("edge")), F.least(F.col("_size"), F.floor(F.col("_size") * F.col("share") + unit))).otherwise(F.lit(0))
+    return met.withColumns({"repeats": (F.col("whole") + F.when(once_more, 1).otherwise(0)).cast("long"), "part": part.cast("long")})
+
+
+def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), budget_share: float = 1.5, max_epochs: float = 2.0, seed: int = 17, buckets: int = 4096) -> DataFrame:
+    """One row per document: doc_id, source, size, source_size, target, repeats, part, taken.
+
+    ``weights`` repeat over the sources in code point order, null last. ``taken`` is the number of words that the
+    mix takes, repetitions counted: ``repeats`` times the whole text and ``part`` words more.
+    """
+    sized = _sized(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", "text"), seed, buckets)
+    sized = materialise(sized.select("doc_id", "_source", "_size", "_draw", "_bucket"), "sizes")
+    taken = _taken(sized, source_rates(sized, weights, budget_share, max_epochs), seed)
+    shown = taken.select("doc_id", F.col("_source").alias("source"), F.col("_size").alias("size"), "source_size", "target", "repeats", "part")
+    return shown.withColumn("taken", (F.col("repeats") * F.col("size") + F.col("part")).cast("long"))
+
+
+def mix_rows(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), budget_share: float = 1.5, max_epochs: float = 2.0, seed: int = 17, buckets: int = 4096) -> DataFrame:
+    """The mix itself: the rows of ``docs``, all columns, as often as the mix takes them.
+
+    A repetition in part is a row whose text is the document's first words, joined by single blanks. Texts stay where
+    they lie: only the rates are joined to them.
+    """
+    columns = docs.columns
+    sizes = materialise(_sized(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", "text"), seed, buckets).select("_source", "_size", "_bucket"), "sizes")
+    taken = _taken(_sized(docs, seed, buckets), source_rates(sizes, weights, budget_share, max_epochs), seed)
+    copies = F.col("repeats") + F.when(F.col("part") > 0, 1).otherwise(0)
+    rows = taken.where(copies > 0).withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), copies)))
+    partial = F.col("_copy") > F.col("repeats")
+    words = F.split(F.btrim(F.col("text"), F.lit(BLANKS)), r"[\x20\x09-\x0D]+")
+    rows = rows.withColumn("text", F.when(partial, F.array_join(F.slice(words, F.lit(1), F.greatest(F.lit(1), F.col("part")).cast("int")), " ")).otherwise(F.col("text")))
+    if "n_chars" in columns:
+        rows = rows.withColumn("n_chars", F.when(partial, F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return rows.select(*[F.col(f"`{c}`") for c in columns])
 
 
 def _whole_and_rest(target: float, size: int) -> tuple[int, float]:
