@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import hash_words, mix64, pack, pack_sorted, range_bounds, unpack, unpack_sorted
-from .common import in_fold, materialise, scratch_root, slices, utf8
+from .common import in_fold, materialise, rows_of, scratch_root, slices, utf8
 
 #: Tokens that no text can hold, because words have no blanks.
 BEGIN, END = b" begin", b" end"
@@ -137,7 +137,7 @@ def ask(blocks: DataFrame, ranges: int) -> DataFrame:
 
     def requests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in rows_of(batch):
                 block = _Block(row)
                 for kind in (0, 1):
                     keys, counts = block.local(kind)
@@ -233,7 +233,7 @@ def _scores(block: _Block, words: np.ndarray, pairs: np.ndarray, n_tokens: int,
     return pa.record_batch(columns, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
 
-def score(docs: DataFrame, modulus: int = 7, held: int = 2, block_bytes: int = 16 << 20, keys_per_range: int = 1 << 20) -> DataFrame:
+def score(docs: DataFrame, modulus: int = 7, held: int = 2, block_bytes: int = 6 << 20, keys_per_range: int = 1 << 20) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -255,7 +255,7 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2, block_bytes: int = 1
 
     def bins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in rows_of(batch):
                 code, count = held_out_bins(*_answered(row), n_tokens, n_words)
                 yield pa.record_batch([pa.array(code, pa.int64()), pa.array(count, pa.int64())], names=["code", "n"])
 
@@ -264,7 +264,7 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2, block_bytes: int = 1
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in rows_of(batch):
                 yield _scores(*_answered(row), n_tokens, n_words, weights)
 
     return joined.mapInArrow(scored, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
