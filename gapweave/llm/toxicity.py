@@ -71,14 +71,13 @@ class OrdinalModel:
 
 def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, least_z: float = 4.0, most_features: int = 20000, l2: float = 0.5, steps: int = 400, rate: float = 0.1) -> OrdinalModel:
     """Fit by full-batch Adam on the penalised likelihood. Without both classes the model is empty."""
-    counts = [features(t) for t in texts]
     y = np.array(toxic, dtype=int)
     n1, n0 = int(y.sum()), int((1 - y).sum())
     if not n1 or not n0:
         return OrdinalModel()
     df1, df0 = Counter(), Counter()
-    for c, t in zip(counts, toxic, strict=True):
-        (df1 if t else df0).update(c.keys())
+    for text, t in zip(texts, toxic, strict=True):  # features are found again below: holding those of all texts takes much memory
+        (df1 if t else df0).update(features(text).keys())
     scored = []
     for f in df1.keys() | df0.keys():
         a, b = df1[f], df0[f]
@@ -93,17 +92,19 @@ def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, le
         return OrdinalModel()
     column = {f: j for j, (_, f, _) in enumerate(kept)}
     indicative = {f for _, f, z in kept if z > 0 and df1[f] / n1 > 4 * df0[f] / n0}
-    dose = np.array([sum(n for f, n in c.items() if f in indicative) / max(1, sum(c.values())) for c in counts])
-    middle = float(np.median(dose[y == 1]))
-    grade = np.where(y == 1, np.where(dose > middle, 2, 1), 0)
+    del df1, df0, scored
 
-    rows, cols, values = [], [], []
-    for i, c in enumerate(counts):
-        for f, n in c.items():
+    dose, rows, cols, values = np.zeros(len(texts)), [], [], []
+    for i, text in enumerate(texts):
+        found = features(text)
+        dose[i] = sum(n for f, n in found.items() if f in indicative) / max(1, sum(found.values()))
+        for f, n in found.items():
             if f in column:
                 rows.append(i)
                 cols.append(column[f])
                 values.append(1.0 + math.log(n))
+    middle = float(np.median(dose[y == 1]))
+    grade = np.where(y == 1, np.where(dose > middle, 2, 1), 0)
     r, j, v = np.array(rows, dtype=int), np.array(cols, dtype=int), np.array(values)
     n, m = len(texts), len(column)
     w, cut = np.zeros(m), np.array([1.0, 0.0])  # theta_0 and log(theta_1 - theta_0)
