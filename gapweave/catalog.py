@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .queries import windows
+from .queries import patterns, windows
 
-MODULES = (windows,)
+MODULES = (windows, patterns)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
