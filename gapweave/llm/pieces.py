@@ -37,12 +37,19 @@ def default_model() -> str:
 
 
 class Vocabulary:
-    """Pieces with scores, their beginnings, and the byte pieces."""
+    """Pieces with scores, a trie of them, and the byte pieces. A byte piece must score below every other."""
 
     def __init__(self, pieces: dict[str, tuple[int, float]], byte_ids: list[int], byte_score: float) -> None:
         self.pieces, self.byte_ids, self.byte_score = pieces, byte_ids, byte_score
         self.longest = max(map(len, pieces), default=1)
-        self.beginnings = {p[:k] for p in pieces for k in range(1, len(p) + 1)}
+        self.single = {p for p in pieces if len(p) == 1}
+        #: Children by character; under the empty string the (id, score) of the piece that ends there.
+        self.trie: dict = {}
+        for p, hit in pieces.items():
+            node = self.trie
+            for c in p:
+                node = node.setdefault(c, {})
+            node[""] = hit
         self.spelling = {i: p.replace(BLANK, " ").encode() for p, (i, _) in pieces.items()} | {i: bytes([b]) for b, i in enumerate(byte_ids)}
         #: No piece runs over the end of a word, so every word end is a boundary on all paths.
         self.words_stand_alone = not any(a != BLANK and b == BLANK for p in pieces for a, b in zip(p, p[1:], strict=False))
@@ -63,80 +70,96 @@ class Vocabulary:
 
 
 class StreamingViterbi:
-    """Best segmentation of a stream of characters, in memory bounded by the longest piece and the open stretch.
+    """Best segmentation of a stream of text, in memory bounded by the longest piece and the open stretch.
 
-    A boundary's best path ends in the best last piece; ties go to the longer piece. ``peak`` is the largest number
-    of boundaries held at once.
+    Boundaries are taken in order; the pieces that begin at one are followed along a trie, so scores are kept only for
+    the boundaries that a piece from behind has reached, at most the longest piece ahead. These are the survivors; once
+    the open stretch is some pieces long, their back pointers are walked to the boundary that all share, and what lies
+    before it is committed. Ties go to the longer last piece. ``peak`` is the longest open stretch so far.
     """
 
-    def __init__(self, vocabulary: Vocabulary) -> None:
-        self.v = vocabulary
-        self.peak = 0
-
-    def encode(self, chars: Iterable[str]) -> Iterator[list[int]]:
-        """Lists of ids, each yielded as soon as it is certain."""
-        v = self.v
-        text = ""  # the open stretch, from the last committed boundary on
-        score: list[float] = [0.0]  # best score of each boundary of the stretch
-        back: list[int] = [-1]  # the boundary before it
-        for c in chars:
-            text += c
+    def __init__(self, vocabulary: Vocabulary, check: int | None = None) -> None:
+        self.v, self.check, self.peak = vocabulary, check or 2 * vocabulary.longest, 0
+
+    def encode(self, stream: Iterable[str]) -> Iterator[list[int]]:
+        """Lists of ids, each yielded as soon as it is certain. ``stream`` gives the text in parts of any size."""
+        parts, ended = iter(stream), False
+        trie, longest, byte_score, low = self.v.trie, self.v.longest, self.v.byte_score, float("-inf")
+        text, at = "", 0  # the open stretch, and the boundary whose pieces come next
+        score, back, ids = [0.0], [-1], [-1]  # of each boundary reached: best score, boundary before it, last piece
+        while True:
+            while not ended and len(text) < at + longest:
+                part = next(parts, None)
+                ended = part is None
+                text += part or ""
             end = len(text)
-            best, come = score[end - 1] + v.byte_score * len(c.encode()), end - 1
-            for begin in range(max(0, end - v.longest), end):
-                hit = v.pieces.get(text[begin:end])
-                if hit is not None and (s := score[begin] + hit[1]) > best:
-                    best, come = s, begin
-            score.append(best)
-            back.append(come)
-            self.peak = max(self.peak, len(score))
-            meeting = self._meeting(back, text)
-            if meeting:
-                yield self._ids(text[:meeting], back[: meeting + 1])
-                text = text[meeting:]
-                floor = score[meeting]
-                score = [s - floor for s in score[meeting:]]
-                back = [-1, *(b - meeting for b in back[meeting + 1 :])]
+            if at == end:
+                break
+            own, node, j = score[at], trie, at
+            while j < end:
+                node = node.get(text[j])
+                if node is None:
+                    break
+                j += 1
+                if j == len(score):
+                    score.append(low)
+                    back.append(-1)
+                    ids.append(-1)
+                hit = node.get("")
+                if hit is not None and own + hit[1] > score[j]:
+                    score[j], back[j], ids[j] = own + hit[1], at, hit[0]
+            if at + 1 == len(score):
+                score.append(low)
+                back.append(-1)
+                ids.append(-1)
+            if text[at] not in self.v.single and (s := own + byte_score * len(text[at].encode())) > score[at + 1]:
+                score[at + 1], back[at + 1], ids[at + 1] = s, at, -1
+            at += 1
+            if at >= self.check and at % longest == 0:
+                self.peak = max(self.peak, len(score))
+                meeting = self._meeting(at, score, back)
+                if meeting:
+                    yield self._ids(text, back, ids, meeting)
+                    floor, at = score[meeting], at - meeting
+                    text, ids = text[meeting:], ids[meeting:]
+                    score = [s - floor for s in score[meeting:]]
+                    back = [b - meeting for b in back[meeting:]]
+        self.peak = max(self.peak, len(score))
         if text:
-            yield self._ids(text, back)
+            yield self._ids(text, back, ids, len(text))
 
-    def _meeting(self, back: list[int], text: str) -> int:
-        """The last boundary that the paths of all surviving boundaries share; 0 if none but the start.
-
-        A boundary survives if a piece may still begin there and run past the end.
-        """
-        end = len(text)
-        alive = [b for b in range(max(0, end - self.v.longest + 1), end + 1) if b == end or text[b:] in self.v.beginnings]
-        spots = set(alive)
+    @staticmethod
+    def _meeting(at: int, score: list[float], back: list[int]) -> int:
+        """The last boundary that the best paths of all survivors run through; 0 if only the start."""
+        spots = {b for b in range(at, len(score)) if score[b] > float("-inf")}
         while len(spots) > 1:  # walk the furthest path back until all stand on one boundary
             far = max(spots)
             spots.remove(far)
-            spots.add(back[far] if far else 0)
+            spots.add(back[far] if far > 0 else 0)
         return spots.pop()
 
-    def _ids(self, text: str, back: list[int]) -> list[int]:
-        cuts, at = [len(text)], len(text)
-        while at > 0:
-            at = back[at]
-            cuts.append(at)
-        cuts.reverse()
+    def _ids(self, text: str, back: list[int], ids: list[int], to: int) -> list[int]:
         out: list[int] = []
-        for a, b in zip(cuts, cuts[1:], strict=False):
-            piece = self.v.pieces.get(text[a:b])
-            out.extend([piece[0]] if piece else [self.v.byte_ids[x] for x in text[a:b].encode()])
+        while to > 0:
+            if ids[to] >= 0:
+                out.append(ids[to])
+            else:
+                out.extend(self.v.byte_ids[x] for x in reversed(text[back[to] : to].encode()))
+            to = back[to]
+        out.reverse()
         return out
 
 
 class Codec:
     """Encoder and decoder of one worker. Words are searched once and remembered, up to ``most`` words."""
 
-    def __init__(self, vocabulary: Vocabulary, most: int = 300_000) -> None:
-        self.v, self.most = vocabulary, most
+    def __init__(self, vocabulary: Vocabulary, most: int = 600_000) -> None:
+        self.v, self.most, self.viterbi = vocabulary, most, StreamingViterbi(vocabulary)
         self.known: dict[str, bytes] = {}
 
     def _search(self, unit: str) -> bytes:
         ids = array("i")
-        for part in StreamingViterbi(self.v).encode(unit):
+        for part in self.viterbi.encode((unit,)):
             ids.extend(part)
         return ids.tobytes()
 
