@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .queries import patterns, windows
+from .queries import imputation, patterns, windows
 
-MODULES = (windows, patterns)
+MODULES = (windows, patterns, imputation)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -8,13 +8,13 @@ acceptance: windows propose in rounds, and a cluster holds the first proposals,
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.gapdtw import ranked
 from ..functions.hashing import SEEDS, draw
+from ..sources.scratch import materialise
 from .bounds import observable_ratio
 
 
@@ -40,14 +40,13 @@ def proposals(wins: DataFrame, distances, mask: float, w: int, gamma_rule: str =
     )
 
 
-def assign_incomplete(proposed: DataFrame, need: float, max_size: int, overflow: str = "smallest", keep: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+def assign_incomplete(proposed: DataFrame, need: float, max_size: int, overflow: str = "smallest") -> DataFrame:
     """(series_id, win, cluster, dist, choice_rank, gamma, no_evidence) of the windows admitted.
 
     Rounds run on the sample only. A round first keeps, by cluster, the ``max_size`` first proposals in hash order (a
-    bounded group), and then sums their shares. ``keep`` cuts a round's lineage (a write to shared storage, say).
+    bounded group), and then sums their shares. Each round is written to shared storage, which cuts its lineage.
     """
-    keep = keep or (lambda df: df.cache())
-    state = keep(proposed.withColumn("at", F.lit(1)))
+    state = materialise(proposed.withColumn("at", F.lit(1)), "proposals")
     clusters = (state.agg(F.max(F.size("choices"))).first()[0]) or 0
     order = Window.partitionBy("cluster").orderBy("h", "series_id", "win")
     while True:
@@ -56,7 +55,7 @@ def assign_incomplete(proposed: DataFrame, need: float, max_size: int, overflow:
         before = F.sum("gamma").over(order.rowsBetween(Window.unboundedPreceding, -1))
         held = first.withColumn("before", F.coalesce(before, F.lit(0.0))).where(F.col("before") < need).select("series_id", "win", F.lit(True).alias("held"))
         state_next = state.join(held, ["series_id", "win"], "left").withColumn("rejected", F.col("held").isNull() & (F.col("at") <= clusters))
-        state_next = keep(state_next.withColumn("at", F.col("at") + F.col("rejected").cast("int")).drop("held"))
+        state_next = materialise(state_next.withColumn("at", F.col("at") + F.col("rejected").cast("int")).drop("held"), "round")
         if not state_next.where("rejected").limit(1).count():
             break
         state = state_next.drop("rejected")

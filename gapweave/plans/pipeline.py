@@ -14,6 +14,7 @@ from ..functions.gapdtw import distances_to, euclid_to, gap_dtw, nearest
 from ..learners.core import LEARNERS, pack_params, unpack_params
 from ..operators import assign, bounds, cluster, minmask, patterns, series
 from ..schemas import MODELS
+from ..sources.scratch import materialise
 
 #: The model that imputes windows without a cluster model.
 GLOBAL = -1
@@ -33,9 +34,10 @@ class Prepared:
 
 def prepare(wins: DataFrame, w: int, k: int | None = None, kmax: int = 6, eps: float = 0.03, delta: float = 0.1, mask: float = 0.1, max_size: int = 10_000, distance: str = "dtw", overflow: str = "smallest") -> Prepared:
     """Cluster the complete training windows, sample the incomplete ones to the bound, and assign them under it."""
-    wins = series.normalise(wins).cache()
+    wins = materialise(series.normalise(wins), "windows")
     train = wins.where(~series.holdout())
-    complete = cluster.training_sample(train.where("complete").select("series_id", "win", "z")).cache()
+    complete = cluster.training_sample(train.where("complete").select("series_id", "win", "z"))
+    complete = materialise(complete, "complete")
     if not complete.limit(1).count():
         raise series.NoCompleteWindows("no complete training window")
     if k is None:
@@ -49,7 +51,7 @@ def prepare(wins: DataFrame, w: int, k: int | None = None, kmax: int = 6, eps: f
     share = gone.agg(F.avg((F.lit(w) - F.col("n_obs")) / w)).first()[0] or 0.0
     sample = assign.sample_incomplete(gone, len(centroids), need, (1 - share) * (1 - mask))
     measured = distances_to("z", centroids) if distance == "dtw" else euclid_to("z", centroids)
-    assigned = assign.assign_incomplete(assign.proposals(sample, measured, mask, w), need, max_size, overflow)
+    assigned = materialise(assign.assign_incomplete(assign.proposals(sample, measured, mask, w), need, max_size, overflow), "assigned")
     return Prepared(w, wins, centroids, labelled, assigned, need)
 
 
@@ -73,13 +75,13 @@ def train(p: Prepared, learner: str = "gaussian", gate: float = 2 / 3, on_unstru
     """
     w = p.w
     inc = p.windows.select("series_id", "win", "words").join(p.assigned.select("series_id", "win", "cluster"), ["series_id", "win"])
-    found = patterns.structure(patterns.compared(inc, w), gate).cache()
+    found = materialise(patterns.structure(patterns.compared(inc, w), gate), "structure")
     pairs = patterns.pair(inc, p.complete.select("cluster", "series_id", "win", "z"))
     if on_unstructured == "drop":
         pairs = patterns.keep_structured(pairs, found)
-    pairs = pairs.cache()
+    pairs = materialise(pairs, "pairs")
     masks, _ = minmask.min_mask_search(pairs, w, learner, schedule, runs)
-    masks = masks.cache()
+    masks = materialise(masks, "masks")
     sets = pairs.join(F.broadcast(masks.select("cluster", "mask")), "cluster")
     sets = patterns.masked_sets(sets, w, F.col("mask")).where(F.col("role").isin(*roles)).select("cluster", "x_in", "y")
     extra = patterns.artificial_mask(w, 0.1, "series_id", "win")
