@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .queries import imputation, patterns, windows
+from .queries import imputation, patterns, relational, streams, windows
 
-MODULES = (windows, patterns, imputation)
+MODULES = (windows, patterns, imputation, relational, streams)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
