@@ -25,6 +25,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
+from numpy.lib.stride_tricks import sliding_window_view
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -35,7 +36,7 @@ from .interpolation import _forget
 
 NO_ID = -(1 << 63)
 #: Positions hashed at once.
-TILE = 1 << 21
+TILE = 1 << 18
 
 
 # ---- deep-shallow sorting -------------------------------------------------------------------------------------
@@ -102,7 +103,7 @@ class BlindTrie:
 
 def _words(text: np.ndarray, starts: np.ndarray, skip: int) -> np.ndarray:
     """Eight bytes after ``skip`` as one big-endian number; ``text`` must be padded."""
-    eight = text[starts[:, None] + np.arange(skip, skip + 8)]
+    eight = sliding_window_view(text, 8)[starts + skip]
     return np.ascontiguousarray(eight).view(">u8").reshape(-1).astype(np.uint64)
 
 
@@ -124,7 +125,7 @@ def deep_shallow(text: np.ndarray, starts: np.ndarray, length: int, shallow: int
     if not len(order):
         return order, group
     edges = np.append(np.flatnonzero(np.diff(group, prepend=-1)), len(order))
-    tails = text[starts[order][:, None] + np.arange(shallow, length)] if shallow < length else np.zeros((len(order), 0), dtype=np.uint8)
+    tails = sliding_window_view(text, length - shallow)[starts[order] + shallow] if shallow < length else np.zeros((len(order), 0), dtype=np.uint8)
     same = np.ones(len(order), dtype=bool)
     same[1:] = (tails[1:] == tails[:-1]).all(axis=1) | (group[1:] != group[:-1])
     ragged = np.unique(group[~same])
@@ -197,7 +198,6 @@ def anchor_runs(data: np.ndarray, ends: np.ndarray, length: int, gram: int) -> t
 
     ``data`` holds documents end to end; a string never crosses a document's end.
     """
-    begins = np.concatenate([[0], ends[:-1]])
     out: list[tuple] = []
     for tile in range(0, max(0, len(data) - length + 1), TILE):
         part = data[tile : tile + TILE + length - 1]
@@ -212,10 +212,9 @@ def anchor_runs(data: np.ndarray, ends: np.ndarray, length: int, gram: int) -> t
         at = np.flatnonzero(new)
         stop = np.append(at[1:], len(anchor)) - 1
         use = ok[at]
-        out.append((doc[at][use], tile + at[use], tile + stop[use], h[anchor[at]][use]))
+        out.append((doc[at][use], tile + at[use], tile + stop[use], mix64(h[anchor[at]][use])))  # least hashes are small: mixed again, keys spread
     if not out:
         return (np.zeros(0, dtype=np.int64),) * 3 + (np.zeros(0, dtype=np.uint64),)
-    del begins
     return tuple(np.concatenate(c) for c in zip(*out, strict=True))
 
 
@@ -431,7 +430,7 @@ def _resolver(length: int):
     return resolve
 
 
-def remove_repeats(docs: DataFrame, length: int = 50, gram: int = 20, block_bytes: int = 4 << 20, anchors_per_range: int = 1 << 19, with_spans: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = 50, gram: int = 20, block_bytes: int = 3 << 20, anchors_per_range: int = 1 << 18, with_spans: bool = False) -> DataFrame:
     """One row per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256; with ``with_spans`` also spans, the removed [begin, end)."""
     if not 0 < gram < length:
         raise ValueError("the gram must be shorter than the repeated string")
