@@ -261,7 +261,7 @@ QUERIES = {
     "exp_clustered_gain": _grid(("planted_truth",), ("stationarised",), ("direct", "framework"), ("mcar",), (0.1,)),
     "exp_planted_order": _grid(("planted",), ("gaussian", "profile", "mean"), ("direct", "framework"), ("natural",), (0.5,)),
     "exp_surveyed_learners": _grid(("planted_truth",), ("decay_recurrent", "lag_decomposed", "multiscale", "locf", "nocb", "linear", "window_mean"), ("direct", "framework")),
-    "ablation_grid": _grid(("planted",), ("gaussian",), ("framework", "one_cluster", "projection_only", "mask_only"), ("natural",), (0.5,)),
+    "ablation_grid": _grid(("planted",), ("gaussian", "bidirectional", "attention"), ("framework", "one_cluster", "projection_only", "mask_only"), ("natural",), (0.5,)),
 }
 ORACLES = {
     **{f"impute_{k}": f"{_BASE} SELECT series_id, win, CAST(pos AS BIGINT) AS pos, round(pred, 6) AS pred FROM ({q})" for k, q in _PRED.items()},
