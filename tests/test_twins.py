@@ -7,7 +7,7 @@ import pytest
 
 from gapweave import catalog
 
-FAST = ["wl_supplier_week", "wl_type_hour_count", "zscore_windows", "lloyd_two_steps", "assign_first_choice", "pair_reuse", "structure_ratio", "masked_sets_counts", "mcar_exact_50", "mnar_value_50", "mnar_burst_50", "gap_runs", "impute_linear", "impute_locf", "pair_moments", "token_counts", "windows_needed", "waterfill_sizes", "join_asof", "join_interval", "agg_cube", "fn_array", "win_range"]
+FAST = ["wl_supplier_week", "wl_type_hour_count", "zscore_windows", "lloyd_two_steps", "assign_first_choice", "pair_reuse", "structure_ratio", "masked_sets_counts", "mcar_exact_50", "mnar_value_50", "mnar_burst_50", "gap_runs", "impute_linear", "impute_locf", "pair_moments", "windows_needed", "waterfill_sizes", "join_asof", "join_interval", "agg_cube", "fn_array", "win_range"]
 STREAMS = ["stream_tumbling", "stream_sessions", "stream_dedup", "stream_join", "stream_carry_forward"]
 
 
