@@ -4,8 +4,9 @@ Two sets link when their Jaccard similarity reaches a threshold. All sets share
 two sets link, then for every l their first n - need + l shingles have l in common, where need is the overlap that
 the threshold asks of a set of n. A document may therefore leave k frequent, costly shingles out of its posting
 list if it takes l = k + m: at least m of the others are shared with any partner. Each document picks the l that its
-own shingles' document frequencies make cheapest, and a pair must share as many posted shingles as its less
-demanding side asks before the full sets are compared.
+own shingles' document frequencies make cheapest, and a pair must share as many posted shingles as the side with the
+shorter prefix asks before the full sets are compared. A document whose longest prefix holds too few shingles that any
+other set has is linked with nothing and posts none.
 
 What keeps the work linear: equal sets are one node from the start; a list of documents is first compared with one
 pivot, the document whose shingles are the most frequent in the lists, then with a few others; only pairs from
@@ -43,7 +44,7 @@ NO_ID = -(1 << 63)
 
 class _Hashes(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 1_000_000:
+        if len(self) > 150_000:  # words seldom come back after so many others, and a worker has little memory
             self.clear()
         self[word] = h = xxhash.xxh64_intdigest(word)
         return h
@@ -51,27 +52,33 @@ class _Hashes(dict):
 
 def shingle_sets(texts: list[bytes], width: int, hashes: _Hashes) -> list[np.ndarray]:
     """Sorted distinct shingle hashes of each text: runs of ``width`` words, or all words if there are fewer."""
+    words = [t.lower().split() for t in texts]
+    counts = np.array([len(w) for w in words], dtype=np.int64)
+    h = np.fromiter((hashes[w] for ws in words for w in ws), dtype=np.uint64, count=int(counts.sum()))
+    starts = np.concatenate([[0], np.cumsum(counts)[:-1]]) if len(counts) else counts
+    whole = _codes(h, width) if len(h) >= width else np.zeros(0, dtype=np.uint64)  # those across two texts are never used
     out = []
-    for text in texts:
-        words = text.lower().split()
-        if not words:
-            out.append(np.zeros(0, dtype=np.uint64))
-            continue
-        h = np.fromiter(map(hashes.__getitem__, words), dtype=np.uint64, count=len(words))
-        k = min(width, len(words))
-        code = np.full(len(words) - k + 1, k, dtype=np.uint64)
-        for i in range(k):
-            code = mix64(code * np.uint64(0x9E3779B97F4A7C15) + h[i : len(h) - k + 1 + i])
-        out.append(np.unique(code))
+    for a, n in zip(starts.tolist(), counts.tolist(), strict=True):
+        if n >= width:
+            out.append(np.unique(whole[a : a + n - width + 1]))
+        else:
+            out.append(_codes(h[a : a + n], n) if n else np.zeros(0, dtype=np.uint64))
     return out
 
 
+def _codes(h: np.ndarray, k: int) -> np.ndarray:
+    code = np.full(len(h) - k + 1, k, dtype=np.uint64)
+    for i in range(k):
+        code = mix64(code * np.uint64(0x9E3779B97F4A7C15) + h[i : len(h) - k + 1 + i])
+    return code
+
+
 def needed(n: int, percent: int) -> int:
     """The least overlap of a set of n with any partner: similarity s asks for s of the union, so of n."""
     return -(-percent * n // 100)
 
 
-def describe(docs: DataFrame, width: int, percent: int, most_l: int, batch_bytes: int = 8 << 20) -> DataFrame:
+def describe(docs: DataFrame, width: int, percent: int, most_l: int, batch_bytes: int = 2 << 20) -> DataFrame:
     """doc_id, n_shingles, 128-bit signature of the set, and its longest prefix (packed hashes)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,40 +93,69 @@ def describe(docs: DataFrame, width: int, percent: int, most_l: int, batch_bytes
     return rows.mapInArrow(run, "doc_id long, n long, signature binary, prefix binary")
 
 
-def _blocks(nodes: DataFrame, block_keys: int) -> DataFrame:
-    """Nodes in blocks of about ``block_keys`` prefix shingles."""
+_BLOCK_SQL = "block long, ids array<long>, sizes array<long>, signatures array<binary>, prefixes array<binary>, keys long"
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        task, made, ids, sizes, parts, held = TaskContext.get().partitionId(), 0, [], [], [], 0
-        flush = lambda: pa.record_batch([pa.array([(task << 24) + made], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([sizes], pa.list_(pa.int64())), pa.array([parts], pa.list_(pa.binary())), pa.array([held], pa.int64())], names=["block", "ids", "sizes", "prefixes", "keys"])
-        for batch in batches:
-            for node, n, prefix in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "prefix")), strict=True):
-                ids.append(node)
-                sizes.append(n)
-                parts.append(prefix)
-                held += len(prefix) // 8
-                if held >= block_keys:
-                    yield flush()
-                    made, ids, sizes, parts, held = made + 1, [], [], [], 0
-        if ids:
+
+def _blocks(found: Iterator[tuple], block_keys: int) -> Iterator[pa.RecordBatch]:
+    """One task's (node, n, signature, prefix) in blocks of about ``block_keys`` prefix shingles."""
+    task, made, rows, held = TaskContext.get().partitionId(), 0, [], 0
+    types = (pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.binary()), pa.list_(pa.binary()))
+
+    def flush() -> pa.RecordBatch:
+        lists = [pa.array([list(c)], t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
+        return pa.record_batch([pa.array([(task << 24) + made], pa.int64()), *lists, pa.array([held], pa.int64())], names=["block", "ids", "sizes", "signatures", "prefixes", "keys"])
+
+    for row in found:
+        rows.append(row)
+        held += len(row[3]) // 8
+        if held >= block_keys:
             yield flush()
+            made, rows, held = made + 1, [], 0
+    if rows:
+        yield flush()
+
+
+def _store(blocks: DataFrame, name: str, codec: str) -> DataFrame:
+    """Blocks of nodes as a table bucketed by block, so that answers join them where they lie."""
+    spark = blocks.sparkSession
+    name, parts = f"{name}_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
+    blocks.write.bucketBy(max(1, min(parts, 100_000)), "block").sortBy("block").option("compression", codec).option("path", f"{scratch_root(spark)}/{name}").saveAsTable(name)
+    atexit.register(_forget, spark, name)
+    return spark.table(name)
+
 
-    return nodes.select("node", "n", "prefix").mapInArrow(run, "block long, ids array<long>, sizes array<long>, prefixes array<binary>, keys long")
+def node_blocks(nodes: DataFrame, block_keys: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = (row for batch in batches for row in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "signature", "prefix")), strict=True))
+        yield from _blocks(rows, block_keys)
 
+    return nodes.select("node", "n", "signature", "prefix").mapInArrow(run, _BLOCK_SQL)
 
-def _block_keys(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct posting keys of a block (sorted), each posting's place among them, each node's first posting, key counts."""
-    lengths = np.array([len(p) // 8 for p in row["prefixes"]], dtype=np.int64)
-    raw = np.frombuffer(b"".join(row["prefixes"]), dtype=np.uint64)
-    keys, where, counts = np.unique(mix64(raw), return_inverse=True, return_counts=True)  # mixed again: prefixes hold the smallest hashes, keys should spread
-    return keys, where, np.concatenate([[0], np.cumsum(lengths)]), counts
+
+class _Block:
+    """One block's living nodes: their ids and sizes, the block's distinct keys (sorted) with counts, and each node's postings.
+
+    ``where`` gives every posting's place among the keys; a node's run from ``starts[i]`` to ``starts[i + 1]``.
+    """
+
+    def __init__(self, row: dict) -> None:
+        rows = list(zip(row["ids"], row["sizes"], row["prefixes"], strict=True))
+        if row.get("alive") is not None:
+            alive = set(row["alive"])
+            rows = [r for r in rows if r[0] in alive]
+        self.ids, self.sizes = [r[0] for r in rows], [r[1] for r in rows]
+        raw = np.frombuffer(b"".join(r[2] for r in rows), dtype=np.uint64)
+        # Mixed again: prefixes hold the smallest hashes, keys should spread over the ranges.
+        self.keys, self.where, self.counts = np.unique(mix64(raw), return_inverse=True, return_counts=True)
+        self.starts = np.concatenate([[0], np.cumsum([len(r[2]) // 8 for r in rows], dtype=np.int64)])
 
 
 def _ask(blocks: DataFrame, ranges: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in rows_of(batch):
-                keys, _, _, counts = _block_keys(row)
+                block = _Block(row)
+                keys, counts = block.keys, block.counts
                 at = range_bounds(keys, ranges)
                 out = [(r, row["block"], int(b - a), pack_sorted(keys[a:b]), pack(counts[a:b])) for r, (a, b) in enumerate(zip(at, at[1:], strict=False)) if b > a]
                 if out:
@@ -143,77 +179,103 @@ def _answer(table: pa.Table) -> pa.Table:
     return pa.Table.from_arrays(columns, names=["range", "block", "n", "totals"])
 
 
-def choose_prefix(frequency: np.ndarray, n: int, percent: int, most_l: int, costly: int) -> tuple[int, int, np.ndarray]:
-    """(l, m, posted places) of one document, from its prefix shingles' document frequencies.
+def choose_prefix(frequency: np.ndarray, n: int, percent: int, most_l: int, costly: int) -> tuple[int, int, np.ndarray] | None:
+    """(l, m, posted places) of one document, from its prefix shingles' document frequencies; None if it has no partner.
 
-    For m = 1, 2, 3 the shortest prefix is sought that has at most l - m costly shingles (frequency above ``costly``);
-    the cheapest of them by estimated candidates, the sum of posted frequencies over m, is taken. Where none is short
-    enough, everything up to the longest prefix is posted. Shingles that no other set has are never posted.
+    Costly shingles (frequency above ``costly``) of an l-prefix are left out, which leaves m = l less their number to
+    ask of a partner; m must be at least 1. Of all such l the cheapest is taken, by the postings to be read and the
+    candidates to be verified, of which there are fewer the more is asked. Where every prefix has too many costly
+    shingles, all of the shortest prefix are posted, and the others of the longest. Shingles that no other set has are never posted.
     """
     base, top = n - needed(n, percent), min(most_l, needed(n, percent))
-    heavy = np.cumsum(frequency > costly)
-    best = None
-    for m in (1, 2, 3):
-        for l in range(m, top + 1):  # noqa: E741
-            length = base + l
-            if heavy[length - 1] <= l - m:
-                posted = np.flatnonzero((frequency[:length] > 1) & (frequency[:length] <= costly))
-                cost = (float(frequency[posted].sum()) + 4.0 * l) / m
-                if best is None or cost < best[0]:
-                    best = (cost, l, m, posted)
-                break
-    if best is None:
-        return top, top, np.flatnonzero(frequency[: base + top] > 1)
-    return best[1:]
-
-
-def postings(nodes: DataFrame, percent: int, most_l: int, costly: int, block_keys: int, keys_per_range: int) -> DataFrame:
-    """(key, node, n, m, weight): each document's posted shingles; weight is the mean log frequency of its prefix."""
-    spark = nodes.sparkSession
-    name, parts = f"prefixes_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
-    _blocks(nodes, block_keys).write.bucketBy(max(1, min(parts, 100_000)), "block").sortBy("block").option("compression", "zstd").option("path", f"{scratch_root(spark)}/{name}").saveAsTable(name)
-    atexit.register(_forget, spark, name)
-    blocks = spark.table(name)
+    if (np.cumsum(frequency > 1)[base:] < np.arange(1, len(frequency) - base + 1)).any():
+        return None  # a partner would share l of every l-prefix
+    lengths = base + np.arange(1, top + 1)
+    heavy = np.cumsum(frequency > costly)[lengths - 1]
+    m = np.arange(1, top + 1) - heavy
+    read = np.cumsum(np.where((frequency > 1) & (frequency <= costly), frequency, 0))[lengths - 1].astype(float)
+    cost = np.where(m >= 1, read * (1.0 + 16.0 / np.maximum(m, 1) ** 2), np.inf)
+    best = int(cost.argmin())
+    if not np.isfinite(cost[best]):
+        light = (frequency[: base + top] > 1) & (frequency[: base + top] <= costly)  # for partners that leave costly ones out
+        light[: base + 1] |= frequency[: base + 1] > 1  # for those that post costly ones too
+        return top, 1, np.flatnonzero(light)
+    part = frequency[: base + best + 1]
+    return best + 1, int(m[best]), np.flatnonzero((part > 1) & (part <= costly))
+
+
+def _informed(blocks: DataFrame, keys_per_range: int) -> DataFrame:
+    """``blocks`` with answers: the document frequency of every key among the living nodes of all blocks."""
     total = int(blocks.agg(F.sum("keys")).first()[0] or 0)
-    ranges = max(parts, -(-total // keys_per_range))
-    answers = materialise(_ask(blocks.select("block", "prefixes"), ranges).groupBy("range").applyInArrow(_answer, "range int, block long, n long, totals binary"), "frequencies")
+    ranges = max(int(blocks.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // keys_per_range))
+    answers = materialise(_ask(blocks, ranges).groupBy("range").applyInArrow(_answer, "range int, block long, n long, totals binary"), "frequencies")
     given = answers.groupBy("block").agg(F.collect_list(F.struct("range", "n", "totals")).alias("answers"))
+    return blocks.join(given.hint("merge"), "block")
+
+
+def _frequencies(row: dict) -> tuple[_Block, np.ndarray]:
+    block = _Block(row)
+    totals = np.concatenate([unpack(a["totals"], a["n"]) for a in sorted(row["answers"], key=lambda a: a["range"])]).astype(np.int64)
+    return block, totals[block.where]
+
+
+def survivors(blocks: DataFrame, percent: int, keys_per_range: int) -> DataFrame:
+    """(block, alive): the nodes of each block that may have a partner, by what they share with any other."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in rows_of(batch):
-                keys, where, starts, _ = _block_keys(row)
-                totals = np.concatenate([unpack(a["totals"], a["n"]) for a in sorted(row["answers"], key=lambda a: a["range"])]).astype(np.int64)
-                frequency = totals[where]
-                out: list[list] = [[], [], [], [], []]
-                for node, n, a, b in zip(row["ids"], row["sizes"], starts.tolist(), starts[1:].tolist(), strict=False):
-                    if a == b or frequency[a:b].max() < 2:
-                        continue
-                    _, m, posted = choose_prefix(frequency[a:b], n, percent, most_l, costly)
-                    k = len(posted)
-                    weight = float(np.log(frequency[a:b]).mean())
-                    for column, values in zip(out, (keys[where[a:b][posted]].view(np.int64).tolist(), [node] * k, [n] * k, [m] * k, [weight] * k), strict=True):
-                        column.extend(values)
-                columns = [pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.float64()), strict=True)]
-                yield pa.record_batch(columns, names=["key", "node", "n", "m", "weight"])
-
-    return materialise(blocks.join(given.hint("merge"), "block").mapInArrow(run, "key long, node long, n long, m int, weight double"), "postings")
-
-
-def candidate_sets(docs: DataFrame, posted: DataFrame, width: int, batch_bytes: int = 8 << 20) -> DataFrame:
-    """(node, shingles packed) of the documents that have postings, from their texts."""
-    ids = materialise(posted.select(F.col("node").alias("_node")).distinct(), "candidates")
-    ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+                block, frequency = _frequencies(row)
+                alive = [node for node, n, a, b in zip(block.ids, block.sizes, block.starts.tolist(), block.starts[1:].tolist(), strict=False) if choose_prefix(frequency[a:b], n, percent, 1, 0) is not None]
+                if alive:
+                    yield pa.record_batch([pa.array([row["block"]], pa.int64()), pa.array([alive], pa.list_(pa.int64()))], names=["block", "alive"])
+
+    return materialise(_informed(blocks, keys_per_range).mapInArrow(run, "block long, alive array<long>"), "alive")
+
+
+def postings(blocks: DataFrame, percent: int, most_l: int, costly: int, keys_per_range: int) -> DataFrame:
+    """(key, node, n, s, l, m, weight): each document's posted shingles, from whole sets.
+
+    ``s`` is the number of its shingles that any other set has; ``weight`` the mean log frequency of its shingles.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in rows_of(batch):
+                block, frequency = _frequencies(row)
+                out: list[list] = [[], [], [], [], [], [], []]
+                for i, (node, n, a, b) in enumerate(zip(block.ids, block.sizes, block.starts.tolist(), block.starts[1:].tolist(), strict=False)):
+                    chosen = choose_prefix(frequency[a:b], n, percent, most_l, costly)
+                    if chosen is not None:
+                        l, m, posted = chosen  # noqa: E741
+                        k, weight, s = len(posted), float(np.log(frequency[a:b]).mean()), int((frequency[a:b] > 1).sum())
+                        for column, values in zip(out, (block.keys[block.where[a:b][posted]].view(np.int64).tolist(), [node] * k, [n] * k, [s] * k, [l] * k, [m] * k, [weight] * k), strict=True):
+                            column.extend(values)
+                    if len(out[0]) > 50_000 or i + 1 == len(block.ids):
+                        columns = [pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.float64()), strict=True)]
+                        yield pa.record_batch(columns, names=["key", "node", "n", "s", "l", "m", "weight"])
+                        out = [[], [], [], [], [], [], []]
+
+    return materialise(_informed(blocks, keys_per_range).mapInArrow(run, "key long, node long, n long, s long, l int, m int, weight double"), "postings")
+
+
+def candidate_sets(docs: DataFrame, alive: DataFrame, width: int, block_keys: int, batch_bytes: int = 2 << 20) -> DataFrame:
+    """Blocks of the whole sets of the living nodes, from their texts."""
+    ids = materialise(alive.select(F.explode("alive").alias("_node")).distinct(), "candidates")
+    ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+    def rows_in(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
         hashes = _Hashes()
         for batch in slices(batches, "text", batch_bytes):
-            sets = shingle_sets(utf8(batch.column("text")), width, hashes)
-            yield pa.record_batch([batch.column("node"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["node", "shingles"])
+            for node, found in zip(batch.column("node").to_pylist(), shingle_sets(utf8(batch.column("text")), width, hashes), strict=True):
+                yield node, len(found), b"", found.tobytes()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # one function: two would be two Python workers a task
+        yield from _blocks(rows_in(batches), block_keys)
 
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("node"), F.col("text").cast("string").alias("text"))
     chosen = rows.join(ids, rows["node"] == ids["_node"], "left_semi")
-    return materialise(chosen.mapInArrow(run, "node long, shingles binary"), "sets", codec="uncompressed")
+    return _store(chosen.mapInArrow(run, _BLOCK_SQL), "sets", "uncompressed")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -230,31 +292,49 @@ def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * both >= percent * (len(s) + len(t) - both) and both > 0)
             yield pa.record_batch([batch.column("x").filter(pa.array(keep, pa.bool_())), batch.column("y").filter(pa.array(keep, pa.bool_()))], names=["x", "y"])
 
-    return pairs.join(first, "x").join(second, "y").select("x", "y", "a", "b").mapInArrow(run, "x long, y long")
+    if pairs.count() <= BROADCAST_IDS:  # the sets of x stay where they lie, and only the sets of y that are asked for move
+        second = second.join(F.broadcast(pairs.select("y").distinct()), "y", "left_semi")
+        pairs = F.broadcast(pairs)
+    return first.join(pairs, "x").join(second, "y").select("x", "y", "a", "b").mapInArrow(run, "x long, y long")
+
 
+def _may_link(n: str, s: str, other_n: str, other_s: str, percent: int):
+    """What two sets' sizes allow: they share at most the lesser number of shingles that any other set has."""
+    most = F.least(F.col(s), F.col(other_s))
+    return (100 * most) >= percent * (F.col(n) + F.col(other_n) - most)
 
-def _sizes_fit(n: str, other: str, percent: int):
-    return (100 * F.least(F.col(n), F.col(other))) >= (percent * F.greatest(F.col(n), F.col(other)))
+
+def _asked(pairs: DataFrame) -> DataFrame:
+    """Distinct (x, y) of (x, y, lx, mx, ly, my) rows, one a shared posting, that share as many as the shorter prefix asks."""
+    ask = F.when(F.col("lx") < F.col("ly"), F.col("mx")).when(F.col("ly") < F.col("lx"), F.col("my")).otherwise(F.greatest("mx", "my"))
+    return pairs.groupBy("x", "y").agg(F.count("*").alias("shared"), F.max(ask).alias("asked")).where("shared >= asked").select("x", "y")
 
 
 def similar_groups(
-    docs: DataFrame, width: int = 3, percent: int = 90, most_l: int = 8, costly: int = 32, pivots: int = 3, block_keys: int = 1 << 20, keys_per_range: int = 1 << 20
+    docs: DataFrame, width: int = 3, percent: int = 90, most_l: int = 24, costly: int = 32, pivots: int = 2, block_keys: int = 1 << 17, keys_per_range: int = 1 << 18
 ) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id (the smallest doc_id reachable by links)."""
     table = materialise(describe(docs, width, percent, most_l), "prefixes")
     nodes = table.where("n > 0").groupBy("signature").agg(F.min(F.struct("doc_id", "n", "prefix")).alias("r")).select("signature", F.col("r.doc_id").alias("node"), F.col("r.n").alias("n"), F.col("r.prefix").alias("prefix"))
-    nodes = materialise(nodes, "nodes")
-    posted = postings(nodes, percent, most_l, costly, block_keys, keys_per_range)
-    sets = candidate_sets(docs, posted, width)
+    prefixes = _store(node_blocks(nodes, block_keys), "nodes", "zstd")
+    named = prefixes.select(F.explode(F.arrays_zip("signatures", "ids")).alias("z")).select(F.col("z.signatures").alias("signature"), F.col("z.ids").alias("node"))
+    # Who may have a partner is asked of prefixes first, then of the whole sets of those left, among themselves.
+    stored = candidate_sets(docs, survivors(prefixes, percent, keys_per_range), width, block_keys)
+    sets = stored.select(F.explode(F.arrays_zip("ids", "prefixes")).alias("z")).select(F.col("z.ids").alias("node"), F.col("z.prefixes").alias("shingles"))
+    living = stored.join(survivors(stored, percent, keys_per_range).hint("merge"), "block")
+    posted = postings(living, percent, most_l, costly, keys_per_range)
 
     # Every list against a pivot: first its most typical document, then others by hash, in lists that still hold several components.
     links = None
     lists, tried = posted.withColumn("component", F.col("node")), None
     for turn in range(pivots):
-        rank = F.struct("weight", -F.xxhash64("node"), "node", "n", "component") if turn == 0 else F.struct(F.lit(0.0), F.xxhash64(F.lit(turn), "node"), "node", "n", "component")
-        heads = materialise(lists.groupBy(F.col("key").alias("_key")).agg(F.max(rank).alias("p"), F.min("component").alias("_least"), F.max("component").alias("_most")).where("_least <> _most").select("_key", F.col("p.node").alias("y"), F.col("p.n").alias("_n"), F.col("p.component").alias("_component")), "pivots")
-        asked = lists.join(heads, lists["key"] == heads["_key"]).where((F.col("component") != F.col("_component")) & _sizes_fit("n", "_n", percent))
-        asked = asked.select(F.least("node", "y").alias("x"), F.greatest("node", "y").alias("y")).distinct()
+        rank = F.struct("weight", -F.xxhash64("node"), "node", "n", "s", "l", "m", "component") if turn == 0 else F.struct(F.lit(0.0), F.xxhash64(F.lit(turn), "node"), "node", "n", "s", "l", "m", "component")
+        heads = lists.groupBy(F.col("key").alias("_key")).agg(F.max(rank).alias("p"), F.min("component").alias("_least"), F.max("component").alias("_most")).where("_least <> _most")
+        heads = materialise(heads.select("_key", F.col("p.node").alias("_node"), F.col("p.n").alias("_n"), F.col("p.s").alias("_s"), F.col("p.l").alias("_l"), F.col("p.m").alias("_m"), F.col("p.component").alias("_component")), "pivots")
+        met = lists.join(heads, (lists["key"] == heads["_key"]) & (F.col("component") != F.col("_component")) & _may_link("n", "s", "_n", "_s", percent))
+        first = F.col("node") < F.col("_node")
+        either = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
+        asked = _asked(met.select(either("node", "_node").alias("x"), either("_node", "node").alias("y"), either("l", "_l").alias("lx"), either("m", "_m").alias("mx"), either("_l", "l").alias("ly"), either("_m", "m").alias("my")))
         asked = materialise(asked if tried is None else asked.join(tried, ["x", "y"], "left_anti"), "asked")
         tried = asked if tried is None else materialise(tried.unionByName(asked), "tried")
         found = materialise(verify(asked, sets, percent), "found")
@@ -262,19 +342,24 @@ def similar_groups(
         components = connected_components(links)
         lists = _labelled(posted, components)
         mixed = lists.groupBy("key").agg(F.min("component").alias("least"), F.max("component").alias("most")).where("least <> most").select(F.col("key").alias("_key"))
-        lists = materialise(lists.join(mixed, lists["key"] == mixed["_key"], "left_semi"), "lists")
-
-    # What is left: pairs of different components that share enough posted shingles.
-    a = lists.select("key", F.col("node").alias("x"), F.col("n").alias("nx"), F.col("m").alias("mx"), F.col("component").alias("cx"))
-    b = lists.select(F.col("key").alias("_key"), F.col("node").alias("y"), F.col("n").alias("ny"), F.col("m").alias("my"), F.col("component").alias("cy"))
-    pairs = a.join(b, (a["key"] == b["_key"]) & (a["x"] < b["y"]) & (a["cx"] != b["cy"])).where(_sizes_fit("nx", "ny", percent))
-    pairs = pairs.groupBy("x", "y").agg(F.count("*").alias("shared"), F.min(F.least("mx", "my")).alias("asked")).where("shared >= asked").select("x", "y")
+        lists = materialise(lists.join(materialise(mixed, "mixed"), F.col("key") == F.col("_key"), "left_semi"), "lists")
+
+    # What is left: pairs of different components that share enough posted shingles. Each side brings its keys of the
+    # lists left, so the join gives a pair once, at its first common key, and only if it shares enough of them.
+    own = lists.groupBy(F.col("node").alias("_own")).agg(F.collect_set("key").alias("keys"))
+    full = materialise(lists.join(own, lists["node"] == own["_own"]).drop("_own", "weight"), "keyed")
+    side = lambda mark: full.select(*[F.col(c).alias(f"{c}{mark}") for c in ("key", "node", "n", "s", "l", "m", "component", "keys")])
+    a, b = side("1"), side("2")
+    both = F.array_intersect("keys1", "keys2")
+    ask = F.when(F.col("l1") < F.col("l2"), F.col("m1")).when(F.col("l2") < F.col("l1"), F.col("m2")).otherwise(F.greatest("m1", "m2"))
+    apart = (F.col("key1") == F.col("key2")) & (F.col("node1") < F.col("node2")) & (F.col("component1") != F.col("component2"))
+    met = a.join(b, apart & _may_link("n1", "s1", "n2", "s2", percent) & (F.array_min(both) == F.col("key1")) & (F.size(both) >= ask))
+    pairs = met.select(F.col("node1").alias("x"), F.col("node2").alias("y")).distinct()
     pairs = materialise(pairs.join(tried, ["x", "y"], "left_anti"), "pairs")
     found = materialise(verify(pairs, sets, percent), "found")
     components = connected_components(links.unionByName(found))
 
-    grouped = _labelled(nodes.select("signature", "node"), components).select(F.col("signature").alias("_signature"), "component")
-    grouped = materialise(grouped, "components")
+    grouped = materialise(_labelled(named, components).select(F.col("signature").alias("_signature"), "component"), "components")
     rows = table.select("doc_id", "n", "signature").join(grouped, (F.col("signature") == F.col("_signature")) & (F.col("n") > 0), "left")
     shown = lambda c: F.nullif(c, F.lit(NO_ID))
     return rows.select(shown(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), shown(F.coalesce("component", "doc_id")).alias("component_id"))
