@@ -2,60 +2,21 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+import ctypes
 from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from ..sources.scratch import materialise, scratch_root
+
 #: A word is a run of bytes outside the six ASCII white space characters.
 WORD = r"[^\x20\x09-\x0D]+"
 BLANKS = " \t\n\x0b\x0c\r"
 
-_scratch: dict[str, str] = {}
-
-
-def scratch_root(spark: SparkSession) -> str:
-    """A folder of this process below spark.checkpoint.dir, which all executors share.
-
-    Only where that setting is absent (tests in one JVM) is a local temporary folder used.
-    The folder is removed when the driver's Python ends.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        base = _scratch.setdefault("", tempfile.mkdtemp(prefix="gapweave-"))
-    if base not in _scratch:
-        _scratch[base] = f"{base.rstrip('/')}/gapweave-{uuid.uuid4().hex}"
-        atexit.register(_remove, spark, _scratch[base])
-    return _scratch[base]
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # the session has already ended: nothing more can be removed through it
-        return
-
-
-def materialise(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
-    """Write ``df`` as Parquet in the shared scratch folder and read it back.
-
-    This cuts the lineage so that a lost executor costs no recomputation beyond the
-    current stage, and gives joins a plain scan on that side, which adaptive execution
-    can split where a key is hot.
-    """
-    spark = df.sparkSession
-    path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex[:12]}"
-    df.write.option("compression", codec).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["BLANKS", "WORD", "in_fold", "materialise", "rows_of", "scratch_root", "slices", "trim", "utf8", "word_count"]
 
 
 def word_count(text: str | Column) -> Column:
@@ -65,11 +26,22 @@ def word_count(text: str | Column) -> Column:
 
 def in_fold(doc_id: str | Column, modulus: int, remainder: int) -> Column:
     """True where crc32 of the id as text leaves ``remainder``; a null id counts as the empty text."""
-    return F.crc32(F.coalesce(F.col(doc_id) if isinstance(doc_id, str) else doc_id, F.lit("")).cast("string").cast("binary")) % modulus == remainder
+    text = (F.col(doc_id) if isinstance(doc_id, str) else doc_id).cast("string")
+    return F.crc32(F.coalesce(text, F.lit("")).cast("binary")) % modulus == remainder
+
+
+def trim() -> None:
+    """Give memory that earlier tasks of this Python worker have freed back to the machine."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: it keeps the memory for later tasks
+        return
 
 
 def slices(batches: Iterator[pa.RecordBatch], column: str, most_bytes: int) -> Iterator[pa.RecordBatch]:
     """Cut Arrow batches so that ``column`` holds about ``most_bytes`` at most (one row at least)."""
+    trim()
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -91,4 +63,5 @@ def utf8(column: pa.Array) -> list[bytes]:
 def rows_of(batch: pa.RecordBatch) -> Iterator[dict]:
     """The rows of a batch of few but large rows, one Python copy at a time."""
     for i in range(batch.num_rows):
+        trim()
         yield batch.slice(i, 1).to_pylist()[0]

@@ -153,7 +153,7 @@ class StreamingViterbi:
 class Codec:
     """Encoder and decoder of one worker. Words are searched once and remembered, up to ``most`` words."""
 
-    def __init__(self, vocabulary: Vocabulary, most: int = 600_000) -> None:
+    def __init__(self, vocabulary: Vocabulary, most: int = 200_000) -> None:
         self.v, self.most, self.viterbi = vocabulary, most, StreamingViterbi(vocabulary)
         self.known: dict[str, bytes] = {}
 
