@@ -31,7 +31,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows repeated as the mix takes them; a repetition in part keeps the document's first words of that number."""
+    """Rows repeated as the mix takes them, whole texts only."""
     return mixing.mix_rows(docs)
 
 

@@ -92,6 +92,22 @@ def test_mix_rows_repeat_as_the_mix_says(docs, empty):
     assert mixing.mix(empty).count() == 0 and mixing.mix_rows(empty).count() == 0
 
 
+def test_mix_rows_keep_whole_texts(spark):
+    """No row is a prefix, also where a source's target is below its size; each target is missed by less than a document."""
+    r = random.Random(7)
+    rows = [(i, "\n".join(f"w{r.randrange(50)}" for _ in range(r.randint(1, 40))) + " ", "big" if i % 20 else "small") for i in range(400)]
+    rows += [(400, "one\ttwo  three", None), (400, "one\ttwo  three", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    for buckets in (1, 7, 4096):
+        plan = mixing.mix(docs, (1, 5, 2), 0.4, 2.0, buckets=buckets).collect()
+        out = Counter((o.doc_id, o.text) for o in mixing.mix_rows(docs, (1, 5, 2), 0.4, 2.0, buckets=buckets).collect())
+        assert set(out) <= {(i, t) for i, t, _ in rows}
+        assert sum(out.values()) == sum(p.repeats for p in plan) and {p.doc_id: p.repeats for p in plan if p.repeats} == {i: n // (2 if i == 400 else 1) for (i, _), n in out.items()}
+        for source in ("big", "small"):
+            mine = [p for p in plan if p.source == source]
+            assert abs(sum(p.taken for p in mine) - mine[0].target) < max(p["size"] for p in mine)
+
+
 # ---- 2 media --------------------------------------------------------------------------------------------------
 
 
