@@ -27,8 +27,16 @@ def interpolate(x: np.ndarray) -> np.ndarray:
 def ridge(a: np.ndarray, y: np.ndarray, penalty: float = RIDGE) -> np.ndarray:
     """Readout weights from the normal equations, a constant included."""
     a = np.hstack([a, np.ones((len(a), 1))])
-    gram = a.T @ a
-    return np.linalg.solve(gram + penalty * max(1e-6, float(np.trace(gram)) / len(gram)) * np.eye(len(gram)), a.T @ y)
+    return solve_ridge(a.T @ a, a.T @ y, penalty)
+
+
+def solve_ridge(gram: np.ndarray, cross: np.ndarray, penalty: float = RIDGE) -> np.ndarray:
+    return np.linalg.solve(gram + penalty * max(1e-6, float(np.trace(gram)) / len(gram)) * np.eye(len(gram)), cross)
+
+
+def _normal(a: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    a = np.hstack([a, np.ones((len(a), 1))])
+    return a.T @ a, a.T @ y
 
 
 def _read(a: np.ndarray, weights: np.ndarray) -> np.ndarray:
@@ -36,7 +44,11 @@ def _read(a: np.ndarray, weights: np.ndarray) -> np.ndarray:
 
 
 class Learner:
-    """Base: predictions by a ridge readout of ``features``."""
+    """Base: predictions by a ridge readout of ``features``.
+
+    A fit over more windows than fit in memory: ``prepare`` on a sample, ``sums`` of every chunk (complete y, one seed a
+    window), added up, and ``from_sums``.
+    """
 
     name = "base"
 
@@ -51,6 +63,13 @@ class Learner:
         params["readout"] = ridge(self.features(x_in, params), y)
         return params
 
+    def sums(self, params: dict, x_in: np.ndarray, y: np.ndarray, seeds: list[int]) -> dict:
+        gram, cross = _normal(self.features(x_in, params), y)
+        return {"gram": gram, "cross": cross}
+
+    def from_sums(self, params: dict, sums: dict) -> dict:
+        return {**params, "readout": solve_ridge(sums["gram"], sums["cross"])}
+
     def predict(self, params: dict, x: np.ndarray) -> np.ndarray:
         return _read(self.features(x, params), params["readout"])
 
@@ -61,6 +80,12 @@ class MeanLearner(Learner):
     def fit(self, x_in, y, seed=0):
         return {"mean": np.array([np.nanmean(y)])}
 
+    def sums(self, params, x_in, y, seeds):
+        return {"n": np.array([y.size]), "total": np.array([y.sum()])}
+
+    def from_sums(self, params, sums):
+        return {"mean": sums["total"] / sums["n"]}
+
     def predict(self, params, x):
         return np.full(x.shape, params["mean"][0])
 
@@ -71,6 +96,12 @@ class WindowMean(Learner):
     def fit(self, x_in, y, seed=0):
         return {"mean": np.array([np.nanmean(y)])}
 
+    def sums(self, params, x_in, y, seeds):
+        return {"n": np.array([y.size]), "total": np.array([y.sum()])}
+
+    def from_sums(self, params, sums):
+        return {"mean": sums["total"] / sums["n"]}
+
     def predict(self, params, x):
         n = (~np.isnan(x)).sum(axis=1)
         m = np.where(n > 0, np.nansum(x, axis=1) / np.maximum(n, 1), params["mean"][0])
@@ -85,6 +116,12 @@ class Profile(Learner):
     def fit(self, x_in, y, seed=0):
         return {"profile": np.nanmean(y, axis=0)}
 
+    def sums(self, params, x_in, y, seeds):
+        return {"n": np.array([len(y)]), "total": y.sum(axis=0)}
+
+    def from_sums(self, params, sums):
+        return {"profile": sums["total"] / sums["n"]}
+
     def predict(self, params, x):
         return np.repeat(params["profile"][None], len(x), axis=0)
 
@@ -95,6 +132,12 @@ class Linear(Learner):
     def fit(self, x_in, y, seed=0):
         return {"none": np.zeros(1)}
 
+    def sums(self, params, x_in, y, seeds):
+        return {}
+
+    def from_sums(self, params, sums):
+        return {"none": np.zeros(1)}
+
     def predict(self, params, x):
         return interpolate(x)
 
@@ -108,6 +151,12 @@ class Carry(Learner):
     def fit(self, x_in, y, seed=0):
         return {"none": np.zeros(1)}
 
+    def sums(self, params, x_in, y, seeds):
+        return {}
+
+    def from_sums(self, params, sums):
+        return {"none": np.zeros(1)}
+
     def predict(self, params, x):
         x = x[:, ::-1] if self.backward else x
         at = np.where(np.isnan(x), 0, np.arange(1, x.shape[1] + 1)[None])
@@ -133,6 +182,13 @@ class GaussianConditional(Learner):
         pairs = np.maximum(seen.T @ seen, 1.0)
         return self.from_moments(mu, d.T @ d / pairs)
 
+    def sums(self, params, x_in, y, seeds):
+        return {"n": np.array([float(len(y))]), "total": y.sum(axis=0), "outer": y.T @ y}
+
+    def from_sums(self, params, sums):
+        mu = sums["total"] / sums["n"]
+        return self.from_moments(mu, sums["outer"] / sums["n"] - np.outer(mu, mu))
+
     @staticmethod
     def from_moments(mu: np.ndarray, cov: np.ndarray, shrink: float = RIDGE) -> dict:
         cov = (1 - shrink) * cov + shrink * np.diag(np.diag(cov))
@@ -242,6 +298,17 @@ class Stationarised(Learner):
         m, s = self._scale(x_in)
         return self.inner.fit((x_in - m) / s, (y - m) / s, seed)
 
+    def prepare(self, x_in, y, seed):
+        m, s = self._scale(x_in)
+        return self.inner.prepare((x_in - m) / s, (y - m) / s, seed)
+
+    def sums(self, params, x_in, y, seeds):
+        m, s = self._scale(x_in)
+        return self.inner.sums(params, (x_in - m) / s, (y - m) / s, seeds)
+
+    def from_sums(self, params, sums):
+        return self.inner.from_sums(params, sums)
+
     def predict(self, params, x):
         m, s = self._scale(x)
         return self.inner.predict(params, (x - m) / s) * s + m
@@ -324,6 +391,20 @@ class LinearDiffusion(Learner):
             params[f"level{k}"] = ridge(np.hstack([noisy, seen]), y)
         return params
 
+    def prepare(self, x_in, y, seed):
+        return {"seed": np.array([float(seed)])}
+
+    def sums(self, params, x_in, y, seeds):
+        seen, out = ~np.isnan(x_in), {}
+        noise = np.array([np.random.default_rng(s).normal(size=(len(self.levels), y.shape[1])) for s in seeds])
+        for k, level in enumerate(self.levels):
+            noisy = np.where(seen, np.nan_to_num(x_in), y + level * noise[:, k])
+            out[f"gram{k}"], out[f"cross{k}"] = _normal(np.hstack([noisy, seen]), y)
+        return out
+
+    def from_sums(self, params, sums):
+        return {**params, **{f"level{k}": solve_ridge(sums[f"gram{k}"], sums[f"cross{k}"]) for k in range(len(self.levels))}}
+
     def predict(self, params, x):
         rng = np.random.default_rng(int(params["seed"][0]))
         seen, total = ~np.isnan(x), np.zeros(x.shape)

@@ -1,12 +1,17 @@
 """The experiment grids: strategies, learners, gap kinds and levels, scored on held-out windows.
 
-A cell (learner, strategy, gap kind, rate) is one group of bounded size; all cells of a grid are one job.
+A cell (learner, strategy, gap kind, rate) is fitted in one group of bounded size, or from sums over all training windows
+(``direct``), and scored on every held-out window; all cells of a grid go through the same jobs.
 """
 
 from __future__ import annotations
 
+import pickle
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -15,11 +20,13 @@ from ..baselines.tokens import TokenModel
 from ..functions.hashing import draw_py
 from ..learners.core import LEARNERS
 from ..operators.minmask import hide
-from ..schemas import SCORES
+from ..sources.scratch import materialise
 
 STRATEGIES = ("direct", "framework", "generative", "token", "projection_only", "mask_only", "one_cluster")
-#: Training windows of one cell, over all clusters.
+#: Training windows of one cell, over all clusters, except ``direct``, whose sums take all.
 MAX_TRAIN = 20_000
+#: Windows that a map handles at once.
+CHUNK = 512
 
 
 def kmeans_numpy(z: np.ndarray, k: int, seed: int, rounds: int = 15) -> np.ndarray:
@@ -44,102 +51,187 @@ def _route(x: np.ndarray, centroids: np.ndarray) -> np.ndarray:
     return d.argmin(axis=1)
 
 
-def make_gaps(z: np.ndarray, kind: str, rate: float, rng: np.random.Generator, patterns: np.ndarray) -> np.ndarray:
-    """Hidden slots of the test windows: at random, by value, in bursts, shared, or as the incomplete windows have them."""
+def window_draws(seed: int, series: list, wins: list, n: int) -> np.ndarray:
+    """(windows, n) uniform draws, a window's own: the same in every batch and partition."""
+    return np.array([np.random.default_rng(draw_py(seed, s, k)).random(n) for s, k in zip(series, wins, strict=True)]).reshape(-1, n)
+
+
+def make_gaps(z: np.ndarray, kind: str, rate: float, u: np.ndarray, pools: list[np.ndarray], groups: np.ndarray, seed: int, shared: int) -> np.ndarray:
+    """Hidden slots of test windows: at random, by value, in bursts, shared, or as the incomplete windows of their group.
+
+    ``u`` has w + 1 draws a window; ``shared`` is the number of masks that ``mnar_group`` deals out.
+    """
     n, w = z.shape
-    if kind == "natural" and len(patterns):
-        return ~patterns[rng.integers(0, len(patterns), n)]
-    if kind == "mnar_value":
+    u, pick = u[:, :w], u[:, w]
+    if kind == "natural" and any(len(p) for p in pools):
+        everything = np.vstack(pools)
+        by = [pools[c] if len(pools[c]) else everything for c in _route(z, groups)]
+        hidden = ~np.array([p[int(x * len(p))] for p, x in zip(by, pick, strict=True)]).reshape(-1, w)
+    elif kind == "mnar_value":
         rank = (-z).argsort(axis=1).argsort(axis=1)
-        return rng.random(z.shape) < np.clip(rate * (1 + 0.8 * (1 - 2 * rank / max(1, w - 1))), 0, 1)
-    if kind == "mnar_burst":
+        hidden = u < np.clip(rate * (1 + 0.8 * (1 - 2 * rank / max(1, w - 1))), 0, 1)
+    elif kind == "mnar_burst":
         size = max(1, min(w, round(rate * w)))
-        start = rng.integers(0, w - size + 1, n)[:, None]
-        return (np.arange(w)[None] >= start) & (np.arange(w)[None] < start + size)
-    if kind == "mnar_group":
-        shared = rng.random((max(1, n // 8), w)) < rate
-        return shared[rng.integers(0, len(shared), n)]
-    return rng.random(z.shape) < rate
+        start = (pick * (w - size + 1)).astype(int)[:, None]
+        hidden = (np.arange(w)[None] >= start) & (np.arange(w)[None] < start + size)
+    elif kind == "mnar_group":
+        hidden = np.array([np.random.default_rng([seed, int(x * shared)]).random(w) < rate for x in pick]).reshape(-1, w)
+    else:
+        hidden = u < rate
+    hidden = hidden.copy()
+    hidden[hidden.all(axis=1), 0] = False
+    return hidden
 
 
-def score_cell(train: np.ndarray, test: np.ndarray, gaps: np.ndarray, learner: str, strategy: str, kind: str, rate: float, k: int = 3, seed: int = 0, token: TokenModel | None = None, extra: float = 0.08) -> tuple[float, float, int, int]:
-    """(mse, mae, hidden slots, training windows) of one cell; ``gaps`` are incomplete windows with NaN."""
+def fit_cell(train: np.ndarray, gaps: np.ndarray, learner: str, strategy: str, kind: str, rate: float, k: int = 3, seed: int = 0, extra: float = 0.08) -> tuple[dict, int]:
+    """({centroids, models}, training windows) of one cell; ``gaps`` are incomplete windows with NaN. For ``direct`` and
+    for clusters without a model of their own the only model is that of one cluster."""
     rng = np.random.default_rng(seed)
     patterns = ~np.isnan(gaps)
     own = strategy in ("framework", "projection_only", "mask_only")
     k = k if own else 1
     centroids = kmeans_numpy(train, k, seed) if k > 1 else train.mean(axis=0)[None]
     pattern_home = _route(gaps, centroids) if len(gaps) else np.zeros(0, dtype=int)
-    if kind == "natural" and len(patterns):  # a window's gaps are those of its own cluster's incomplete windows
-        hidden = np.zeros(test.shape, dtype=bool)
-        groups = kmeans_numpy(train, 3, seed)
-        by = _route(test, groups)
-        home = _route(gaps, groups)
-        for c in range(len(groups)):
-            at = np.flatnonzero(by == c)
-            pool = patterns[home == c] if (home == c).any() else patterns
-            hidden[at] = ~pool[rng.integers(0, len(pool), len(at))]
-    else:
-        hidden = make_gaps(test, kind, rate, rng, patterns)
-    hidden[hidden.all(axis=1), 0] = False
-    x = np.where(hidden, np.nan, test)
-    if not hidden.any():
-        return float("nan"), float("nan"), 0, len(train)
-    used = len(train)
-    if strategy == "token":
-        guess = token.fill(x)
-    else:
-        model, guess = LEARNERS[learner], np.zeros(test.shape)
-        where, home = _route(x, centroids), _route(train, centroids)
-        used = 0
-        for c in range(len(centroids)):
-            at, mine = np.flatnonzero(where == c), train[home == c]
-            if not len(at):
-                continue
-            mine = mine if len(mine) >= 8 else train
-            if own:  # a sample that the bound asks for, not everything
-                mine = mine[rng.permutation(len(mine))[:640]]
-            used += len(mine)
-            if strategy == "generative":
-                shown = adversarial_masks((~patterns).astype(int), len(mine), seed) == 0 if len(patterns) else ~hide(mine.shape, rate, rng)
-                masked = [~shown]
-            elif strategy in ("direct", "one_cluster", "mask_only") or not len(patterns):
-                masked = [hide(mine.shape, max(rate, 0.05), rng)]
-            else:
-                pool = patterns[pattern_home == c] if kind == "natural" else patterns
-                pool = pool if len(pool) else patterns
-                shown = pool[rng.integers(0, len(pool), len(mine))]
-                if kind != "natural":  # the level under test is projected: that many slots of each window go
-                    shown = ~hide(mine.shape, rate, rng)
-                masked = [~shown] if strategy == "projection_only" else [~shown, hide(mine.shape, extra, rng), ~shown | hide(mine.shape, extra, rng)]
-            inputs = np.vstack([np.where(m, np.nan, mine) for m in masked])
-            params = model.fit(inputs, np.vstack([mine] * len(masked)), seed)
-            guess[at] = model.predict(params, x[at])
-    e = (guess - test)[hidden]
-    return float((e**2).mean()), float(np.abs(e).mean()), int(hidden.sum()), used
+    model, home, models, used = LEARNERS[learner], _route(train, centroids), [], 0
+    for c in range(len(centroids)):
+        mine = train[home == c]
+        mine = mine if len(mine) >= 8 else train
+        if own:  # a sample that the bound asks for, not everything
+            mine = mine[rng.permutation(len(mine))[:640]]
+        used += len(mine)
+        if strategy == "generative":
+            shown = adversarial_masks((~patterns).astype(int), len(mine), seed) == 0 if len(patterns) else ~hide(mine.shape, rate, rng)
+            masked = [~shown]
+        elif strategy in ("direct", "one_cluster", "mask_only") or not len(patterns):
+            masked = [hide(mine.shape, max(rate, 0.05), rng)]
+        else:
+            pool = patterns[pattern_home == c] if kind == "natural" else patterns
+            pool = pool if len(pool) else patterns
+            shown = pool[rng.integers(0, len(pool), len(mine))]
+            if kind != "natural":  # the level under test is projected: that many slots of each window go
+                shown = ~hide(mine.shape, rate, rng)
+            masked = [~shown] if strategy == "projection_only" else [~shown, hide(mine.shape, extra, rng), ~shown | hide(mine.shape, extra, rng)]
+        inputs, truth = np.vstack([np.where(m, np.nan, mine) for m in masked]), np.vstack([mine] * len(masked))
+        models.append(model.prepare(inputs, truth, seed) if strategy == "direct" else model.fit(inputs, truth, seed))
+    return {"centroids": centroids, "models": models}, used
+
+
+def _arrays(column, w: int) -> np.ndarray:
+    return np.array([np.array(v, dtype=float) for v in column]).reshape(-1, w)
+
+
+def _predict(learner: str, state: dict, x: np.ndarray) -> np.ndarray:
+    model, guess, where = LEARNERS[learner], np.zeros(x.shape), _route(x, state["centroids"])
+    for c in np.unique(where):
+        at = np.flatnonzero(where == c)
+        if learner == "linear_diffusion":  # its noise goes with the shape of a call: one window a call
+            guess[at] = np.vstack([model.predict(state["models"][c], x[i : i + 1]) for i in at])
+        else:
+            guess[at] = model.predict(state["models"][c], x[at])
+    return guess
+
+
+def _added(parts: list[dict]) -> dict:
+    return {k: np.sum([p[k] for p in parts], axis=0) for k in parts[0]}
+
+
+def fit_direct(train: DataFrame, w: int, cells: dict[int, tuple[str, float, int, dict]]) -> dict[int, tuple[dict, int]]:
+    """(params, windows) of each direct cell (learner, rate, seed, prepared params), from sums over every training window."""
+
+    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total: dict[int, list] = {}
+        for pdf in batches:
+            for begin in range(0, len(pdf), CHUNK):
+                part = pdf.iloc[begin : begin + CHUNK]
+                z, series, wins = _arrays(part["z"], w), part["series_id"].tolist(), part["win"].tolist()
+                drawn = {seed: window_draws(seed + 1, series, wins, w) for seed in {c[2] for c in cells.values()}}
+                for i, (learner, rate, seed, params) in cells.items():
+                    u = drawn[seed]
+                    hidden = u < max(rate, 0.05)
+                    none = np.flatnonzero(~hidden.any(axis=1))
+                    hidden[none, u[none].argmin(axis=1)] = True
+                    seeds = [draw_py(seed + 2, s, k) for s, k in zip(series, wins, strict=True)] if learner == "linear_diffusion" else []
+                    sums = LEARNERS[learner].sums(params, np.where(hidden, np.nan, z), z, seeds)
+                    total[i] = [_added([total[i][0], sums]), total[i][1] + len(z)] if i in total else [sums, len(z)]
+        task = TaskContext.get().partitionId()
+        yield pd.DataFrame([(i, task % 16, n, pickle.dumps(t)) for i, (t, n) in total.items()], columns=["cell", "part", "n", "sums"])
+
+    def merge(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("part")
+        total = None
+        for blob in pdf["sums"]:
+            total = pickle.loads(blob) if total is None else _added([total, pickle.loads(blob)])
+        return pd.DataFrame([(int(pdf["cell"].iloc[0]), int(pdf["part"].iloc[0]), int(pdf["n"].sum()), pickle.dumps(total))], columns=["cell", "part", "n", "sums"])
+
+    schema = "cell int, part int, n long, sums binary"
+    sums = train.select("series_id", "win", "z").mapInPandas(partial, schema).groupBy("cell", "part").applyInPandas(merge, schema).groupBy("cell").applyInPandas(merge, schema)
+    return {r.cell: (LEARNERS[cells[r.cell][0]].from_sums(cells[r.cell][3], pickle.loads(r.sums)), r.n) for r in sums.collect()}  # one row a cell
 
 
 def run_grid(train: DataFrame, test: DataFrame, incomplete: DataFrame, w: int, dataset: str, learners: tuple[str, ...], strategies: tuple[str, ...], kinds: tuple[str, ...] = ("mcar",), rates: tuple[float, ...] = (0.5,), k: int = 3, token_rows: list | None = None) -> DataFrame:
-    """Scores of every cell. Inputs hold z (w numbers, gaps only in ``incomplete``)."""
+    """Scores of every cell. Inputs hold z (w numbers, gaps only in ``incomplete``).
+
+    ``direct`` is fitted on all training windows, the other strategies on at most MAX_TRAIN, by hash; ``used`` says how
+    many. All test windows are scored, in a map that the fitted cells go with.
+    """
     spark = train.sparkSession
-    cells = [(m, s, g, float(r)) for m in learners for s in strategies for g in kinds for r in rates]
-    grid = spark.createDataFrame(cells, "learner string, strategy string, gap_kind string, rate double")
+    cells = [(i, m, s, g, float(r)) for i, (m, s, g, r) in enumerate((m, s, g, r) for m in learners for s in strategies for g in kinds for r in rates)]
+    seeds = {(g, float(r)): draw_py(7, dataset, g, float(r)) % 10_000 for g in kinds for r in rates}
+    grid = spark.createDataFrame(cells, "cell int, learner string, strategy string, gap_kind string, rate double")
     bounded = lambda df, role, n: df.select("series_id", "win", "z").orderBy(F.xxhash64("series_id", "win"), "series_id", "win").limit(n).withColumn("role", F.lit(role))
-    rows = bounded(train, "train", MAX_TRAIN).unionByName(bounded(test, "test", MAX_TRAIN // 4)).unionByName(bounded(incomplete, "gap", MAX_TRAIN // 4))
+    rows = materialise(bounded(train, "train", MAX_TRAIN).unionByName(bounded(incomplete, "gap", MAX_TRAIN // 4)), "bounded")
+    score = "cell int, se double, ae double, n long"
 
-    def cell(pdf: pd.DataFrame) -> pd.DataFrame:
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
         first = pdf.iloc[0]
         pdf = pdf.sort_values(["series_id", "win"])
-        part = {r: np.array([np.array(v, dtype=float) for v in pdf.loc[pdf["role"] == r, "z"]]).reshape(-1, w) for r in ("train", "test", "gap")}
-        token = TokenModel.from_rows(token_rows) if token_rows else TokenModel({"": {32: 1}})
-        mse, mae, n, used = (float("nan"), float("nan"), 0, 0)
-        if len(part["train"]) >= 8 and len(part["test"]):
-            mse, mae, n, used = score_cell(part["train"], part["test"], part["gap"], first.learner, first.strategy, first.gap_kind, float(first.rate), k, draw_py(7, dataset, first.gap_kind, first.rate) % 10_000, token)
-        out = (dataset, first.learner, first.strategy, first.gap_kind, float(first.rate), mse, mae, n, used)
-        return pd.DataFrame([out], columns=["dataset", "learner", "strategy", "gap_kind", "rate", "mse", "mae", "n", "used"])
-
-    keyed = rows.crossJoin(F.broadcast(grid))  # bounded rows, times the cells
-    return keyed.groupBy("learner", "strategy", "gap_kind", "rate").applyInPandas(cell, SCORES + ", used int")
+        part = {r: _arrays(pdf.loc[pdf["role"] == r, "z"], w) for r in ("train", "gap")}
+        seed, state, used = seeds[first.gap_kind, float(first.rate)], None, 0
+        if len(part["train"]) >= 8:
+            used = len(part["train"])
+            if first.strategy != "token":
+                state, used = fit_cell(part["train"], part["gap"], first.learner, first.strategy, first.gap_kind, float(first.rate), k, seed)
+            state = state or {}
+            if first.gap_kind == "natural":  # a test window's gaps are those of its own group's incomplete windows
+                groups = kmeans_numpy(part["train"], 3, seed)
+                home = _route(part["gap"], groups) if len(part["gap"]) else np.zeros(0, dtype=int)
+                state |= {"groups": groups, "pools": [~np.isnan(part["gap"][home == c]) for c in range(len(groups))]}
+        return pd.DataFrame([(int(first.cell), used, pickle.dumps(state))], columns=["cell", "used", "state"])
+
+    fitted = {r.cell: (r.used, pickle.loads(r.state)) for r in rows.crossJoin(F.broadcast(grid)).groupBy("cell").applyInPandas(fit, "cell int, used long, state binary").collect()}  # one row a cell
+    states, used = {i: s for i, (_, s) in fitted.items() if s is not None}, {i: u for i, (u, _) in fitted.items()}
+    direct = {i: (m, r, seeds[g, r], states[i]["models"][0]) for i, m, s, g, r in cells if s == "direct" and i in states}
+    for i, (params, n) in (fit_direct(train, w, direct) if direct else {}).items():
+        states[i]["models"], used[i] = [params], n
+    shared = max(1, test.count() // 8) if "mnar_group" in kinds else 1
+    token = TokenModel.from_rows(token_rows) if token_rows else TokenModel({"": {32: 1}})
+    sent = spark.sparkContext.broadcast((cells, states, token))
+
+    def scored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        cells, states, token = sent.value
+        total: dict[int, np.ndarray] = {}
+        for pdf in batches:
+            for begin in range(0, len(pdf), CHUNK):
+                part = pdf.iloc[begin : begin + CHUNK]
+                z, hidden = _arrays(part["z"], w), {}
+                for i, learner, strategy, kind, rate in cells:
+                    if i not in states:
+                        continue
+                    if (kind, rate) not in hidden:
+                        seed = seeds[kind, rate]
+                        u = window_draws(seed, part["series_id"].tolist(), part["win"].tolist(), w + 1)
+                        hidden[kind, rate] = make_gaps(z, kind, rate, u, states[i].get("pools", []), states[i].get("groups"), seed, shared)
+                    h = hidden[kind, rate]
+                    x = np.where(h, np.nan, z)
+                    e = ((token.fill(x) if strategy == "token" else _predict(learner, states[i], x)) - z)[h]
+                    total[i] = total.get(i, np.zeros(3)) + [(e**2).sum(), np.abs(e).sum(), len(e)]
+        yield pd.DataFrame([(i, t[0], t[1], int(t[2])) for i, t in total.items()], columns=["cell", "se", "ae", "n"])
+
+    sums = test.select("series_id", "win", "z").mapInPandas(scored, score).groupBy("cell").agg(F.sum("se").alias("se"), F.sum("ae").alias("ae"), F.sum("n").alias("n"))
+    sizes = spark.createDataFrame([(i, int(u)) for i, u in used.items()], "cell int, used int")
+    out = grid.join(F.broadcast(sizes), "cell").join(sums, "cell", "left").withColumn("n", F.coalesce("n", F.lit(0).cast("long")))
+    mean = lambda c: F.when(F.col("n") > 0, F.col(c) / F.col("n")).otherwise(F.lit(float("nan")))
+    return out.select(F.lit(dataset).alias("dataset"), "learner", "strategy", "gap_kind", "rate", mean("se").alias("mse"), mean("ae").alias("mae"), "n", "used")
 
 
 def split(wins: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:

@@ -283,6 +283,38 @@ def test_cold_start(spark, data):
         prepare(wins(spark, data, "type_15min"), 96, 2)
 
 
+@pytest.mark.parametrize("name", sorted(LEARNERS))
+def test_sums_fit_what_one_fit_does(name):
+    r = np.random.default_rng(2)
+    y = np.sin(np.arange(10) / 2 + r.random((90, 1)) * 3) + 0.05 * r.normal(size=(90, 10))
+    x = np.where(r.random(y.shape) < 0.3, np.nan, y)
+    m = LEARNERS[name]
+    params = m.prepare(x, y, 3)
+    parts = [m.sums(params, x[i : i + 40], y[i : i + 40], list(range(i, min(90, i + 40)))) for i in (0, 40, 80)]
+    made = m.from_sums(params, {k: sum(p[k] for p in parts) for k in parts[0]})
+    close = 1.0 if name == "linear_diffusion" else 1e-6  # its noise is drawn otherwise
+    assert np.abs(m.predict(made, x) - m.predict(m.fit(x, y, 3), x)).max() < close
+
+
+def test_grid_scores_every_window(spark, monkeypatch):
+    from gapweave.plans import experiments
+
+    monkeypatch.setattr(experiments, "MAX_TRAIN", 40)
+    r = np.random.default_rng(4)
+    z = np.sin(np.arange(8) + r.random((300, 1)) * 3) + 0.1 * r.normal(size=(300, 8))
+    rows = [(str(i), 0, [float(v) if i < 280 or j % 3 else None for j, v in enumerate(x)]) for i, x in enumerate(z)]
+    df = spark.createDataFrame(rows, "series_id string, win long, z array<double>")
+    at = F.col("series_id").cast("int")
+    runs = []
+    for n in (1, 5):
+        parts = [df.where(c).repartition(n) for c in (at < 200, (at >= 200) & (at < 280), at >= 280)]
+        grid = experiments.run_grid(*parts, 8, "t", ("gaussian", "linear_diffusion"), ("direct", "framework"), ("natural", "mnar_burst", "mnar_group"), (0.5,))
+        runs.append(sorted((g.learner, g.strategy, g.gap_kind, round(g.mse, 9), round(g.mae, 9), g.n, g.used) for g in grid.collect()))
+    assert runs[0] == runs[1] and len(runs[0]) == 12
+    assert all(g[5] == 80 * 4 for g in runs[0] if g[2] == "mnar_burst") and all(g[5] > 80 for g in runs[0])
+    assert all(g[6] == 200 for g in runs[0] if g[1] == "direct")
+
+
 def test_planted_order(spark):
     """Where signal and gaps are planted: by cluster beats one model, which beats the mean."""
     from gapweave.queries.imputation import QUERIES
