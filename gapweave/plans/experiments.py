@@ -88,8 +88,8 @@ def fit_cell(train: np.ndarray, gaps: np.ndarray, learner: str, strategy: str, k
     for clusters without a model of their own the only model is that of one cluster."""
     rng = np.random.default_rng(seed)
     patterns = ~np.isnan(gaps)
-    own = strategy in ("framework", "projection_only", "mask_only")
-    k = k if own else 1
+    own = strategy in ("framework", "one_cluster", "projection_only", "mask_only")
+    k = k if own and strategy != "one_cluster" else 1
     centroids = kmeans_numpy(train, k, seed) if k > 1 else train.mean(axis=0)[None]
     pattern_home = _route(gaps, centroids) if len(gaps) else np.zeros(0, dtype=int)
     model, home, models, used = LEARNERS[learner], _route(train, centroids), [], 0
@@ -102,7 +102,7 @@ def fit_cell(train: np.ndarray, gaps: np.ndarray, learner: str, strategy: str, k
         if strategy == "generative":
             shown = adversarial_masks((~patterns).astype(int), len(mine), seed) == 0 if len(patterns) else ~hide(mine.shape, rate, rng)
             masked = [~shown]
-        elif strategy in ("direct", "one_cluster", "mask_only") or not len(patterns):
+        elif strategy in ("direct", "mask_only") or not len(patterns):
             masked = [hide(mine.shape, max(rate, 0.05), rng)]
         else:
             pool = patterns[pattern_home == c] if kind == "natural" else patterns

@@ -315,6 +315,21 @@ def test_grid_scores_every_window(spark, monkeypatch):
     assert all(g[6] == 200 for g in runs[0] if g[1] == "direct")
 
 
+def test_one_cluster_projects_onto_its_own_sample():
+    from gapweave.plans import experiments
+
+    r = np.random.default_rng(6)
+    train = r.normal(size=(900, 6)).cumsum(axis=1)
+    gaps = np.where(np.arange(6)[None] == 2, np.nan, train[:50])
+    fit = lambda s: experiments.fit_cell(train, gaps, "bidirectional", s, "natural", 0.5)
+    (one, used), (direct, every) = fit("one_cluster"), fit("direct")
+    assert used == 640 and every == 900 and len(one["models"]) == 1
+    full = LEARNERS["bidirectional"].fit(train, train, 0)
+    hidden = np.where(np.arange(6)[None] == 2, np.nan, train)
+    at = lambda p: float(((LEARNERS["bidirectional"].predict(p, hidden) - train)[:, 2] ** 2).mean())
+    assert at(one["models"][0]) < at(full)
+
+
 def test_planted_order(spark):
     """Where signal and gaps are planted: by cluster beats one model, which beats the mean."""
     from gapweave.queries.imputation import QUERIES
