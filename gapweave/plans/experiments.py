@@ -1,7 +1,9 @@
 """The experiment grids: strategies, learners, gap kinds and levels, scored on held-out windows.
 
 A cell (learner, strategy, gap kind, rate) is fitted in one group of bounded size, or from sums over all training windows
-(``direct``), and scored on every held-out window; all cells of a grid go through the same jobs.
+(``direct``), and scored on every held-out window; all cells of a grid go through the same jobs. The strategy ``framework`` is a short
+substitute for the pipeline: k is fixed, routing is by masked Euclid, there is no bound on the assignment, no structure
+gate and no mask search, and for kinds other than natural the level under test is hidden at random.
 """
 
 from __future__ import annotations
