@@ -60,12 +60,16 @@ def one_fit(z: np.ndarray, patterns: np.ndarray, learner: str, share: float, see
 
 
 def sweep_masks(pairs: DataFrame, w: int, learner: str = "gaussian", schedule: list[float] | None = None, runs: int = 5, score: str = "own", max_group: int = MAX_GROUP) -> DataFrame:
-    """Losses of every (cluster, step, run), one job: ``pairs`` has cluster, z (complete) and words (projected)."""
+    """Losses of every (cluster, step, run), one job: ``pairs`` has cluster, z (complete) and words (projected).
+
+    All pairs of a cluster are used; more than ``max_group`` are an error.
+    """
     schedule = schedule or mask_schedule()
     spark = pairs.sparkSession
     grid = spark.createDataFrame([(i, float(m), r) for i, m in enumerate(schedule) for r in range(runs)], "step int, mask double, run int")
     place = F.row_number().over(Window.partitionBy("cluster").orderBy("series_id", "win"))
-    bounded = pairs.withColumn("_place", place).where(F.col("_place") <= max_group)
+    above = F.raise_error(F.lit(f"a cluster has more than {max_group} pairs: assign under a bound first")).cast("boolean")
+    bounded = pairs.withColumn("_place", place).where(F.when(F.col("_place") <= max_group, F.lit(True)).otherwise(above))
 
     def cell(pdf: pd.DataFrame) -> pd.DataFrame:
         c, i, r = int(pdf["cluster"].iloc[0]), int(pdf["step"].iloc[0]), int(pdf["run"].iloc[0])
@@ -74,7 +78,7 @@ def sweep_masks(pairs: DataFrame, w: int, learner: str = "gaussian", schedule: l
         oracle, real, n = one_fit(z, _unpack(pdf["words"].tolist(), w), learner, float(pdf["mask"].iloc[0]), draw_py(SEEDS["mask"], c, i, r), score)
         return pd.DataFrame([(c, i, float(pdf["mask"].iloc[0]), r, oracle, real, n)], columns=["cluster", "step", "mask", "run", "oracle", "projected", "n"])
 
-    rows = bounded.select("cluster", "series_id", "win", "z", "words").crossJoin(F.broadcast(grid))  # a sample of bounded groups, times the grid
+    rows = bounded.select("cluster", "series_id", "win", "z", "words").crossJoin(F.broadcast(grid))  # bounded groups, times the grid
     return rows.groupBy("cluster", "step", "run").applyInPandas(cell, TRACE)
 
 

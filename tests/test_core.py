@@ -205,6 +205,14 @@ def test_schedule_and_rules(spark):
     assert len(t) == 6 and {r.mask for r in chosen.collect()} <= {r.mask for r in t}
 
 
+def test_sweep_drops_no_pairs(spark):
+    pairs = spark.createDataFrame([(i % 2, str(i), 0, [math.sin(i + j) for j in range(8)], [0b11110111]) for i in range(60)], "cluster int, series_id string, win long, z array<double>, words array<bigint>")
+    got = minmask.sweep_masks(pairs, 8, "profile", [0.1], 1, max_group=30).collect()
+    assert [r.n for r in got] == [30, 30]
+    with pytest.raises(Exception, match="more than 29 pairs"):
+        minmask.sweep_masks(pairs, 8, "profile", [0.1], 1, max_group=29).collect()
+
+
 def test_rivals_and_sets(spark):
     inc = spark.createDataFrame([(c, str(i), 0, [(1 << (i % 7 + 1)) | 1], 2) for c in (0, 1) for i in range(c * 20, c * 20 + (20 if c == 0 else 1))], "cluster int, series_id string, win long, words array<bigint>, n_obs int")
     rows = patterns.compared(inc, 8).collect()
