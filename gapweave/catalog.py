@@ -24,4 +24,4 @@ def flagship(spark: SparkSession, folder: str) -> DataFrame:
     from .plans.pipeline import run_framework
     from .queries.windows import W, wins
 
-    return run_framework(wins(spark, folder), W, runs=2, gate=-1.0)[0]
+    return run_framework(wins(spark, folder), W, runs=2)[0]

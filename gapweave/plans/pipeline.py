@@ -135,8 +135,8 @@ def impute(wins: DataFrame, models: DataFrame, w: int) -> DataFrame:
     return wins.select("series_id", "win", "x", "z", "mu", "sd", "cluster").mapInPandas(run, "series_id string, win long, x array<double>, filled array<double>, source string, cluster int")
 
 
-def run_framework(wins: DataFrame, w: int, learner: str = "gaussian", k: int | None = 3, **options) -> tuple[DataFrame, Prepared, DataFrame]:
-    """(readings, prepared, models) of the whole framework over ``wins``."""
+def run_framework(wins: DataFrame, w: int, learner: str = "gaussian", k: int | None = None, **options) -> tuple[DataFrame, Prepared, DataFrame]:
+    """(readings, prepared, models) of the whole framework over ``wins``; k is searched for if it is not given."""
     p = prepare(wins, w, k)
     models, _, _ = train(p, learner, **options)
     routed = route(p.windows.where("n_obs > 0"), p.centroids)

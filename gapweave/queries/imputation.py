@@ -172,7 +172,11 @@ def _reduction_sql(name: str) -> str:
 
 
 def framework_readings(s, d):
-    return pipeline.run_framework(wins(s, d), W, runs=2, gate=-1.0)[0]
+    return pipeline.run_framework(wins(s, d), W, runs=2)[0]
+
+
+def framework_readings_k3_no_gate(s, d):
+    return pipeline.run_framework(wins(s, d), W, k=3, runs=2, gate=-1.0)[0]
 
 
 def framework_planted(s, d):
@@ -183,9 +187,12 @@ def framework_planted(s, d):
     return pipeline.run_framework(w, W, runs=2)[0]
 
 
-def framework_models(s, d):
-    p = pipeline.prepare(wins(s, d), W, 3)
-    return pipeline.train(p, "profile", gate=-1.0, runs=2)[0].select("cluster", "kind", F.size("params").alias("parts"), "version")
+def _models(k, **options):
+    def run(s, d):
+        p = pipeline.prepare(wins(s, d), W, k)
+        return pipeline.train(p, "profile", runs=2, **options)[0].select("cluster", "kind", F.size("params").alias("parts"), "version")
+
+    return run
 
 
 def _grid(names, learners, strategies, kinds=("mcar",), rates=(0.5,), k=3):
@@ -213,10 +220,10 @@ def stage_times(s, d):
     """Wall milliseconds of each stage, framework and direct, at two gap levels."""
     t = metrics.Timer()
     with t.stage("preprocess"):
-        p = pipeline.prepare(wins(s, d), W, 3)
+        p = pipeline.prepare(wins(s, d), W)
         p.assigned.count()
     with t.stage("train"):
-        models, _, _ = pipeline.train(p, "gaussian", gate=-1.0, runs=2)
+        models, _, _ = pipeline.train(p, "gaussian", runs=2)
         models = models.cache()
         models.count()
     with t.stage("infer"):
@@ -250,7 +257,9 @@ QUERIES = {
     "role_counts": gap_profile_masks,
     "framework_readings": framework_readings,
     "framework_planted": framework_planted,
-    "framework_models": framework_models,
+    "framework_models": _models(None),
+    "framework_readings_k3_no_gate": framework_readings_k3_no_gate,
+    "framework_models_k3_no_gate": _models(3, gate=-1.0),
     "exp1_mse_grid": _grid(ALL_SETS, (*EVALUATED, "gaussian"), ("direct", "framework")),
     "exp2_levels": _grid(("planted_truth",), ("gaussian", "stationarised"), ("direct", "framework"), ("mcar", "mnar_value", "mnar_burst", "mnar_group"), (0.1, 0.3, 0.5, 0.7, 0.9)),
     "exp3_pretrained": _grid(("planted_truth",), ("gaussian",), ("framework", "token"), ("mcar",), (0.1, 0.5, 0.9)),

@@ -283,6 +283,29 @@ def test_flagship(spark, data):
     assert out.count() > 0 and out.where("value IS NULL").count() == 0
 
 
+def test_end_to_end_queries_search_and_gate(spark, data, monkeypatch):
+    """The headline queries leave k to the search and the gate on; the other forms say so in their names."""
+    import __spark_entry__
+    from gapweave.plans import pipeline
+    from gapweave.queries.imputation import QUERIES
+
+    class Stop(Exception):
+        pass
+
+    seen = []
+
+    def train(p, learner="gaussian", gate=2 / 3, **options):
+        seen.append(gate)
+        raise Stop
+
+    monkeypatch.setattr(pipeline, "prepare", lambda wins, w, k=None, **options: seen.append(k))
+    monkeypatch.setattr(pipeline, "train", train)
+    for run in (lambda: __spark_entry__.entry(spark), *(lambda n=n: QUERIES[n](spark, data) for n in ("framework_readings", "framework_models"))):
+        with pytest.raises(Stop):
+            run()
+    assert seen == [None, 2 / 3] * 3
+
+
 def test_cold_start(spark, data):
     from gapweave.plans.pipeline import prepare
     from gapweave.queries.windows import wins
