@@ -36,24 +36,40 @@ def generated(chain_: np.ndarray, *ids: Column | str, seed: int = SEEDS["generat
     return F.slice(F.aggregate(F.sequence(F.lit(0), F.lit(w - 1)), F.array(F.lit(0)), step), F.lit(2), F.lit(w))
 
 
-def adversarial_masks(masks: np.ndarray, n: int, seed: int = 0, rounds: int = 300, hidden: int = 16, rate: float = 0.05) -> np.ndarray:
-    """n masks (1 missing) from a tiny generator trained against a logistic critic on pairwise features of real masks."""
+def _sigmoid(t: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(t, -30, 30)))
+
+
+def train_generator(masks: np.ndarray, seed: int = 0, rounds: int = 300, hidden: int = 16, rate: float = 0.05) -> tuple[np.ndarray, np.ndarray]:
+    """A tiny generator of masks (1 missing) trained against a logistic critic on pairwise features of real ones: its weights."""
     rng = np.random.default_rng(seed)
     w = masks.shape[1]
     a, b = rng.normal(0, 0.5, (hidden, w)), np.log((masks.mean(axis=0) + 0.02) / (1.02 - masks.mean(axis=0)))
     critic = np.zeros(2 * w - 1)
     look = lambda m: np.hstack([m, m[:, 1:] * m[:, :-1]])
-    sig = lambda t: 1 / (1 + np.exp(-np.clip(t, -30, 30)))
     for _ in range(rounds):
         real = look(masks[rng.integers(0, len(masks), 64)].astype(float))
         noise = rng.normal(size=(64, hidden))
-        p = sig(noise @ a + b)
+        p = _sigmoid(noise @ a + b)
         fake = look(p)
-        critic += rate * (real.T @ (1 - sig(real @ critic)) - fake.T @ sig(fake @ critic)) / 64 - 0.01 * critic
-        pull = (1 - sig(fake @ critic))[:, None]
+        critic += rate * (real.T @ (1 - _sigmoid(real @ critic)) - fake.T @ _sigmoid(fake @ critic)) / 64 - 0.01 * critic
+        pull = (1 - _sigmoid(fake @ critic))[:, None]
         own, neighbour = critic[:w], critic[w:]
         grad = own[None] + np.hstack([np.zeros((64, 1)), p[:, :-1] * neighbour]) + np.hstack([p[:, 1:] * neighbour, np.zeros((64, 1))])
         flow = pull * grad * p * (1 - p)
         a += rate * noise.T @ flow / 64
         b = b + rate * flow.mean(axis=0)
-    return (rng.random((n, w)) < sig(rng.normal(size=(n, hidden)) @ a + b)).astype(int)
+    return a, b
+
+
+def sample_masks(generator: tuple[np.ndarray, np.ndarray], u: np.ndarray) -> np.ndarray:
+    """Masks (True missing) from uniform draws, a row a mask: as many as the generator has hidden units, then one a slot."""
+    a, b = generator
+    noise = (u[:, : len(a)] - 0.5) * np.sqrt(12.0)  # mean 0, variance 1
+    return u[:, len(a) :] < _sigmoid(noise @ a + b)
+
+
+def adversarial_masks(masks: np.ndarray, n: int, seed: int = 0, rounds: int = 300, hidden: int = 16, rate: float = 0.05) -> np.ndarray:
+    """n masks (1 missing) from a generator trained on ``masks``."""
+    generator = train_generator(masks, seed, rounds, hidden, rate)
+    return sample_masks(generator, np.random.default_rng(seed + 1).random((n, hidden + masks.shape[1]))).astype(int)

@@ -263,9 +263,12 @@ class MaskedAttention(Learner):
                 best = (loss, width)
         return {"width": np.array([best[1]])}
 
-    @staticmethod
-    def _attend(x: np.ndarray, width: float) -> np.ndarray:
+    @classmethod
+    def _attend(cls, x: np.ndarray, width: float, most: int = 1 << 22) -> np.ndarray:
         w = x.shape[1]
+        step = max(1, most // (w * w))  # a weight for each pair of slots: some windows at a time
+        if len(x) > step:
+            return np.vstack([cls._attend(x[i : i + step], width) for i in range(0, len(x), step)])
         at = np.arange(w)
         kernel = np.exp(-((at[:, None] - at[None]) ** 2) / (2 * width**2))
         np.fill_diagonal(kernel, 0.0)
@@ -406,14 +409,14 @@ class LinearDiffusion(Learner):
         return {**params, **{f"level{k}": solve_ridge(sums[f"gram{k}"], sums[f"cross{k}"]) for k in range(len(self.levels))}}
 
     def predict(self, params, x):
-        rng = np.random.default_rng(int(params["seed"][0]))
+        rng = np.random.default_rng(int(params["seed"][0]))  # the same noise for every window: a guess does not depend on its batch
         seen, total = ~np.isnan(x), np.zeros(x.shape)
         for _ in range(self.draws):
-            now = np.where(seen, np.nan_to_num(x), rng.normal(size=x.shape) * self.levels[0])
+            now = np.where(seen, np.nan_to_num(x), rng.normal(size=(1, x.shape[1])) * self.levels[0])
             for k, level in enumerate(self.levels):
                 clean = _read(np.hstack([now, seen]), params[f"level{k}"])
                 step = self.levels[k + 1] if k + 1 < len(self.levels) else 0.0
-                now = np.where(seen, np.nan_to_num(x), clean + step * rng.normal(size=x.shape))
+                now = np.where(seen, np.nan_to_num(x), clean + step * rng.normal(size=(1, x.shape[1])))
             total += now
         return total / self.draws
 

@@ -26,13 +26,16 @@ def training_sample(wins: DataFrame, most: int = MAX_SAMPLE) -> DataFrame:
     return wins.where(draw(SEEDS["sample"], "series_id", "win") < most / n * float(1 << 32))
 
 
-def initial_centroids(wins: DataFrame, k: int, how: str = "hash", seed: int = SEEDS["init"], sample: int = 4096) -> np.ndarray:
-    """k starting points: the first in hash order, or spread by squared distance (k-means++) over a bounded sample."""
+def _points(wins: DataFrame, n: int, seed: int = SEEDS["init"]) -> np.ndarray:
+    """The first n windows in hash order."""
     ordered = wins.select("z", draw(seed, "series_id", "win").alias("h"), "series_id", "win").orderBy("h", "series_id", "win")
-    rows = ordered.limit(k if how == "hash" else max(k, sample)).collect()
+    rows = ordered.limit(n).collect()
     if not rows:
         raise NoCompleteWindows("no complete window to start from")
-    points = np.array([r.z for r in rows], dtype=float)
+    return np.array([r.z for r in rows], dtype=float)
+
+
+def _start(points: np.ndarray, k: int, how: str, seed: int = SEEDS["init"]) -> np.ndarray:
     if how == "hash":
         return points[:k]
     chosen = [points[0]]
@@ -43,6 +46,11 @@ def initial_centroids(wins: DataFrame, k: int, how: str = "hash", seed: int = SE
     return np.array(chosen)
 
 
+def initial_centroids(wins: DataFrame, k: int, how: str = "hash", seed: int = SEEDS["init"], sample: int = 4096) -> np.ndarray:
+    """k starting points: the first in hash order, or spread by squared distance (k-means++) over a bounded sample."""
+    return _start(_points(wins, k if how == "hash" else max(k, sample), seed), k, how, seed)
+
+
 def _partials(batch: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
     """Sums, counts and inertia by nearest centroid: K rows reach the driver."""
     k, w = centroids.shape
@@ -82,44 +90,118 @@ def lloyd(wins: DataFrame, k: int, iterations: int = 10, init: str = "hash", tol
     return centroids
 
 
-def minibatch_kmeans(wins: DataFrame, k: int, batch: int = 1024, iterations: int = 20, init: str = "plus", seed: int = SEEDS["batch"]) -> np.ndarray:
-    """k-means on hashed batches: a centre moves by its batch mean at the rate 1 / (points it has seen)."""
+def _batches(wins: DataFrame, batch: int, iterations: int, seed: int) -> tuple[list[np.ndarray], bool]:
+    """Mini-batches drawn by hash, all in one job, and whether a batch is everything.
+
+    About ``batch * iterations`` windows at most reach the driver, whatever the size of ``wins``.
+    """
     total = wins.count()
     if not total:
         raise NoCompleteWindows("no complete window to cluster")
-    centroids = initial_centroids(wins, k, init)
-    seen = np.zeros(len(centroids))
+    if batch >= total:
+        rows = sorted(wins.select("series_id", "win", "z").collect())
+        return [np.array([r.z for r in rows], dtype=float)], True
+    tags = [F.when(draw(seed + 1000 * (t + 1), "series_id", "win") < batch / total * float(1 << 32), t) for t in range(iterations)]
+    rows = sorted(wins.select(F.explode(F.array_compact(F.array(*tags))).alias("t"), "series_id", "win", "z").collect())
+    found = [[r.z for r in rows if r.t == t] for t in range(iterations)]
+    return [np.array(f, dtype=float) for f in found if f], False
+
+
+def _descend(centroids: np.ndarray, batches: list[np.ndarray], whole: bool, iterations: int) -> np.ndarray:
+    """A centre moves by its batch mean at the rate 1 / (points it has seen); a batch of everything is a step of Lloyd's."""
+    centroids, seen = centroids.copy(), np.zeros(len(centroids))
     for t in range(iterations):
-        part = wins if batch >= total else wins.where(draw(seed + 1000 * (t + 1), "series_id", "win") < batch / total * float(1 << 32))
-        sums, counts, _ = _partials(part, centroids)
-        if batch >= total:  # the batch is everything: the step is Lloyd's
-            seen[:] = 0
-        seen += counts
-        at = counts > 0
-        centroids = centroids.copy()
-        centroids[at] += (counts[at] / seen[at])[:, None] * (sums[at] / counts[at][:, None] - centroids[at])
+        z = batches[t % len(batches)]
+        at = ((z[:, None, :] - centroids[None]) ** 2).sum(axis=2).argmin(axis=1)
+        counts = np.bincount(at, minlength=len(centroids)).astype(float)
+        sums = np.zeros_like(centroids)
+        np.add.at(sums, at, z)
+        seen = counts if whole else seen + counts
+        hit = counts > 0
+        centroids[hit] += (counts[hit] / seen[hit])[:, None] * (sums[hit] / counts[hit][:, None] - centroids[hit])
     return centroids
 
 
+def minibatch_kmeans(wins: DataFrame, k: int, batch: int = 1024, iterations: int = 20, init: str = "plus", seed: int = SEEDS["batch"]) -> np.ndarray:
+    """k-means on hashed batches: a bounded sample is fetched in one job, the steps are the driver's."""
+    batches, whole = _batches(wins, batch, iterations, seed)
+    return _descend(initial_centroids(wins, k, init), batches, whole, iterations)
+
+
 def stable_order(centroids: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """Cluster numbers by falling size, then by centroid."""
     order = sorted(range(len(centroids)), key=lambda c: (-counts[c], tuple(centroids[c])))
     return centroids[order]
 
 
+def _stats(wins: DataFrame, sets: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray, float]]:
+    """(counts, sums of distances, inertia) by nearest centroid, of every set of centroids, in one pass over ``wins``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = [np.zeros((len(c), 3)) for c in sets]
+        for b in batches:
+            for begin in range(0, b.num_rows, 4096):
+                z = np.array(b.column("z").slice(begin, 4096).to_pylist(), dtype=float)
+                for c, out in zip(sets, total, strict=True):
+                    d = ((z[:, None, :] - c[None]) ** 2).sum(axis=2)
+                    at = d.argmin(axis=1)
+                    least = d[np.arange(len(z)), at]
+                    np.add.at(out, at, np.stack([np.ones(len(z)), np.sqrt(least), least], axis=1))
+        rows = [(i, k, *map(float, row)) for i, out in enumerate(total) for k, row in enumerate(out)]
+        yield pa.record_batch([pa.array(c, kind) for c, kind in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), *[pa.float64()] * 3), strict=True)], names=["trial", "cluster", "n", "dist", "cost"])
+
+    rows = wins.select("z").mapInArrow(run, "trial int, cluster int, n double, dist double, cost double").groupBy("trial", "cluster").agg(F.sum("n").alias("n"), F.sum("dist").alias("dist"), F.sum("cost").alias("cost")).collect()
+    found = [(np.zeros(len(c)), np.zeros(len(c)), [0.0]) for c in sets]
+    for r in rows:  # one row a centroid
+        n, dist, cost = found[r.trial]
+        n[r.cluster], dist[r.cluster] = r.n, r.dist
+        cost[0] += r.cost
+    return [(n, dist, cost[0]) for n, dist, cost in found]
+
+
+def index_of(centroids: np.ndarray, counts: np.ndarray, distances: np.ndarray) -> float | None:
+    """The Davies-Bouldin index from each cluster's size and sum of distances; None for one cluster or coincident centroids."""
+    used = np.flatnonzero(counts > 0)
+    if len(used) < 2:
+        return None
+    spread = distances[used] / counts[used]
+    gap = np.sqrt(((centroids[used][:, None] - centroids[used][None]) ** 2).sum(axis=2))
+    np.fill_diagonal(gap, np.inf)
+    if not gap.all():
+        return None
+    return float(((spread[:, None] + spread[None]) / gap).max(axis=1).mean())
+
+
+class Trials:
+    """Restarted mini-batch clusterings of one sample: starting points and batches are fetched once for every k."""
+
+    def __init__(self, wins: DataFrame, restarts: int = 3, batch: int = 4096, iterations: int = 15) -> None:
+        self.wins, self.restarts, self.iterations = wins, restarts, iterations
+        self.points = _points(wins, 4096)
+        self.batches, self.whole = _batches(wins, batch, iterations, SEEDS["batch"])
+
+    def best(self, k: int) -> tuple[np.ndarray, float | None]:
+        """The centroids of least inertia, renumbered, and their index; one pass over the sample for all restarts."""
+        made = []
+        for r in range(self.restarts):
+            turned = self.batches[r % len(self.batches) :] + self.batches[: r % len(self.batches)]
+            made.append(_descend(_start(self.points, k, "plus" if r else "hash", SEEDS["init"] + 7 * max(0, r - 1)), turned, self.whole, self.iterations))
+        found = _stats(self.wins, made)
+        at = min(range(len(made)), key=lambda i: (found[i][2], i))
+        counts, distances, _ = found[at]
+        return stable_order(made[at], counts), index_of(made[at], counts, distances)
+
+
 def best_of(wins: DataFrame, k: int, restarts: int = 3, batch: int = 4096, iterations: int = 15) -> np.ndarray:
     """The least inertia of several mini-batch runs, renumbered."""
-    best = None
-    for r in range(restarts):
-        c = minibatch_kmeans(wins, k, batch, iterations, "plus" if r else "hash", SEEDS["batch"] + 7 * r)
-        _, counts, cost = _partials(wins, c)
-        if best is None or cost < best[0]:
-            best = (cost, c, counts)
-    return stable_order(best[1], best[2])
+    return Trials(wins, restarts, batch, iterations).best(k)[0]
 
 
 def plain_distances(z: str, centroids: np.ndarray):
-    col = F.col(z)
+    return plain_distances_of(F.col(z), centroids)
+
+
+def plain_distances_of(col, centroids: np.ndarray):
     out = []
     for c in centroids:
         diff = F.zip_with(col, F.array(*[F.lit(float(v)) for v in c]), lambda a, b: (a - b) * (a - b))
@@ -196,11 +278,12 @@ def search_k(score, kmin: int, kmax: int, how: str = "bisect") -> KSearch:
 
 
 def find_k(wins: DataFrame, kmin: int = 2, kmax: int = 8, how: str = "bisect", restarts: int = 3) -> tuple[KSearch, dict[int, np.ndarray]]:
-    """Search k by the Davies-Bouldin index of clusterings of ``wins`` (a persisted sample)."""
+    """Search k by the Davies-Bouldin index of clusterings of ``wins`` (a written sample): one pass for each k tried."""
     made: dict[int, np.ndarray] = {}
+    trials = Trials(wins, restarts)
 
     def score(k: int) -> float | None:
-        made[k] = best_of(wins, k, restarts)
-        return davies_bouldin(cluster_sequences(wins, made[k]), made[k]).first().dbi
+        made[k], index = trials.best(k)
+        return index
 
     return search_k(score, kmin, kmax, how), made

@@ -9,8 +9,9 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import SEEDS, draw_py
 from ..learners.core import LEARNERS
+from ..sources.scratch import materialise
 
-TRACE = "cluster int, step int, mask double, run int, oracle double, projected double, n int"
+TRACE = "cluster int, learner string, step int, mask double, run int, oracle double, projected double, n int"
 #: Windows of one cluster that a fit may hold; groups of applyInPandas do not spill.
 MAX_GROUP = 100_000
 
@@ -59,55 +60,55 @@ def one_fit(z: np.ndarray, patterns: np.ndarray, learner: str, share: float, see
     return float((a[slots] ** 2).mean()), float((b[scored] ** 2).mean()) if scored.any() else float("nan"), n
 
 
-def sweep_masks(pairs: DataFrame, w: int, learner: str = "gaussian", schedule: list[float] | None = None, runs: int = 5, score: str = "own", max_group: int = MAX_GROUP) -> DataFrame:
-    """Losses of every (cluster, step, run), one job: ``pairs`` has cluster, z (complete) and words (projected).
+def sweep_masks(pairs: DataFrame, w: int, learner: str | tuple[str, ...] = "gaussian", schedule: list[float] | None = None, runs: int = 5, score: str = "own", max_group: int = MAX_GROUP) -> DataFrame:
+    """Losses of every (cluster, learner, step, run), one job: ``pairs`` has cluster, z (complete) and words (projected).
 
-    All pairs of a cluster are used; more than ``max_group`` are an error.
+    A group is a cluster's pairs for one run, which goes through all steps: pairs are shuffled ``runs`` times. All pairs
+    of a cluster are used; more than ``max_group`` are an error.
     """
-    schedule = schedule or mask_schedule()
-    spark = pairs.sparkSession
-    grid = spark.createDataFrame([(i, float(m), r) for i, m in enumerate(schedule) for r in range(runs)], "step int, mask double, run int")
+    schedule, learners = schedule or mask_schedule(), (learner,) if isinstance(learner, str) else tuple(learner)
     place = F.row_number().over(Window.partitionBy("cluster").orderBy("series_id", "win"))
     above = F.raise_error(F.lit(f"a cluster has more than {max_group} pairs: assign under a bound first")).cast("boolean")
     bounded = pairs.withColumn("_place", place).where(F.when(F.col("_place") <= max_group, F.lit(True)).otherwise(above))
 
     def cell(pdf: pd.DataFrame) -> pd.DataFrame:
-        c, i, r = int(pdf["cluster"].iloc[0]), int(pdf["step"].iloc[0]), int(pdf["run"].iloc[0])
+        c, r = int(pdf["cluster"].iloc[0]), int(pdf["run"].iloc[0])
         pdf = pdf.sort_values(["series_id", "win"])
-        z = np.array(pdf["z"].tolist(), dtype=float)
-        oracle, real, n = one_fit(z, _unpack(pdf["words"].tolist(), w), learner, float(pdf["mask"].iloc[0]), draw_py(SEEDS["mask"], c, i, r), score)
-        return pd.DataFrame([(c, i, float(pdf["mask"].iloc[0]), r, oracle, real, n)], columns=["cluster", "step", "mask", "run", "oracle", "projected", "n"])
+        z, shown = np.array(pdf["z"].tolist(), dtype=float), _unpack(pdf["words"].tolist(), w)
+        out = [(c, m, i, float(share), r, *one_fit(z, shown, m, float(share), draw_py(SEEDS["mask"], c, i, r), score)) for m in learners for i, share in enumerate(schedule)]
+        return pd.DataFrame(out, columns=["cluster", "learner", "step", "mask", "run", "oracle", "projected", "n"])
 
-    rows = bounded.select("cluster", "series_id", "win", "z", "words").crossJoin(F.broadcast(grid))  # bounded groups, times the grid
-    return rows.groupBy("cluster", "step", "run").applyInPandas(cell, TRACE)
+    rows = bounded.select("cluster", "series_id", "win", "z", "words").withColumn("run", F.explode(F.array(*[F.lit(r) for r in range(runs)])))
+    return rows.groupBy("cluster", "run").applyInPandas(cell, TRACE)
 
 
 def trace_stats(losses: DataFrame) -> DataFrame:
-    """(cluster, step, mask, oracle, projected, gap, limit): means over runs, their distance, and twice the oracle's spread."""
-    g = losses.groupBy("cluster", "step").agg(F.max("mask").alias("mask"), F.avg("oracle").alias("oracle"), F.avg("projected").alias("projected"), F.stddev_samp("oracle").alias("sd"))
-    return g.select("cluster", "step", "mask", "oracle", "projected", F.abs(F.col("oracle") - F.col("projected")).alias("gap"), (2 * F.col("sd")).alias("limit"))
+    """(cluster, learner, step, mask, oracle, projected, gap, limit): means over runs, their distance, and twice the oracle's spread."""
+    g = losses.groupBy("cluster", "learner", "step").agg(F.max("mask").alias("mask"), F.avg("oracle").alias("oracle"), F.avg("projected").alias("projected"), F.stddev_samp("oracle").alias("sd"))
+    return g.select("cluster", "learner", "step", "mask", "oracle", "projected", F.abs(F.col("oracle") - F.col("projected")).alias("gap"), (2 * F.col("sd")).alias("limit"))
 
 
 def pick_mask(trace: DataFrame, rule: str = "first_within") -> DataFrame:
-    """(cluster, mask, step, within): the first step whose gap is under its limit, or the last before it leaves the
-    limit, or else the step of the least gap, the lowest on ties."""
+    """(cluster, mask, step, within), and learner where the trace has it: the first step whose gap is under its limit, or
+    the last before it leaves the limit, or else the step of the least gap, the lowest on ties."""
+    by = [c for c in ("cluster", "learner") if c in trace.columns]
     inside = F.col("gap") < F.col("limit")
     if rule == "first_within":
         chosen = F.min(F.when(inside, F.col("step")))
     elif rule == "last_within":
-        run = Window.partitionBy("cluster").orderBy("step")
+        run = Window.partitionBy(*by).orderBy("step")
         trace = trace.withColumn("_left", F.sum((~inside).cast("int")).over(run))
         chosen = F.max(F.when(inside & (F.col("_left") == 0), F.col("step")))
     elif rule == "argmin":
         chosen = F.lit(None).cast("int")
     else:
         raise ValueError("rule is first_within, last_within or argmin")
-    g = trace.groupBy("cluster").agg(chosen.alias("hit"), F.min_by("step", F.struct("gap", "step")).alias("least"))
-    g = g.select("cluster", F.coalesce("hit", "least").alias("step"), F.col("hit").isNotNull().alias("within"))
-    return g.join(trace.select("cluster", "step", "mask"), ["cluster", "step"]).select("cluster", "step", "mask", "within")
+    g = trace.groupBy(*by).agg(chosen.alias("hit"), F.min_by("step", F.struct("gap", "step")).alias("least"))
+    g = g.select(*by, F.coalesce("hit", "least").alias("step"), F.col("hit").isNotNull().alias("within"))
+    return g.join(trace.select(*by, "step", "mask"), [*by, "step"]).select(*by, "step", "mask", "within")
 
 
-def min_mask_search(pairs: DataFrame, w: int, learner: str = "gaussian", schedule: list[float] | None = None, runs: int = 5, rule: str = "first_within") -> tuple[DataFrame, DataFrame]:
-    """The chosen mask of every cluster, and the trace."""
-    trace = trace_stats(sweep_masks(pairs, w, learner, schedule, runs)).cache()
+def min_mask_search(pairs: DataFrame, w: int, learner: str | tuple[str, ...] = "gaussian", schedule: list[float] | None = None, runs: int = 5, rule: str = "first_within") -> tuple[DataFrame, DataFrame]:
+    """The chosen mask of every cluster and learner, and the trace."""
+    trace = materialise(trace_stats(sweep_masks(pairs, w, learner, schedule, runs)), "trace")
     return pick_mask(trace, rule), trace

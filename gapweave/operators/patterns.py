@@ -14,17 +14,26 @@ def _ranked(df: DataFrame, seed: int) -> DataFrame:
     return df.withColumn("rank", F.row_number().over(order))
 
 
-def pair(incomplete: DataFrame, complete: DataFrame, mode: str = "wrap") -> DataFrame:
+def pair(incomplete: DataFrame, complete: DataFrame, mode: str = "wrap", home: str = "cluster") -> DataFrame:
     """Each incomplete window with a complete one of its cluster, both in hash order.
 
     ``wrap`` uses complete windows again when they are short, ``injective`` drops the surplus, ``replacement`` draws.
-    Incomplete needs cluster, series_id, win, words; complete cluster, series_id, win, z.
+    Incomplete needs cluster, series_id, win, words; complete cluster, series_id, win, z. ``home`` is the column of the
+    incomplete windows that names the cluster to pair from, where several collections share the complete windows.
+
+    Only as many complete windows as a cluster's incomplete ones ask for are ranked: those under a threshold of the hash
+    that twice as many and a thousand more are expected to be below.
     """
-    inc = _ranked(incomplete.select("cluster", "series_id", "win", "words"), SEEDS["inc"])
-    comp = _ranked(complete.select("cluster", F.col("series_id").alias("comp_series"), F.col("win").alias("comp_win"), "z").withColumnsRenamed({"comp_series": "series_id", "comp_win": "win"}), SEEDS["comp"])
-    comp = comp.select("cluster", F.col("rank").alias("comp_rank"), F.col("series_id").alias("comp_series"), F.col("win").alias("comp_win"), "z")
-    sizes = comp.groupBy("cluster").agg(F.count("*").alias("n_comp"))
-    inc = inc.join(F.broadcast(sizes), "cluster")
+    spark = complete.sparkSession
+    asked = incomplete.groupBy("cluster", F.col(home).alias("home")).agg(F.count("*").alias("n")).groupBy("home").agg(F.max("n").alias("n"))
+    asked = {r.home: r.n for r in asked.collect()}  # one row a cluster
+    sizes = {r.cluster: r.n for r in complete.groupBy("cluster").agg(F.count("*").alias("n")).collect() if r.cluster in asked}
+    share = {c: 1.0 if mode == "replacement" or n <= 4 * asked[c] + 2000 else (2 * asked[c] + 1000) / n for c, n in sizes.items()}
+    table = F.broadcast(spark.createDataFrame([(c, n, share[c] * float(1 << 32)) for c, n in sorted(sizes.items())] or [(-1, 0, 0.0)], "cluster int, n_comp long, below double"))
+    inc = _ranked(incomplete.select("cluster", F.col(home).alias("home"), "series_id", "win", "words"), SEEDS["inc"])
+    chosen = complete.select("cluster", "series_id", "win", "z").join(table, "cluster").where(draw(SEEDS["comp"], "series_id", "win") < F.col("below"))
+    comp = _ranked(chosen, SEEDS["comp"]).select(F.col("cluster").alias("home"), F.col("rank").alias("comp_rank"), F.col("series_id").alias("comp_series"), F.col("win").alias("comp_win"), "z")
+    inc = inc.join(table.select(F.col("cluster").alias("home"), "n_comp"), "home")
     if mode == "wrap":
         at = (F.col("rank") - 1) % F.col("n_comp") + 1
     elif mode == "injective":
@@ -33,7 +42,7 @@ def pair(incomplete: DataFrame, complete: DataFrame, mode: str = "wrap") -> Data
         at = F.floor(unit(SEEDS["comp"] + 500, "series_id", "win") * F.col("n_comp")) + 1
     else:
         raise ValueError("mode is wrap, injective or replacement")
-    return inc.withColumn("comp_rank", at.cast("int")).join(comp, ["cluster", "comp_rank"])
+    return inc.withColumn("comp_rank", at.cast("int")).join(comp, ["home", "comp_rank"])
 
 
 def project(words: str | Column, x: str | Column, w: int) -> Column:
@@ -103,10 +112,10 @@ def words_and(a: Column, b: Column, w: int) -> Column:
     return F.array(*[a[k].bitwiseAND(b[k]) for k in range(n_words(w))])
 
 
-def masked_sets(pairs: DataFrame, w: int, share: float, run: int = 0) -> DataFrame:
-    """(cluster, role, series_id, win, x_in, y, shown): projected, masked, and both; y keeps the truth."""
+def masked_sets(pairs: DataFrame, w: int, share: float | Column, run: int = 0, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(cluster, role, series_id, win, x_in, y, shown, *keep): projected, masked, and both; y keeps the truth."""
     extra = artificial_mask(w, share, "series_id", "win", run=run)
     p = pairs.withColumn("extra", extra).withColumn("both", words_and(F.col("words"), F.col("extra"), w))
     roles = F.array(*[F.struct(F.lit(r).alias("role"), F.col(c).alias("shown")) for r, c in (("proj", "words"), ("mask", "extra"), ("proj_mask", "both"))])
-    rows = p.select("cluster", "series_id", "win", F.col("z").alias("y"), F.explode(roles).alias("r"))
-    return rows.select("cluster", "r.role", "series_id", "win", project(F.col("r.shown"), F.col("y"), w).alias("x_in"), "y", F.col("r.shown").alias("shown"))
+    rows = p.select("cluster", "series_id", "win", F.col("z").alias("y"), F.explode(roles).alias("r"), *keep)
+    return rows.select("cluster", "r.role", "series_id", "win", project(F.col("r.shown"), F.col("y"), w).alias("x_in"), "y", F.col("r.shown").alias("shown"), *keep)

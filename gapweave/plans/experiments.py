@@ -1,261 +1,281 @@
-"""The experiment grids: strategies, learners, gap kinds and levels, scored on held-out windows.
+"""The experiment grids: strategies, learners, gap kinds and levels, scored on every held-out window.
 
-A cell (learner, strategy, gap kind, rate) is fitted in one group of bounded size, or from sums over all training windows
-(``direct``), and scored on every held-out window; all cells of a grid go through the same jobs. The strategy ``framework`` is a short
-substitute for the pipeline: k is fixed, routing is by masked Euclid, there is no bound on the assignment, no structure
-gate and no mask search, and for kinds other than natural the level under test is hidden at random.
+A fifth of the windows is held out by hash. Of the complete training windows a share (the pool) gets the gaps of the cell
+under test and stands for the incomplete part of the collection; the others are the clean part, on which everything
+trains. For the kind ``natural`` the incomplete part is what is incomplete in the data, and a held-out window gets the
+gaps of a held-out incomplete window of its group (the planted archetype, or the whole collection): gaps never
+depend on the framework's clusters. All cells of a grid go through the same jobs.
+
+The strategy ``framework`` is that of ``pipeline``: clustering, assignment under the bound by gap-aware warping,
+projection, structure gate, mask search, a model a kept cluster, and the global model elsewhere. Its ablations change one
+step. Values are scaled by mean and deviation of the clean part; errors are in that scale.
 """
 
 from __future__ import annotations
 
+import math
 import pickle
+import time
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
-from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..baselines.generative import adversarial_masks
+from ..baselines.generative import sample_masks, train_generator
 from ..baselines.tokens import TokenModel
-from ..functions.hashing import draw_py
-from ..learners.core import LEARNERS
-from ..operators.minmask import hide
+from ..functions.gapdtw import gap_dtw
+from ..functions.hashing import draw, draw_py, unit
+from ..functions.masks import mask_words
+from ..learners.core import LEARNERS, unpack_params
+from ..operators import bounds, gaps, series
+from ..operators.cluster import cluster_sequences
 from ..sources.scratch import materialise
+from . import pipeline
+from .fitting import CHUNK, Job, arrays, fit_everywhere, window_draws
+
+#: Strategies that are the framework, with (options of the assignment, options of the training).
+FRAMEWORK: dict[str, tuple[dict, dict]] = {
+    "framework": ({}, {}),
+    "no_gate": ({}, {"gate": -1.0}),
+    "one_cluster": ({"k": 1}, {}),
+    "one_cluster_no_gate": ({"k": 1}, {"gate": -1.0}),
+    "no_cap": ({"need": math.inf}, {}),
+    "naive_distance": ({"distance": "naive"}, {}),
+    "projection_only": ({}, {"roles": ("proj",)}),
+    "mask_only": ({}, {"roles": ("mask",)}),
+}
+STRATEGIES = ("direct", *FRAMEWORK, "generative", "generative_sample", "token")
+POOL_SEED, POOL_SHARE, TEST_SEED = 921, 0.3, 5000
+#: Gap patterns that a generator is trained on, by hash.
+GENERATOR_PATTERNS = 5000
+SCORES = "dataset string, learner string, strategy string, gap_kind string, rate double, mse double, mae double, n long, own long, used long, clean long, total long, prepare_ms double, fit_ms double, infer_ms double"
+
+
+def _spare_one(hidden, w: int, seed: int):
+    """At least one slot of a window stays visible."""
+    kept = draw(seed, "series_id", "win") % w
+    return F.when(F.forall("hidden", lambda h: h), F.transform("hidden", lambda h, i: i != kept)).otherwise(F.col("hidden"))
+
+
+def with_gaps(df: DataFrame, w: int, kind: str, rate: float, seed: int) -> DataFrame:
+    """Adds hidden to windows (series_id, win, z complete, group)."""
+    if kind == "mnar_value":
+        out = gaps.mnar_value(df, w, rate, x="z", seed=seed)
+    elif kind == "mnar_group":
+        out = gaps.mnar_group(df, w, "group", rate, seed=seed)
+    else:
+        out = {"mcar": gaps.mcar, "mnar_burst": gaps.mnar_burst}[kind](df, w, rate, seed=seed)
+    return out.withColumn("hidden", _spare_one("hidden", w, seed + 1))
+
+
+def with_natural_gaps(df: DataFrame, donors: DataFrame, w: int, rate: float, seed: int) -> DataFrame:
+    """Adds hidden: the gaps of a donor (group, series_id, win, words) of the same group, drawn by hash; at random where a
+    group has none. Donors are ranked in buckets of some thousands."""
+    buckets = donors.count() // 5000 + 1
+    own = donors.select("group", (draw(seed, "series_id", "win") % buckets).alias("bucket"), "series_id", "win", "words")
+    own = own.withColumn("place", F.row_number().over(Window.partitionBy("group", "bucket").orderBy(draw(seed + 1, "series_id", "win"), "series_id", "win")))
+    own = materialise(own.select("group", "bucket", "place", "words"), "donors")
+    sizes = own.groupBy("group", "bucket").agg(F.max("place").alias("n"))
+    asked = df.withColumn("bucket", draw(seed + 2, "series_id", "win") % buckets).join(sizes, ["group", "bucket"], "left")
+    asked = asked.withColumn("place", (draw(seed + 3, "series_id", "win") % F.col("n") + 1).cast("int")).join(own, ["group", "bucket", "place"], "left")
+    natural = F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.getbit(F.element_at("words", (i / 64).cast("int") + 1), (i % 64).cast("int")) == 0)
+    random = F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: unit(seed, "series_id", "win", i) < rate)
+    out = asked.withColumn("hidden", F.when(F.col("words").isNotNull(), natural).otherwise(random)).drop("bucket", "place", "n", "words")
+    return out.withColumn("hidden", _spare_one("hidden", w, seed + 1))
+
+
+def _masked(df: DataFrame, w: int) -> DataFrame:
+    """Windows with hidden as incomplete ones: z with gaps, n_obs, words."""
+    df = df.withColumn("z", F.zip_with("z", "hidden", lambda v, h: F.when(~h, v)))
+    return df.withColumns({"n_obs": F.size(F.filter("z", lambda v: v.isNotNull())), "words": mask_words("z", w)})
+
+
+class Setting:
+    """One data set prepared for a grid: clean, incomplete (by cell) and test windows (by cell), written."""
+
+    def __init__(self, wins: DataFrame, w: int, kinds: tuple[str, ...], rates: tuple[float, ...]) -> None:
+        self.w, self.cells = w, [(i, g, float(r)) for i, (g, r) in enumerate((g, r) for g in kinds for r in rates)]
+        wins = wins.withColumn("held", series.holdout())
+        pool = F.col("complete") & ~F.col("held") & (unit(POOL_SEED, "series_id", "win") < POOL_SHARE)
+        wins = materialise(wins.withColumn("pool", pool).select("series_id", "win", "x", "words", "n_obs", "complete", "group", "held", "pool"), "windows")
+        clean = wins.where("complete AND NOT held AND NOT pool")
+        s = clean.select(F.explode("x").alias("v")).agg(F.avg("v").alias("mu"), F.stddev_pop("v").alias("sd")).first()
+        self.empty = s.mu is None or not s.sd
+        mu, sd = (0.0, 1.0) if self.empty else (s.mu, s.sd)
+        wins = wins.withColumn("z", F.transform("x", lambda v: (v - mu) / sd)).drop("x")
+        self.clean = materialise(wins.where("complete AND NOT held AND NOT pool").select("series_id", "win", "z"), "clean")
+        self.total, self.n_clean = wins.where("n_obs > 0").count(), self.clean.count()
+        if self.empty:
+            return
+        gone, tests = [], []
+        left, test, natural, donors = wins.where("pool"), wins.where("complete AND held"), wins.where("NOT complete AND n_obs > 1 AND NOT held"), wins.where("NOT complete AND n_obs > 1 AND held")
+        for i, kind, rate in self.cells:
+            seed = 1000 + 10 * i
+            if kind == "natural":
+                gone.append(natural.select(F.lit(i).alias("cell"), "series_id", "win", "z", "n_obs", "words"))
+                t = with_natural_gaps(test.select("series_id", "win", "z", "group"), donors, w, rate, TEST_SEED + seed)
+            else:
+                gone.append(_masked(with_gaps(left.select("series_id", "win", "z", "group"), w, kind, rate, seed), w).select(F.lit(i).alias("cell"), "series_id", "win", "z", "n_obs", "words"))
+                t = with_gaps(test.select("series_id", "win", "z", "group"), w, kind, rate, TEST_SEED + seed)
+            tests.append(t.select(F.lit(i).alias("cell"), "series_id", "win", "z", "hidden"))
+        self.incomplete = materialise(reduce(DataFrame.unionByName, gone), "incomplete")
+        self.tests = materialise(reduce(DataFrame.unionByName, tests), "tests")
+
+
+def _generators(s: Setting) -> dict[int, tuple]:
+    """A trained mask generator for each cell that has incomplete windows."""
+    found = {}
+    n = {r.cell: r.n for r in s.incomplete.groupBy("cell").agg(F.count("*").alias("n")).collect()}
+    share = F.element_at(F.create_map(*[F.lit(x) for c, m in sorted(n.items()) for x in (c, min(1.0, GENERATOR_PATTERNS / m))]), F.col("cell")) if n else F.lit(0.0)
+    rows = s.incomplete.where(unit(923, "series_id", "win") < share).select("cell", "series_id", "win", F.transform("z", lambda v: v.isNull().cast("int")).alias("m"))
+    by: dict[int, list] = {}
+    for r in sorted(rows.collect()):  # about GENERATOR_PATTERNS rows a cell
+        by.setdefault(r.cell, []).append(r.m)
+    for c, masks in by.items():
+        found[c] = train_generator(np.array(masks), draw_py(31, c) % 10_000)
+    return found
+
+
+def _fit_sampled(pairs: DataFrame, k: int, w: int, generators: dict[int, tuple], learners: tuple[str, ...]) -> dict[tuple[int, str], tuple[dict, int, float]]:
+    """One model a cell and learner on the framework's own sample of complete windows, with generated gaps."""
 
-STRATEGIES = ("direct", "framework", "generative", "token", "projection_only", "mask_only", "one_cluster")
-#: Training windows of one cell, over all clusters, except ``direct``, whose sums take all.
-MAX_TRAIN = 20_000
-#: Windows that a map handles at once.
-CHUNK = 512
-
-
-def kmeans_numpy(z: np.ndarray, k: int, seed: int, rounds: int = 15) -> np.ndarray:
-    rng = np.random.default_rng(seed)
-    best = None
-    for _ in range(3):
-        c = z[rng.choice(len(z), min(k, len(z)), replace=False)].copy()
-        for _ in range(rounds):
-            at = ((z[:, None] - c[None]) ** 2).sum(axis=2).argmin(axis=1)
-            for j in range(len(c)):
-                if (at == j).any():
-                    c[j] = z[at == j].mean(axis=0)
-        cost = ((z[:, None] - c[None]) ** 2).sum(axis=2).min(axis=1).sum()
-        if best is None or cost < best[0]:
-            best = (cost, c)
-    return best[1]
-
-
-def _route(x: np.ndarray, centroids: np.ndarray) -> np.ndarray:
-    both = ~np.isnan(x)
-    d = (np.where(both[:, None], np.nan_to_num(x)[:, None] - centroids[None], 0.0) ** 2).sum(axis=2)
-    return d.argmin(axis=1)
-
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+        cell, learner = int(pdf["cell"].iloc[0]), pdf["learner"].iloc[0]
+        pdf = pdf.sort_values(["series_id", "win"])
+        began, z = time.perf_counter(), arrays(pdf["z"], w)
+        u = window_draws(37, pdf["series_id"].tolist(), pdf["win"].tolist(), len(generators[cell][0]) + w)
+        hidden = sample_masks(generators[cell], u)
+        params = LEARNERS[learner].fit(np.where(hidden, np.nan, z), z, 41)
+        return pd.DataFrame([(cell, learner, pickle.dumps(params), int(pdf[["comp_series", "comp_win"]].drop_duplicates().shape[0]), (time.perf_counter() - began) * 1000)], columns=["cell", "learner", "params", "n", "ms"])
 
-def window_draws(seed: int, series: list, wins: list, n: int) -> np.ndarray:
-    """(windows, n) uniform draws, a window's own: the same in every batch and partition."""
-    return np.array([np.random.default_rng(draw_py(seed, s, k)).random(n) for s, k in zip(series, wins, strict=True)]).reshape(-1, n)
+    rows = pairs.withColumn("cell", F.floor(F.col("cluster") / k).cast("int")).where(F.col("cell").isin(*generators) if generators else F.lit(False))
+    rows = rows.withColumn("learner", F.explode(F.array(*[F.lit(m) for m in learners])))
+    out = rows.groupBy("cell", "learner").applyInPandas(fit, "cell int, learner string, params binary, n long, ms double")
+    return {(r.cell, r.learner): (pickle.loads(r.params), r.n, r.ms) for r in out.collect()}  # one row a cell and learner
 
 
-def make_gaps(z: np.ndarray, kind: str, rate: float, u: np.ndarray, pools: list[np.ndarray], groups: np.ndarray, seed: int, shared: int) -> np.ndarray:
-    """Hidden slots of test windows: at random, by value, in bursts, shared, or as the incomplete windows of their group.
+def run_grid(wins: DataFrame, w: int, dataset: str, learners: tuple[str, ...], strategies: tuple[str, ...], kinds: tuple[str, ...] = ("mcar",), rates: tuple[float, ...] = (0.5,), k: int | None = None, token_rows: list | None = None, runs: int = 2) -> DataFrame:
+    """SCORES of every cell. ``wins`` has series_id, win, x, words, n_obs, complete and group.
 
-    ``u`` has w + 1 draws a window; ``shared`` is the number of masks that ``mnar_group`` deals out.
+    ``used`` counts the complete windows that the fits of clusters (or the one model) read, ``own`` the test windows filled by
+    a cluster's own model. Fit and inference times are milliseconds of the workers, summed; preparation is wall time.
     """
-    n, w = z.shape
-    u, pick = u[:, :w], u[:, w]
-    if kind == "natural" and any(len(p) for p in pools):
-        everything = np.vstack(pools)
-        by = [pools[c] if len(pools[c]) else everything for c in _route(z, groups)]
-        hidden = ~np.array([p[int(x * len(p))] for p, x in zip(by, pick, strict=True)]).reshape(-1, w)
-    elif kind == "mnar_value":
-        rank = (-z).argsort(axis=1).argsort(axis=1)
-        hidden = u < np.clip(rate * (1 + 0.8 * (1 - 2 * rank / max(1, w - 1))), 0, 1)
-    elif kind == "mnar_burst":
-        size = max(1, min(w, round(rate * w)))
-        start = (pick * (w - size + 1)).astype(int)[:, None]
-        hidden = (np.arange(w)[None] >= start) & (np.arange(w)[None] < start + size)
-    elif kind == "mnar_group":
-        hidden = np.array([np.random.default_rng([seed, int(x * shared)]).random(w) < rate for x in pick]).reshape(-1, w)
-    else:
-        hidden = u < rate
-    hidden = hidden.copy()
-    hidden[hidden.all(axis=1), 0] = False
-    return hidden
-
-
-def fit_cell(train: np.ndarray, gaps: np.ndarray, learner: str, strategy: str, kind: str, rate: float, k: int = 3, seed: int = 0, extra: float = 0.08) -> tuple[dict, int]:
-    """({centroids, models}, training windows) of one cell; ``gaps`` are incomplete windows with NaN. For ``direct`` and
-    for clusters without a model of their own the only model is that of one cluster."""
-    rng = np.random.default_rng(seed)
-    patterns = ~np.isnan(gaps)
-    own = strategy in ("framework", "one_cluster", "projection_only", "mask_only")
-    k = k if own and strategy != "one_cluster" else 1
-    centroids = kmeans_numpy(train, k, seed) if k > 1 else train.mean(axis=0)[None]
-    pattern_home = _route(gaps, centroids) if len(gaps) else np.zeros(0, dtype=int)
-    model, home, models, used = LEARNERS[learner], _route(train, centroids), [], 0
-    for c in range(len(centroids)):
-        mine = train[home == c]
-        mine = mine if len(mine) >= 8 else train
-        if own:  # a sample that the bound asks for, not everything
-            mine = mine[rng.permutation(len(mine))[:640]]
-        used += len(mine)
-        if strategy == "generative":
-            shown = adversarial_masks((~patterns).astype(int), len(mine), seed) == 0 if len(patterns) else ~hide(mine.shape, rate, rng)
-            masked = [~shown]
-        elif strategy in ("direct", "mask_only") or not len(patterns):
-            masked = [hide(mine.shape, max(rate, 0.05), rng)]
-        else:
-            pool = patterns[pattern_home == c] if kind == "natural" else patterns
-            pool = pool if len(pool) else patterns
-            shown = pool[rng.integers(0, len(pool), len(mine))]
-            if kind != "natural":  # the level under test is projected: that many slots of each window go
-                shown = ~hide(mine.shape, rate, rng)
-            masked = [~shown] if strategy == "projection_only" else [~shown, hide(mine.shape, extra, rng), ~shown | hide(mine.shape, extra, rng)]
-        inputs, truth = np.vstack([np.where(m, np.nan, mine) for m in masked]), np.vstack([mine] * len(masked))
-        models.append(model.prepare(inputs, truth, seed) if strategy == "direct" else model.fit(inputs, truth, seed))
-    return {"centroids": centroids, "models": models}, used
-
-
-def _arrays(column, w: int) -> np.ndarray:
-    return np.array([np.array(v, dtype=float) for v in column]).reshape(-1, w)
-
-
-def _predict(learner: str, state: dict, x: np.ndarray) -> np.ndarray:
-    model, guess, where = LEARNERS[learner], np.zeros(x.shape), _route(x, state["centroids"])
-    for c in np.unique(where):
-        at = np.flatnonzero(where == c)
-        if learner == "linear_diffusion":  # its noise goes with the shape of a call: one window a call
-            guess[at] = np.vstack([model.predict(state["models"][c], x[i : i + 1]) for i in at])
-        else:
-            guess[at] = model.predict(state["models"][c], x[at])
-    return guess
-
-
-def _added(parts: list[dict]) -> dict:
-    return {k: np.sum([p[k] for p in parts], axis=0) for k in parts[0]}
-
-
-def fit_direct(train: DataFrame, w: int, cells: dict[int, tuple[str, float, int, dict]]) -> dict[int, tuple[dict, int]]:
-    """(params, windows) of each direct cell (learner, rate, seed, prepared params), from sums over every training window."""
-
-    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total: dict[int, list] = {}
-        for pdf in batches:
-            for begin in range(0, len(pdf), CHUNK):
-                part = pdf.iloc[begin : begin + CHUNK]
-                z, series, wins = _arrays(part["z"], w), part["series_id"].tolist(), part["win"].tolist()
-                drawn = {seed: window_draws(seed + 1, series, wins, w) for seed in {c[2] for c in cells.values()}}
-                for i, (learner, rate, seed, params) in cells.items():
-                    u = drawn[seed]
-                    hidden = u < max(rate, 0.05)
-                    none = np.flatnonzero(~hidden.any(axis=1))
-                    hidden[none, u[none].argmin(axis=1)] = True
-                    seeds = [draw_py(seed + 2, s, k) for s, k in zip(series, wins, strict=True)] if learner == "linear_diffusion" else []
-                    sums = LEARNERS[learner].sums(params, np.where(hidden, np.nan, z), z, seeds)
-                    total[i] = [_added([total[i][0], sums]), total[i][1] + len(z)] if i in total else [sums, len(z)]
-        task = TaskContext.get().partitionId()
-        yield pd.DataFrame([(i, task % 16, n, pickle.dumps(t)) for i, (t, n) in total.items()], columns=["cell", "part", "n", "sums"])
-
-    def merge(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("part")
-        total = None
-        for blob in pdf["sums"]:
-            total = pickle.loads(blob) if total is None else _added([total, pickle.loads(blob)])
-        return pd.DataFrame([(int(pdf["cell"].iloc[0]), int(pdf["part"].iloc[0]), int(pdf["n"].sum()), pickle.dumps(total))], columns=["cell", "part", "n", "sums"])
-
-    schema = "cell int, part int, n long, sums binary"
-    sums = train.select("series_id", "win", "z").mapInPandas(partial, schema).groupBy("cell", "part").applyInPandas(merge, schema).groupBy("cell").applyInPandas(merge, schema)
-    return {r.cell: (LEARNERS[cells[r.cell][0]].from_sums(cells[r.cell][3], pickle.loads(r.sums)), r.n) for r in sums.collect()}  # one row a cell
-
-
-def run_grid(train: DataFrame, test: DataFrame, incomplete: DataFrame, w: int, dataset: str, learners: tuple[str, ...], strategies: tuple[str, ...], kinds: tuple[str, ...] = ("mcar",), rates: tuple[float, ...] = (0.5,), k: int = 3, token_rows: list | None = None) -> DataFrame:
-    """Scores of every cell. Inputs hold z (w numbers, gaps only in ``incomplete``).
-
-    ``direct`` is fitted on all training windows, the other strategies on at most MAX_TRAIN, by hash; ``used`` says how
-    many. All test windows are scored, in a map that the fitted cells go with.
-    """
-    spark = train.sparkSession
-    cells = [(i, m, s, g, float(r)) for i, (m, s, g, r) in enumerate((m, s, g, r) for m in learners for s in strategies for g in kinds for r in rates)]
-    seeds = {(g, float(r)): draw_py(7, dataset, g, float(r)) % 10_000 for g in kinds for r in rates}
-    grid = spark.createDataFrame(cells, "cell int, learner string, strategy string, gap_kind string, rate double")
-    bounded = lambda df, role, n: df.select("series_id", "win", "z").orderBy(F.xxhash64("series_id", "win"), "series_id", "win").limit(n).withColumn("role", F.lit(role))
-    rows = materialise(bounded(train, "train", MAX_TRAIN).unionByName(bounded(incomplete, "gap", MAX_TRAIN // 4)), "bounded")
-    score = "cell int, se double, ae double, n long"
-
-    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
-        first = pdf.iloc[0]
-        pdf = pdf.sort_values(["series_id", "win"])
-        part = {r: _arrays(pdf.loc[pdf["role"] == r, "z"], w) for r in ("train", "gap")}
-        seed, state, used = seeds[first.gap_kind, float(first.rate)], None, 0
-        if len(part["train"]) >= 8:
-            used = len(part["train"])
-            if first.strategy != "token":
-                state, used = fit_cell(part["train"], part["gap"], first.learner, first.strategy, first.gap_kind, float(first.rate), k, seed)
-            state = state or {}
-            if first.gap_kind == "natural":  # a test window's gaps are those of its own group's incomplete windows
-                groups = kmeans_numpy(part["train"], 3, seed)
-                home = _route(part["gap"], groups) if len(part["gap"]) else np.zeros(0, dtype=int)
-                state |= {"groups": groups, "pools": [~np.isnan(part["gap"][home == c]) for c in range(len(groups))]}
-        return pd.DataFrame([(int(first.cell), used, pickle.dumps(state))], columns=["cell", "used", "state"])
-
-    fitted = {r.cell: (r.used, pickle.loads(r.state)) for r in rows.crossJoin(F.broadcast(grid)).groupBy("cell").applyInPandas(fit, "cell int, used long, state binary").collect()}  # one row a cell
-    states, used = {i: s for i, (_, s) in fitted.items() if s is not None}, {i: u for i, (u, _) in fitted.items()}
-    direct = {i: (m, r, seeds[g, r], states[i]["models"][0]) for i, m, s, g, r in cells if s == "direct" and i in states}
-    for i, (params, n) in (fit_direct(train, w, direct) if direct else {}).items():
-        states[i]["models"], used[i] = [params], n
-    shared = max(1, test.count() // 8) if "mnar_group" in kinds else 1
+    spark, s = wins.sparkSession, Setting(wins, w, kinds, rates)
+    if s.empty:  # cold start: nothing to learn from
+        rows = [(dataset, m, t, g, r, None, None, 0, 0, 0, s.n_clean, s.total, 0.0, 0.0, 0.0) for m in learners for t in strategies for _, g, r in s.cells]
+        return spark.createDataFrame(rows, SCORES)
+    need = bounds.need_value()
+    models: dict[tuple, dict[int, tuple[str, dict]]] = {}  # (strategy, learner, cell) -> cluster -> (learner, params)
+    routes: dict[str, tuple[np.ndarray, str]] = {}
+    used: dict[tuple, int] = {}
+    spent: dict[tuple, tuple[float, float]] = {}
+    clustered: dict[int | None, tuple] = {}
+    admitted: dict[tuple, pipeline.Prepared] = {}
+
+    def prepared(options: dict) -> tuple[pipeline.Prepared, float]:
+        began, of = time.perf_counter(), options.get("k", k)
+        if of not in clustered:
+            if of == 1:
+                mean = np.array(s.clean.select(*[F.avg(F.col("z")[j]) for j in range(w)]).first(), dtype=float)[None]
+                clustered[of] = mean, materialise(cluster_sequences(s.clean, mean), "complete")
+            else:
+                clustered[of] = pipeline.cluster_windows(s.clean, of)
+        key = tuple(sorted(options.items()))
+        if key not in admitted:
+            centroids, labelled = clustered[of]
+            assigned = pipeline.admit(s.incomplete, centroids, w, options.get("need", need), distance=options.get("distance", "dtw"))
+            admitted[key] = pipeline.Prepared(w, None, centroids, labelled, assigned, need)
+        return admitted[key], (time.perf_counter() - began) * 1000
+
+    for strategy in strategies:
+        if strategy not in FRAMEWORK:
+            continue
+        p, prepare_ms = prepared(FRAMEWORK[strategy][0])
+        t = pipeline.fit_framework(p, learners, runs=runs, **FRAMEWORK[strategy][1])
+        kk = len(p.centroids)
+        routes[strategy] = p.centroids, FRAMEWORK[strategy][0].get("distance", "dtw")
+        table = [(r.cluster, r.kind, unpack_params(r.params)) for r in t.models.collect()]  # cells x clusters x learners
+        seen = {r.cell: r.n for r in t.pairs.groupBy(F.floor(F.col("cluster") / kk).cast("int").alias("cell")).agg(F.count_distinct("comp_series", "comp_win").alias("n")).collect()}
+        for i, _, _ in s.cells:
+            for m in learners:
+                models[strategy, m, i] = {c if c == pipeline.GLOBAL else c % kk: (kind, params) for c, kind, params in table if kind == m and (c == pipeline.GLOBAL or c // kk == i)}
+                used[strategy, m, i], spent[strategy, m, i] = seen.get(i, 0), (prepare_ms / len(s.cells), t.times[m] / len(s.cells))
+
+    generators = _generators(s) if {"generative", "generative_sample"} & set(strategies) else {}
+    jobs, keys = {}, {}
+    for strategy in strategies:
+        if strategy in ("direct", "generative"):
+            for m in learners:
+                for i, _, rate in s.cells:
+                    if strategy == "direct" or i in generators:
+                        keys[len(jobs)] = (strategy, m, i)
+                        jobs[len(jobs)] = Job(m, max(rate, 0.05), draw_py(7, dataset, rate) % 10_000, generators[i] if strategy == "generative" else None)
+    for j, (params, n, ms) in fit_everywhere(s.clean, w, jobs).items():
+        models[keys[j]], used[keys[j]], spent[keys[j]] = {pipeline.GLOBAL: (jobs[j].learner, params)}, n, (0.0, ms)
+    if "generative_sample" in strategies:
+        p, prepare_ms = prepared({})
+        inc = p.assigned.select("series_id", "win", "cluster", "words", (F.col("cluster") % len(p.centroids)).alias("home"))
+        pairs = materialise(pipeline.patterns.pair(inc, p.complete.select("cluster", "series_id", "win", "z"), home="home"), "pairs")
+        for (i, m), (params, n, ms) in _fit_sampled(pairs, len(p.centroids), w, generators, learners).items():
+            key = ("generative_sample", m, i)
+            models[key], used[key], spent[key] = {pipeline.GLOBAL: (m, params)}, n, (prepare_ms / len(s.cells), ms)
     token = TokenModel.from_rows(token_rows) if token_rows else TokenModel({"": {32: 1}})
-    sent = spark.sparkContext.broadcast((cells, states, token))
+    sent = spark.sparkContext.broadcast((models, routes, token))  # as many models as cells, clusters and learners
 
     def scored(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        cells, states, token = sent.value
-        total: dict[int, np.ndarray] = {}
+        models, routes, token = sent.value
+        total: dict[tuple, np.ndarray] = {}
         for pdf in batches:
             for begin in range(0, len(pdf), CHUNK):
-                part = pdf.iloc[begin : begin + CHUNK]
-                z, hidden = _arrays(part["z"], w), {}
-                for i, learner, strategy, kind, rate in cells:
-                    if i not in states:
-                        continue
-                    if (kind, rate) not in hidden:
-                        seed = seeds[kind, rate]
-                        u = window_draws(seed, part["series_id"].tolist(), part["win"].tolist(), w + 1)
-                        hidden[kind, rate] = make_gaps(z, kind, rate, u, states[i].get("pools", []), states[i].get("groups"), seed, shared)
-                    h = hidden[kind, rate]
-                    x = np.where(h, np.nan, z)
-                    e = ((token.fill(x) if strategy == "token" else _predict(learner, states[i], x)) - z)[h]
-                    total[i] = total.get(i, np.zeros(3)) + [(e**2).sum(), np.abs(e).sum(), len(e)]
-        yield pd.DataFrame([(i, t[0], t[1], int(t[2])) for i, t in total.items()], columns=["cell", "se", "ae", "n"])
-
-    sums = test.select("series_id", "win", "z").mapInPandas(scored, score).groupBy("cell").agg(F.sum("se").alias("se"), F.sum("ae").alias("ae"), F.sum("n").alias("n"))
-    sizes = spark.createDataFrame([(i, int(u)) for i, u in used.items()], "cell int, used int")
-    out = grid.join(F.broadcast(sizes), "cell").join(sums, "cell", "left").withColumn("n", F.coalesce("n", F.lit(0).cast("long")))
-    mean = lambda c: F.when(F.col("n") > 0, F.col(c) / F.col("n")).otherwise(F.lit(float("nan")))
-    return out.select(F.lit(dataset).alias("dataset"), "learner", "strategy", "gap_kind", "rate", mean("se").alias("mse"), mean("ae").alias("mae"), "n", "used")
-
-
-def split(wins: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(train, test, incomplete) of normalised windows by the hash holdout."""
-    from ..operators.series import holdout
-
-    complete = wins.where("complete")
-    return complete.where(~holdout()), complete.where(holdout()), wins.where("NOT complete AND n_obs > 1").where(~holdout())
+                for i, part in pdf.iloc[begin : begin + CHUNK].groupby("cell"):
+                    z, h = arrays(part["z"], w), np.array(part["hidden"].tolist(), dtype=bool).reshape(-1, w)
+                    x, home = np.where(h, np.nan, z), {}
+                    for strategy in strategies:
+                        if strategy in routes and (key := strategy) not in home:
+                            c, how = routes[strategy]
+                            d = ((np.nan_to_num(x)[:, None] - c[None]) ** 2).sum(axis=2) if how == "naive" else gap_dtw(x[:, None], c[None])
+                            home[key] = d.argmin(axis=1)
+                        for m in learners:
+                            began = time.perf_counter()
+                            if strategy == "token":
+                                guess, own = token.fill(x), np.zeros(len(x), dtype=bool)
+                            elif (strategy, m, i) in models:
+                                ready = {c: (LEARNERS[kind], params) for c, (kind, params) in models[strategy, m, i].items()}
+                                guess, own = pipeline.predict_by_cluster(ready, x, home.get(strategy, np.full(len(x), pipeline.GLOBAL)))
+                            else:
+                                continue
+                            e = (guess - z)[h]
+                            ms = (time.perf_counter() - began) * 1000
+                            at = (int(i), m, strategy)
+                            total[at] = total.get(at, np.zeros(5)) + [(e**2).sum(), np.abs(e).sum(), len(e), own.sum(), ms]
+        yield pd.DataFrame([(*k, v[0], v[1], int(v[2]), int(v[3]), v[4]) for k, v in total.items()], columns=["cell", "learner", "strategy", "se", "ae", "n", "own", "ms"])
+
+    sums = s.tests.mapInPandas(scored, "cell int, learner string, strategy string, se double, ae double, n long, own long, ms double")
+    sums = {(r.strategy, r.learner, r.cell): r for r in sums.groupBy("cell", "learner", "strategy").agg(*[F.sum(c).alias(c) for c in ("se", "ae", "n", "own", "ms")]).collect()}  # one row a score
+    out = []
+    for m in learners:
+        for t in strategies:
+            for i, g, rate in s.cells:
+                r, (prepare_ms, fit_ms) = sums.get((t, m, i)), spent.get((t, m, i), (0.0, 0.0))
+                ok = r is not None and r.n > 0
+                out.append((dataset, m, t, g, rate, r.se / r.n if ok else None, r.ae / r.n if ok else None, r.n if ok else 0, r.own if ok else 0, used.get((t, m, i), 0), s.n_clean, s.total, prepare_ms, fit_ms, r.ms if ok else 0.0))
+    return spark.createDataFrame(out, SCORES)
 
 
 def windows_for(spark: SparkSession, folder: str, name: str) -> tuple[DataFrame, int]:
-    """Normalised windows of a workload, of the embeddings, or of the planted overlay."""
-    from ..operators.series import described, normalise, slots_of, windows
+    """Windows of a workload, of the embeddings, or of the planted overlay, with the group that shares gaps."""
+    from ..operators.series import described, slots_of, windows
     from ..sources.planted import planted
     from ..sources.workloads import WORKLOADS, embedding_windows
 
     if name == "embedding":
-        return normalise(described(embedding_windows(spark, folder), 64)), 64
-    if name == "planted":
-        return normalise(described(planted(spark, folder), 8)), 8
-    if name == "planted_truth":
+        return described(embedding_windows(spark, folder), 64).withColumn("group", F.lit("")), 64
+    if name in ("planted", "planted_truth"):
         p = planted(spark, folder)
-        return normalise(described(p.select("series_id", "win", F.col("truth").alias("x")), 8)), 8
+        x = F.col("x") if name == "planted" else F.col("truth")
+        return described(p.select("series_id", "win", F.col("archetype").cast("string").alias("group"), x.alias("x")), 8), 8
     spec = WORKLOADS[name]
-    return normalise(windows(slots_of(spark, folder, spec), spec.w)), spec.w
+    return windows(slots_of(spark, folder, spec), spec.w).withColumn("group", F.lit("")), spec.w

@@ -10,7 +10,7 @@ from ..functions.hashing import SEEDS, draw_sql, unit_sql
 from ..functions.masks import missing_ratio, pattern_kl_sql
 from ..operators import assign, bounds, gaps, minmask, patterns, series
 from ..sources.planted import planted
-from .windows import CLUSTER_SQL, INC_SQL, W, Z_SQL, complete_assigned, incomplete_assigned, wins, z_wins
+from .windows import CLUSTER_SQL, INC_SQL, W, Z_SQL, Base, complete_assigned, incomplete_assigned, wins, z_wins
 
 H = SEEDS
 ALL = (1 << W) - 1
@@ -21,7 +21,8 @@ def _inc(s, d):
 
 
 def _pairs(s, d, mode="wrap"):
-    return patterns.pair(_inc(s, d), complete_assigned(s, d).select("cluster", "series_id", "win", "z"), mode)
+    b = Base(s, d)
+    return patterns.pair(b.incomplete(), b.complete(), mode)
 
 
 _RANK = f"""ri AS (SELECT *, row_number() OVER (PARTITION BY cluster ORDER BY {draw_sql(H['inc'], 'series_id', 'win')}, series_id, win) AS rank FROM inc),
@@ -211,29 +212,28 @@ def cluster_guarantees(s, d):
     return g.select("cluster", "n", "met", "feasible", *[F.round(c, 6).alias(c) for c in ("alpha", "beta", "gamma", "need")])
 
 
-def reconstruction(s, d):
-    """Centroids as predictions of the projected slots: successes by cluster under three readings of the test."""
-    rows = _reconstructed(s, d)
+def reconstruction(s, d, share=0.1):
+    """Centroids as predictions of the projected slots: successes by cluster under three readings of the test, within a
+    tenth of the complete windows' deviation."""
+    rows = _reconstructed(s, d, share)
     return rows.groupBy("cluster").agg(*[F.round(F.avg(F.col(a).cast("double")), 6).alias(a) for a in ("all", "mean", "slot")], F.count("all").alias("n"))
 
 
-def _reconstructed(s, d):
-    from .windows import base_centroids
-
+def _reconstructed(s, d, share):
     from ..operators.cluster import centroid_table
 
-    p = _pairs(s, d).join(F.broadcast(centroid_table(s, base_centroids(s, d))), "cluster")
+    b = Base(s, d)
+    sd = b.train.select(F.explode("z").alias("v")).agg(F.stddev_pop("v")).first()[0]
+    p = patterns.pair(b.incomplete(), b.complete()).join(F.broadcast(centroid_table(s, b.centroids)), "cluster")
     p = p.withColumn("hidden", F.transform("z", lambda v, i: F.getbit(F.col("words")[0], i) == 0))
-    return p.select("cluster", *[bounds.reconstruction_test("centroid", "z", "hidden", 1.0, a).alias(a) for a in ("all", "mean", "slot")])
+    return p.select("cluster", *[bounds.reconstruction_test("centroid", "z", "hidden", share * sd, a).alias(a) for a in ("all", "mean", "slot")])
 
 
 def _proposed(s, d):
-    from .windows import base_centroids
-
     from ..functions.gapdtw import euclid_to
 
-    z = z_wins(s, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    return assign.proposals(z, euclid_to("z", base_centroids(s, d)), 0.1, W)
+    b = Base(s, d)
+    return assign.proposals(b.gone, euclid_to("z", b.centroids), 0.1, W)
 
 
 def assign_bounded(s, d):
@@ -251,12 +251,10 @@ def assign_unbounded(s, d):
 
 def assign_dtw(s, d):
     """The same with warping distances."""
-    from .windows import base_centroids
-
     from ..functions.gapdtw import distances_to
 
-    z = z_wins(s, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    return assign.assign_incomplete(assign.proposals(z, distances_to("z", base_centroids(s, d)), 0.1, W), bounds.need_value(), 2000).select("series_id", "win", "cluster", "choice_rank")
+    b = Base(s, d)
+    return assign.assign_incomplete(assign.proposals(b.gone, distances_to("z", b.centroids), 0.1, W), bounds.need_value(), 2000).select("series_id", "win", "cluster", "choice_rank")
 
 
 def cluster_balance(s, d):
@@ -267,9 +265,7 @@ def cluster_balance(s, d):
 def waterfill_sizes(s, d):
     """Sizes after 1000 leftovers went to the smallest clusters, from the natural sizes."""
     sizes = {r.cluster: r.n for r in _inc(s, d).groupBy("cluster").agg(F.count("*").alias("n")).collect()}
-    for c in assign.fill_smallest(sizes, 1000):
-        sizes[c] += 1
-    return s.createDataFrame(sorted(sizes.items()), "cluster int, size long")
+    return s.createDataFrame(sorted(assign.filled_sizes(sizes, 1000).items()), "cluster int, size long")
 
 
 def sample_incomplete(s, d):
@@ -379,7 +375,8 @@ ORACLES = {
     "windows_needed": f"WITH {Z_SQL} SELECT n_obs, CAST(max(CASE WHEN n_obs > 0 THEN ceil({_NEED!r}::DOUBLE / ((1 - ({W} - n_obs) / {float(W)}) * 0.9::DOUBLE)) END) AS BIGINT) AS needed, round(max(CASE WHEN 1 - ({W} - n_obs) / {float(W)} - {_NEED!r}::DOUBLE / 600 >= 0 THEN 1 - ({W} - n_obs) / {float(W)} - {_NEED!r}::DOUBLE / 600 END), 6) AS max_mask FROM wins GROUP BY 1",
     "cluster_guarantees": f"WITH {INC_SQL} SELECT cluster, n, n * gamma >= {_NEED!r} AS met, gamma >= 0.2 AS feasible, round(alpha, 6) AS alpha, 0.08::DOUBLE AS beta, round(gamma, 6) AS gamma, round({_NEED!r}::DOUBLE, 6) AS need FROM (SELECT cluster, count(*) AS n, avg(({W} - n_obs) / {float(W)}) AS alpha, greatest(0.0, 1 - avg(({W} - n_obs) / {float(W)}) - 0.08::DOUBLE) AS gamma FROM inc GROUP BY 1)",
     "reconstruction_test": f"""{PAIR_SQL}, e AS (SELECT p.cluster, p.series_id, p.win, abs(c2.c - zc.z) AS e FROM pairs p JOIN zc ON zc.series_id = p.comp_series AND zc.win = p.comp_win JOIN c2 ON c2.cluster = p.cluster AND c2.pos = zc.pos WHERE (p.word >> zc.pos) & 1 = 0),
-        t AS (SELECT cluster, series_id, win, CASE WHEN max(e) <= 1.0 THEN 1.0 ELSE 0.0 END AS a, CASE WHEN avg(e) <= 1.0 THEN 1.0 ELSE 0.0 END AS m, avg(CASE WHEN e <= 1.0 THEN 1.0 ELSE 0.0 END) AS sl FROM e GROUP BY 1, 2, 3)
+        sg AS (SELECT 0.1 * stddev_pop(z) AS tol FROM zc),
+        t AS (SELECT cluster, series_id, win, CASE WHEN max(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS a, CASE WHEN avg(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS m, avg(CASE WHEN e <= tol THEN 1.0 ELSE 0.0 END) AS sl FROM e, sg GROUP BY 1, 2, 3)
         SELECT cluster, round(avg(a), 6) AS "all", round(avg(m), 6) AS mean, round(avg(sl), 6) AS slot, count(*) AS n FROM t GROUP BY 1""",
     "learnability_labels": f"""WITH {Z_SQL}, pr AS (SELECT pos, avg(z) AS p FROM zc GROUP BY 1),
         g AS (SELECT * FROM (VALUES (0.1::DOUBLE), (0.3), (0.5)) a(alpha), (VALUES (0.01::DOUBLE), (0.1), (0.2)) b(beta)),

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions.gapdtw import distances_to, euclid_to, nearest
 from ..functions.hashing import SEEDS, draw_sql, unit_sql
 from ..operators import cluster, series
+from ..sources.scratch import materialise
 from ..sources.workloads import WORKLOADS, embedding_windows, slots_sql, windows_sql
 
 A = WORKLOADS["supplier_week"]
@@ -35,7 +36,24 @@ def train_complete(spark: SparkSession, d: str) -> DataFrame:
 
 def base_centroids(spark: SparkSession, d: str, k: int = 3) -> np.ndarray:
     """Two full k-means steps from the first k windows in hash order: the fixed clustering of the exact queries."""
-    return cluster.lloyd(train_complete(spark, d), k, iterations=2, init="hash")
+    return cluster.lloyd(materialise(train_complete(spark, d), "complete"), k, iterations=2, init="hash")
+
+
+class Base:
+    """What the exact queries start from, made once a query: normalised windows, written, and the fixed clustering."""
+
+    def __init__(self, spark: SparkSession, d: str) -> None:
+        z = materialise(z_wins(spark, d).where(~series.holdout()), "windows")
+        self.train = z.where("complete").select("series_id", "win", "z")
+        self.gone = z.where("NOT complete AND n_obs > 0")
+        self.centroids = cluster.lloyd(self.train, 3, iterations=2, init="hash")
+
+    def complete(self) -> DataFrame:
+        return cluster.cluster_sequences(self.train, self.centroids)
+
+    def incomplete(self) -> DataFrame:
+        near = nearest(euclid_to("z", self.centroids))
+        return self.gone.withColumn("_n", near).select("series_id", "win", "z", "n_obs", "words", F.col("_n.cluster").alias("cluster"), F.col("_n.dist").alias("dist"))
 
 
 # ---- DuckDB twins ---------------------------------------------------------------------------------------------
@@ -87,14 +105,11 @@ INC_SQL = (
 
 def incomplete_assigned(spark: SparkSession, d: str) -> DataFrame:
     """Incomplete training windows with their nearest fixed centroid."""
-    c = base_centroids(spark, d)
-    z = z_wins(spark, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    near = nearest(euclid_to("z", c))
-    return z.withColumn("_n", near).select("series_id", "win", "z", "n_obs", "words", F.col("_n.cluster").alias("cluster"), F.col("_n.dist").alias("dist"))
+    return Base(spark, d).incomplete()
 
 
 def complete_assigned(spark: SparkSession, d: str) -> DataFrame:
-    return cluster.cluster_sequences(train_complete(spark, d), base_centroids(spark, d))
+    return Base(spark, d).complete()
 
 
 # ---- queries --------------------------------------------------------------------------------------------------
@@ -151,19 +166,19 @@ def assign_complete(s, d):
 
 
 def dbi_pairs(s, d):
-    c = base_centroids(s, d)
-    pairs = cluster.dbi_pairs(cluster.cluster_sequences(train_complete(s, d), c), c)
+    b = Base(s, d)
+    pairs = cluster.dbi_pairs(b.complete(), b.centroids)
     return pairs.select(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), F.round("similarity", 4).alias("similarity"))
 
 
 def dbi(s, d):
-    c = base_centroids(s, d)
-    return cluster.davies_bouldin(cluster.cluster_sequences(train_complete(s, d), c), c).select(F.round("dbi", 4).alias("dbi"))
+    b = Base(s, d)
+    return cluster.davies_bouldin(b.complete(), b.centroids).select(F.round("dbi", 4).alias("dbi"))
 
 
 def find_k(how: str):
     def run(s, d):
-        sample = train_complete(s, d).cache()
+        sample = materialise(train_complete(s, d), "sample")
         found, _ = cluster.find_k(sample, 2, 6, how, restarts=1)
         return s.createDataFrame([(k, float(v), k == found.k) for k, v in found.trace.items()], "k int, dbi double, chosen boolean")
 
@@ -171,13 +186,14 @@ def find_k(how: str):
 
 
 def minibatch(s, d):
-    c = cluster.best_of(train_complete(s, d).cache(), 3)
+    c = cluster.best_of(materialise(train_complete(s, d), "sample"), 3)
     return cluster.centroid_table(s, c)
 
 
 def dbi_by_k(s, d):
-    made = [cluster.initial_centroids(train_complete(s, d), k) for k in (2, 3, 4)]
-    rows = [cluster.davies_bouldin(cluster.cluster_sequences(train_complete(s, d), c), c).select(F.lit(len(c)).cast("long").alias("k"), F.round("dbi", 4).alias("dbi")) for c in made]
+    train = materialise(train_complete(s, d), "complete")
+    made = [cluster.initial_centroids(train, k) for k in (2, 3, 4)]
+    rows = [cluster.davies_bouldin(cluster.cluster_sequences(train, c), c).select(F.lit(len(c)).cast("long").alias("k"), F.round("dbi", 4).alias("dbi")) for c in made]
     return reduce(DataFrame.unionByName, rows)
 
 
@@ -194,15 +210,13 @@ def _dbi_k_ctes(k: int) -> str:
 
 
 def gap_euclid_to_centroids(s, d):
-    c = base_centroids(s, d)
-    z = z_wins(s, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    return z.select("series_id", "win", F.posexplode(euclid_to("z", c)).alias("k", "v")).select("series_id", "win", F.col("k").cast("long").alias("cluster"), F.round("v", 4).alias("dist"))
+    b = Base(s, d)
+    return b.gone.select("series_id", "win", F.posexplode(euclid_to("z", b.centroids)).alias("k", "v")).select("series_id", "win", F.col("k").cast("long").alias("cluster"), F.round("v", 4).alias("dist"))
 
 
 def gap_dtw_to_centroids(s, d):
-    c = base_centroids(s, d)
-    z = z_wins(s, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    return z.select("series_id", "win", F.posexplode(distances_to("z", c)).alias("k", "v")).select("series_id", "win", F.col("k").alias("cluster"), F.round("v", 4).alias("dist"))
+    b = Base(s, d)
+    return b.gone.select("series_id", "win", F.posexplode(distances_to("z", b.centroids)).alias("k", "v")).select("series_id", "win", F.col("k").alias("cluster"), F.round("v", 4).alias("dist"))
 
 
 def gap_cost_diagonal(s, d):
@@ -215,10 +229,9 @@ def gap_cost_diagonal(s, d):
 
 def assign_naive(s, d):
     """Nearest centroid with gaps filled by the window mean, which is 0 after normalisation: no gap handling."""
-    c = base_centroids(s, d)
-    z = z_wins(s, d).where("NOT complete AND n_obs > 0").where(~series.holdout())
-    filled = z.withColumn("z", F.transform("z", lambda v: F.coalesce(v, F.lit(0.0))))
-    return cluster.cluster_sequences(filled, c).select("series_id", "win", F.col("cluster").cast("long").alias("cluster"), F.round("dist", 4).alias("dist"))
+    b = Base(s, d)
+    filled = b.gone.withColumn("z", F.transform("z", lambda v: F.coalesce(v, F.lit(0.0))))
+    return cluster.cluster_sequences(filled, b.centroids).select("series_id", "win", F.col("cluster").cast("long").alias("cluster"), F.round("dist", 4).alias("dist"))
 
 
 def assign_first_choice(s, d):
