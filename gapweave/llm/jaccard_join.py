@@ -40,6 +40,10 @@ from .interpolation import _forget
 #: Ids sent to all executors at most; beyond, texts are joined by shuffling.
 BROADCAST_IDS = 500_000
 NO_ID = -(1 << 63)
+#: Shingles are counted and posted by the upper 48 bits of their hashes, which travel in fewer bytes. Two that fall
+#: together have one frequency and one list in every document, so no link is lost; the sets compared are of whole hashes.
+KEY_SHIFT = np.uint64(16)
+KEY_BITS = ~np.uint64(0) << KEY_SHIFT
 
 
 class _Hashes(dict):
@@ -146,7 +150,7 @@ class _Block:
         self.ids, self.sizes = [r[0] for r in rows], [r[1] for r in rows]
         raw = np.frombuffer(b"".join(r[2] for r in rows), dtype=np.uint64)
         # Mixed again: prefixes hold the smallest hashes, keys should spread over the ranges.
-        self.keys, self.where, self.counts = np.unique(mix64(raw), return_inverse=True, return_counts=True)
+        self.keys, self.where, self.counts = np.unique(mix64(raw) & KEY_BITS, return_inverse=True, return_counts=True)
         self.starts = np.concatenate([[0], np.cumsum([len(r[2]) // 8 for r in rows], dtype=np.int64)])
 
 
@@ -157,7 +161,7 @@ def _ask(blocks: DataFrame, ranges: int) -> DataFrame:
                 block = _Block(row)
                 keys, counts = block.keys, block.counts
                 at = range_bounds(keys, ranges)
-                out = [(r, row["block"], int(b - a), pack_sorted(keys[a:b]), pack(counts[a:b])) for r, (a, b) in enumerate(zip(at, at[1:], strict=False)) if b > a]
+                out = [(r, row["block"], int(b - a), pack_sorted(keys[a:b] >> KEY_SHIFT), pack(counts[a:b])) for r, (a, b) in enumerate(zip(at, at[1:], strict=False)) if b > a]
                 if out:
                     columns = [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary()), strict=True)]
                     yield pa.record_batch(columns, names=["range", "block", "n", "keys", "counts"])
@@ -331,7 +335,7 @@ def similar_groups(
         rank = F.struct("weight", -F.xxhash64("node"), "node", "n", "s", "l", "m", "component") if turn == 0 else F.struct(F.lit(0.0), F.xxhash64(F.lit(turn), "node"), "node", "n", "s", "l", "m", "component")
         heads = lists.groupBy(F.col("key").alias("_key")).agg(F.max(rank).alias("p"), F.min("component").alias("_least"), F.max("component").alias("_most")).where("_least <> _most")
         heads = materialise(heads.select("_key", F.col("p.node").alias("_node"), F.col("p.n").alias("_n"), F.col("p.s").alias("_s"), F.col("p.l").alias("_l"), F.col("p.m").alias("_m"), F.col("p.component").alias("_component")), "pivots")
-        met = lists.join(heads, (lists["key"] == heads["_key"]) & (F.col("component") != F.col("_component")) & _may_link("n", "s", "_n", "_s", percent))
+        met = lists.join(heads.hint("merge"), (lists["key"] == heads["_key"]) & (F.col("component") != F.col("_component")) & _may_link("n", "s", "_n", "_s", percent))
         first = F.col("node") < F.col("_node")
         either = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
         asked = _asked(met.select(either("node", "_node").alias("x"), either("_node", "node").alias("y"), either("l", "_l").alias("lx"), either("m", "_m").alias("mx"), either("_l", "l").alias("ly"), either("_m", "m").alias("my")))
@@ -342,18 +346,20 @@ def similar_groups(
         components = connected_components(links)
         lists = _labelled(posted, components)
         mixed = lists.groupBy("key").agg(F.min("component").alias("least"), F.max("component").alias("most")).where("least <> most").select(F.col("key").alias("_key"))
-        lists = materialise(lists.join(materialise(mixed, "mixed"), F.col("key") == F.col("_key"), "left_semi"), "lists")
-
-    # What is left: pairs of different components that share enough posted shingles. Each side brings its keys of the
-    # lists left, so the join gives a pair once, at its first common key, and only if it shares enough of them.
-    own = lists.groupBy(F.col("node").alias("_own")).agg(F.collect_set("key").alias("keys"))
-    full = materialise(lists.join(own, lists["node"] == own["_own"]).drop("_own", "weight"), "keyed")
-    side = lambda mark: full.select(*[F.col(c).alias(f"{c}{mark}") for c in ("key", "node", "n", "s", "l", "m", "component", "keys")])
+        lists = materialise(lists.join(materialise(mixed, "mixed").hint("merge"), F.col("key") == F.col("_key"), "left_semi"), "lists")
+
+    # What is left: pairs of different components that share enough posted shingles. Each posting brings those of its
+    # document's keys, of the lists left, that come before its own, so the join gives a pair at most once: where it
+    # shares the last of as many as it must. Shingles of a document that fall together under one key are asked for once.
+    own = lists.groupBy(F.col("node").alias("_own")).agg(F.array_sort(F.collect_set("key")).alias("keys"), F.count("*").alias("posted"))
+    full = lists.join(own, lists["node"] == own["_own"]).withColumn("before", F.expr("slice(keys, 1, cast(array_position(keys, key) as int) - 1)"))
+    full = full.withColumn("m", F.greatest(F.lit(1), F.col("m") - (F.col("posted") - F.size("keys"))).cast("int"))
+    full = materialise(full.drop("_own", "weight", "keys", "posted"), "keyed")
+    side = lambda mark: full.select(*[F.col(c).alias(f"{c}{mark}") for c in ("key", "node", "n", "s", "l", "m", "component", "before")])
     a, b = side("1"), side("2")
-    both = F.array_intersect("keys1", "keys2")
     ask = F.when(F.col("l1") < F.col("l2"), F.col("m1")).when(F.col("l2") < F.col("l1"), F.col("m2")).otherwise(F.greatest("m1", "m2"))
     apart = (F.col("key1") == F.col("key2")) & (F.col("node1") < F.col("node2")) & (F.col("component1") != F.col("component2"))
-    met = a.join(b, apart & _may_link("n1", "s1", "n2", "s2", percent) & (F.array_min(both) == F.col("key1")) & (F.size(both) >= ask))
+    met = a.join(b.hint("merge"), apart & _may_link("n1", "s1", "n2", "s2", percent) & (F.size(F.array_intersect("before1", "before2")) + 1 == ask))
     pairs = met.select(F.col("node1").alias("x"), F.col("node2").alias("y")).distinct()
     pairs = materialise(pairs.join(tried, ["x", "y"], "left_anti"), "pairs")
     found = materialise(verify(pairs, sets, percent), "found")
@@ -371,6 +377,8 @@ def _labelled(rows: DataFrame, components: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with one document of each group of linked ones: the smallest id, with all its columns."""
-    groups = similar_groups(docs, **options).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(groups, F.col("doc_id").cast("long").eqNullSafe(F.col("_kept")), "left_semi")
+    """``docs`` with one document of each group of linked ones: the smallest id, with all its columns, whatever their names."""
+    groups = similar_groups(docs, **options).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
+    kept = groups.select(F.col("doc_id").alias("kept"))
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"))
+    return rows.join(kept, F.col("id").eqNullSafe(F.col("kept")), "left_semi").select("row.*")
