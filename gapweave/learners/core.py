@@ -360,7 +360,8 @@ class SpectralGraph(Learner):
     name = "spectral_graph"
 
     def prepare(self, x_in, y, seed):
-        corr = np.nan_to_num(np.corrcoef(y.T))
+        with np.errstate(all="ignore"):  # a constant slot, or a single window, has no correlation
+            corr = np.nan_to_num(np.corrcoef(y.T)) if len(y) > 1 else np.zeros((y.shape[1], y.shape[1]))
         weight = np.abs(corr) * (1 - np.eye(len(corr)))
         laplacian = np.diag(weight.sum(axis=1)) - corr * (1 - np.eye(len(corr)))
         _, vectors = np.linalg.eigh(laplacian)
@@ -421,6 +422,15 @@ class LinearDiffusion(Learner):
         return total / self.draws
 
 
+def gaussian_from_moments(rows, totals: list[float], w: int) -> dict:
+    """The Gaussian's params from ``pair_moments`` (i, j, n, total; complete windows) and each slot's sum: exact at any size."""
+    outer, n = np.zeros((w, w)), 0
+    for r in rows:  # w (w + 1) / 2 rows
+        outer[r.i, r.j] = outer[r.j, r.i] = r.total
+        n = max(n, r.n)
+    return LEARNERS["gaussian"].from_sums({}, {"n": np.array([float(n)]), "total": np.array(totals, dtype=float), "outer": outer})
+
+
 LEARNERS: dict[str, Learner] = {
     m.name: m
     for m in (MeanLearner(), WindowMean(), Profile(), Linear(), Carry(), CarryBack(), GaussianConditional(), Bidirectional(), DecayRecurrent(), MaskedAttention(), Stationarised(MaskedAttention()), LagDecomposed(), MultiScaleConv(), SpectralGraph(), LinearDiffusion())

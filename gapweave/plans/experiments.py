@@ -190,22 +190,34 @@ def run_grid(wins: DataFrame, w: int, dataset: str, learners: tuple[str, ...], s
             admitted[key] = pipeline.Prepared(w, None, centroids, labelled, assigned, need)
         return admitted[key], (time.perf_counter() - began) * 1000
 
+    # Strategies that differ in the gate only are fitted in one go under the least gate; a cluster's fit does not depend on it.
+    runs_of: dict[tuple, list[str]] = {}
     for strategy in strategies:
-        if strategy not in FRAMEWORK:
-            continue
-        p, prepare_ms = prepared(FRAMEWORK[strategy][0])
-        t = pipeline.fit_framework(p, learners, runs=runs, **FRAMEWORK[strategy][1])
+        if strategy in FRAMEWORK:
+            first, second = FRAMEWORK[strategy]
+            runs_of.setdefault((tuple(sorted(first.items())), second.get("roles", pipeline.ROLES)), []).append(strategy)
+    for (first, roles), group in runs_of.items():
+        p, prepare_ms = prepared(dict(first))
+        gate = {t: FRAMEWORK[t][1].get("gate", 2 / 3) for t in group}
+        t = pipeline.fit_framework(p, learners, min(gate.values()), roles=roles, runs=runs, with_global=False)
         kk = len(p.centroids)
-        routes[strategy] = p.centroids, FRAMEWORK[strategy][0].get("distance", "dtw")
         table = [(r.cluster, r.kind, unpack_params(r.params)) for r in t.models.collect()]  # cells x clusters x learners
-        seen = {r.cell: r.n for r in t.pairs.groupBy(F.floor(F.col("cluster") / kk).cast("int").alias("cell")).agg(F.count_distinct("comp_series", "comp_win").alias("n")).collect()}
-        for i, _, _ in s.cells:
-            for m in learners:
-                models[strategy, m, i] = {c if c == pipeline.GLOBAL else c % kk: (kind, params) for c, kind, params in table if kind == m and (c == pipeline.GLOBAL or c // kk == i)}
-                used[strategy, m, i], spent[strategy, m, i] = seen.get(i, 0), (prepare_ms / len(s.cells), t.times[m] / len(s.cells))
+        ratio = {r.cluster: r.ratio for r in t.structure.collect()}
+        seen = t.pairs.select("cluster", F.floor(F.col("cluster") / kk).cast("int").alias("cell"), "comp_series", "comp_win")
+        for strategy in group:
+            routes[strategy] = p.centroids, dict(first).get("distance", "dtw")
+            kept = {c for c, x in ratio.items() if x is not None and x > gate[strategy]}
+            n = {r.cell: r.n for r in seen.where(F.col("cluster").isin(*kept) if kept else F.lit(False)).groupBy("cell").agg(F.count_distinct("comp_series", "comp_win").alias("n")).collect()}
+            for i, _, _ in s.cells:
+                for m in learners:
+                    models[strategy, m, i] = {c % kk: (kind, params) for c, kind, params in table if kind == m and c // kk == i and c in kept}
+                    used[strategy, m, i], spent[strategy, m, i] = n.get(i, 0), (prepare_ms / len(s.cells), t.times[m] / len(s.cells))
 
     generators = _generators(s) if {"generative", "generative_sample"} & set(strategies) else {}
     jobs, keys = {}, {}
+    if routes:
+        for j, job in pipeline.global_jobs(learners).items():
+            jobs[j], keys[j] = job, ("global", job.learner, -1)
     for strategy in strategies:
         if strategy in ("direct", "generative"):
             for m in learners:
@@ -214,6 +226,13 @@ def run_grid(wins: DataFrame, w: int, dataset: str, learners: tuple[str, ...], s
                         keys[len(jobs)] = (strategy, m, i)
                         jobs[len(jobs)] = Job(m, max(rate, 0.05), draw_py(7, dataset, rate) % 10_000, generators[i] if strategy == "generative" else None)
     for j, (params, n, ms) in fit_everywhere(s.clean, w, jobs).items():
+        if keys[j][0] == "global":
+            for strategy in routes:
+                for i, _, _ in s.cells:
+                    models[strategy, jobs[j].learner, i][pipeline.GLOBAL] = (jobs[j].learner, params)
+                    before = spent[strategy, jobs[j].learner, i]
+                    spent[strategy, jobs[j].learner, i] = (before[0], before[1] + ms / len(s.cells))
+            continue
         models[keys[j]], used[keys[j]], spent[keys[j]] = {pipeline.GLOBAL: (jobs[j].learner, params)}, n, (0.0, ms)
     if "generative_sample" in strategies:
         p, prepare_ms = prepared({})

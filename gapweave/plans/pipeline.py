@@ -137,7 +137,7 @@ def fit_clusters(training: DataFrame, learner: str = "gaussian", version: int =
     return training.groupBy("cluster", "learner").applyInPandas(fit, MODELS)
 
 
-def fit_framework(p: Prepared, learners: tuple[str, ...] = ("gaussian",), gate: float = 2 / 3, on_unstructured: str = "drop", roles: tuple[str, ...] = ROLES, schedule: list[float] | None = None, runs: int = 3) -> Trained:
+def fit_framework(p: Prepared, learners: tuple[str, ...] = ("gaussian",), gate: float = 2 / 3, on_unstructured: str = "drop", roles: tuple[str, ...] = ROLES, schedule: list[float] | None = None, runs: int = 3, with_global: bool = True) -> Trained:
     """Project, test structure, search masks, and fit a model for every kept cluster and learner, and a global one a learner.
 
     The global model, for windows without a cluster model, comes from sums over all complete training windows.
@@ -151,12 +151,16 @@ def fit_framework(p: Prepared, learners: tuple[str, ...] = ("gaussian",), gate:
     sets = pairs.join(F.broadcast(masks.select("cluster", "learner", "mask")), "cluster")
     sets = patterns.masked_sets(sets, w, F.col("mask"), keep=("learner",)).where(F.col("role").isin(*roles)).select("cluster", "learner", "role", "series_id", "win", "x_in", "y")
     own = materialise(fit_clusters(sets), "models")
-    whole = fit_everywhere(p.complete, w, {i: Job(m, PLAIN_MASK, 11) for i, m in enumerate(learners)})
+    whole = fit_everywhere(p.complete, w, global_jobs(learners) if with_global else {})
     plain = own.sparkSession.createDataFrame([(GLOBAL, learners[i], pack_params(params), 1) for i, (params, _, _) in whole.items()], MODELS)
     times = {r.kind: r.ms for r in own.groupBy("kind").agg(F.sum(F.col("params")["fit_ms"][0]).alias("ms")).collect()}
     return Trained(own.unionByName(plain), found, masks, pairs, {m: times.get(m, 0.0) + sum(ms for i, (_, _, ms) in whole.items() if learners[i] == m) for m in learners})
 
 
+def global_jobs(learners: tuple[str, ...]) -> dict[int, Job]:
+    return {i: Job(m, PLAIN_MASK, 11) for i, m in enumerate(learners)}
+
+
 def train(p: Prepared, learner: str = "gaussian", gate: float = 2 / 3, **options) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(models, structure, masks) of one learner."""
     t = fit_framework(p, (learner,), gate, **options)

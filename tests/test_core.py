@@ -177,6 +177,57 @@ def test_leftovers_fill_the_smallest():
     assert sorted(sizes.values()) == [5, 5, 6] and sizes[0] == 6
 
 
+@pytest.mark.parametrize("seed", range(30))
+def test_closed_form_of_leftovers(seed):
+    r = random.Random(seed)
+    sizes, n = {c: r.randint(0, 9) for c in range(r.randint(1, 6))}, r.randint(0, 60)
+    want, out = dict(sizes), []
+    for _ in range(n):
+        c = min(want, key=lambda c: (want[c], c))
+        want[c] += 1
+        out.append(c)
+    assert assign.fill_smallest(sizes, n) == out and assign.filled_sizes(sizes, n) == want
+
+
+def test_several_collections_are_dealt_apart(spark):
+    """Collections over the same clusters, in one go, get what each gets alone; small buckets seat leftovers alike."""
+    r = random.Random(3)
+    rows = {g: [{"id": (str(i), 0), "h": r.randrange(1 << 32), "gamma": r.random(), "d": [r.random() for _ in range(3)]} for i in range(40)] for g in (0, 1)}
+    for g in rows:
+        for x in rows[g]:
+            x["choices"] = sorted(range(3), key=lambda c: (x["d"][c], c))
+    schema = "series_id string, win long, h long, gamma double, choices array<struct<dist:double,cluster:int>>, no_evidence boolean"
+    df = spark.createDataFrame([(x["id"][0], 0, x["h"], x["gamma"], [(x["d"][c], c + 3 * g) for c in x["choices"]], False) for g in rows for x in rows[g]], schema)
+    got = {(a.cluster // 3, a.series_id): (a.cluster % 3, a.choice_rank) for a in assign.assign_incomplete(df, 3.0, 7).collect()}
+    assert got == {(g, i[0]): v for g in rows for i, v in assign.assign_sequential(rows[g], 3.0, 7, 3).items()}
+
+
+def test_refinement_admits_what_is_short(spark):
+    """Measured shares below those reckoned with: more windows come from the reserve, until count times share meets the bound."""
+    from gapweave.plans import pipeline
+
+    r = np.random.default_rng(5)
+    z = [[None if j % 2 and i % 10 < 9 else float(v) for j, v in enumerate(row)] for i, row in enumerate(r.normal(size=(600, 8)))]
+    df = series.described(spark.createDataFrame([(str(i), 0, row) for i, row in enumerate(z)], "series_id string, win long, x array<double>"), 8).withColumn("z", F.col("x"))
+    centroids = np.stack([np.zeros(8), np.ones(8)])
+    need = 30.0
+    plain, more = (pipeline.admit(df, centroids, 8, need, 0.3, overflow="drop", refine_passes=k, distance="diagonal").collect() for k in (0, 2))
+    missing = {str(i): sum(v is None for v in row) / 8 for i, row in enumerate(z)}
+    share = lambda rows, c: sum(max(0.0, 1 - missing[x.series_id] - 0.3) for x in rows if x.cluster == c)
+    assert {x.series_id for x in plain} < {x.series_id for x in more} and len({x.series_id for x in more}) == len(more)
+    assert all(share(plain, c) < need <= share(more, c) + 1.0 for c in (0, 1))
+
+
+def test_pairs_need_only_the_first_complete_windows(spark):
+    inc = spark.createDataFrame([(0, f"i{i}", 0, [3]) for i in range(5)], "cluster int, series_id string, win long, words array<bigint>")
+    comp = spark.createDataFrame([(0, f"c{i}", 0, [float(i)]) for i in range(2200)], "cluster int, series_id string, win long, z array<double>")
+    from gapweave.functions.hashing import SEEDS
+
+    order = sorted((f"c{i}" for i in range(2200)), key=lambda s: draw_py(SEEDS["comp"], s, 0))
+    first = sorted((f"i{i}" for i in range(5)), key=lambda s: draw_py(SEEDS["inc"], s, 0))
+    assert {r.series_id: r.comp_series for r in patterns.pair(inc, comp).collect()} == dict(zip(first, order))
+
+
 # ---- bounds ---------------------------------------------------------------------------------------------------
 
 
@@ -327,38 +378,74 @@ def test_sums_fit_what_one_fit_does(name):
     assert np.abs(m.predict(made, x) - m.predict(m.fit(x, y, 3), x)).max() < close
 
 
-def test_grid_scores_every_window(spark, monkeypatch):
+def made_windows(spark, n=300):
+    r = np.random.default_rng(4)
+    kind = r.integers(0, 2, n)
+    z = np.sin(np.arange(8) + 3 * kind[:, None]) + 0.1 * r.normal(size=(n, 8))
+    gone = r.random(n) < 0.5
+    rows = [(str(i), 0, str(k), [None if g and j in (2, 3 + k) else float(v) for j, v in enumerate(x)]) for i, (x, k, g) in enumerate(zip(z, kind.tolist(), gone.tolist()))]
+    df = spark.createDataFrame(rows, "series_id string, win long, group string, x array<double>")
+    return series.described(df, 8), z
+
+
+def test_grid_scores_every_window(spark):
     from gapweave.plans import experiments
 
-    monkeypatch.setattr(experiments, "MAX_TRAIN", 40)
-    r = np.random.default_rng(4)
-    z = np.sin(np.arange(8) + r.random((300, 1)) * 3) + 0.1 * r.normal(size=(300, 8))
-    rows = [(str(i), 0, [float(v) if i < 280 or j % 3 else None for j, v in enumerate(x)]) for i, x in enumerate(z)]
-    df = spark.createDataFrame(rows, "series_id string, win long, z array<double>")
-    at = F.col("series_id").cast("int")
+    df, _ = made_windows(spark)
+    held = df.where("complete").where(series.holdout()).count()
     runs = []
     for n in (1, 5):
-        parts = [df.where(c).repartition(n) for c in (at < 200, (at >= 200) & (at < 280), at >= 280)]
-        grid = experiments.run_grid(*parts, 8, "t", ("gaussian", "linear_diffusion"), ("direct", "framework"), ("natural", "mnar_burst", "mnar_group"), (0.5,))
-        runs.append(sorted((g.learner, g.strategy, g.gap_kind, round(g.mse, 9), round(g.mae, 9), g.n, g.used) for g in grid.collect()))
-    assert runs[0] == runs[1] and len(runs[0]) == 12
-    assert all(g[5] == 80 * 4 for g in runs[0] if g[2] == "mnar_burst") and all(g[5] > 80 for g in runs[0])
-    assert all(g[6] == 200 for g in runs[0] if g[1] == "direct")
+        grid = experiments.run_grid(df.repartition(n), 8, "t", ("gaussian", "linear_diffusion"), ("direct", "framework", "generative", "generative_sample", "token"), ("natural", "mnar_burst", "mnar_group"), (0.5,), 2)
+        runs.append(sorted((g.learner, g.strategy, g.gap_kind, round(g.mse, 9), round(g.mae, 9), g.n, g.used, g.own) for g in grid.collect()))
+    assert runs[0] == runs[1] and len(runs[0]) == 30
+    assert all(g[5] == held * 4 for g in runs[0] if g[2] == "mnar_burst") and all(g[5] >= held for g in runs[0])
+    clean = df.where("complete").where(~series.holdout()).where(experiments.unit(experiments.POOL_SEED, "series_id", "win") >= experiments.POOL_SHARE).count()
+    assert all(g[6] == clean for g in runs[0] if g[1] in ("direct", "generative"))
+    assert any(g[7] for g in runs[0] if g[1] == "framework" and g[2] == "natural")
+
+
+def test_a_cell_is_the_framework(spark):
+    """The grid's score equals that of direct calls of the pipeline's steps on the same windows."""
+    from gapweave.plans import experiments, pipeline
+
+    df, _ = made_windows(spark)
+    got = experiments.run_grid(df, 8, "t", ("bidirectional",), ("framework", "one_cluster", "direct"), ("natural",), (0.5,), 2, runs=2).collect()
+    s = experiments.Setting(df, 8, ("natural",), (0.5,))
+    centroids, labelled = pipeline.cluster_windows(s.clean, 2)
+    need = pipeline.bounds.need_value()
+    p = pipeline.Prepared(8, None, centroids, labelled, pipeline.admit(s.incomplete, centroids, 8, need), need)
+    models, found, _ = pipeline.train(p, "bidirectional", runs=2)
+    assert any(r.kept for r in found.collect())
+    seen = s.tests.withColumn("truth", F.col("z")).withColumn("x", F.zip_with("z", "hidden", lambda v, h: F.when(~h, v)))
+    seen = series.described(seen, 8).withColumn("z", F.col("x")).withColumns({"mu": F.lit(0.0), "sd": F.lit(1.0)})
+    filled = pipeline.impute(pipeline.route(seen, centroids), models, 8).select("series_id", "win", "filled")
+    e = [(f - t) ** 2 for r in seen.join(filled, ["series_id", "win"]).collect() for f, t, h in zip(r.filled, r.truth, r.hidden) if h]
+    by = {g.strategy: g for g in got}
+    assert by["framework"].mse == pytest.approx(float(np.mean(e))) and by["framework"].n == len(e)
+    assert len({round(by[k].mse, 12) for k in by}) == 3  # neither ablation is a twin of another strategy
+
+
+def test_empty_windows_are_imputed(spark):
+    from gapweave.plans import pipeline
 
+    df, _ = made_windows(spark, 200)
+    none = spark.createDataFrame([("7", 1, "0", [None] * 8), ("new", 0, "0", [None] * 8)], "series_id string, win long, group string, x array<double>")
+    out, _, _ = pipeline.run_framework(df.unionByName(series.described(none, 8)), 8, k=2, runs=2)
+    assert out.count() == 202 * 8 and out.where("value IS NULL OR isnan(value)").count() == 0
+    assert out.where("source = 'global' AND series_id = 'new'").count() == 8
 
-def test_one_cluster_projects_onto_its_own_sample():
-    from gapweave.plans import experiments
 
-    r = np.random.default_rng(6)
-    train = r.normal(size=(900, 6)).cumsum(axis=1)
-    gaps = np.where(np.arange(6)[None] == 2, np.nan, train[:50])
-    fit = lambda s: experiments.fit_cell(train, gaps, "bidirectional", s, "natural", 0.5)
-    (one, used), (direct, every) = fit("one_cluster"), fit("direct")
-    assert used == 640 and every == 900 and len(one["models"]) == 1
-    full = LEARNERS["bidirectional"].fit(train, train, 0)
-    hidden = np.where(np.arange(6)[None] == 2, np.nan, train)
-    at = lambda p: float(((LEARNERS["bidirectional"].predict(p, hidden) - train)[:, 2] ** 2).mean())
-    assert at(one["models"][0]) < at(full)
+def test_moments_from_sql_give_the_gaussian_fit(spark):
+    from gapweave.learners.core import gaussian_from_moments
+    from gapweave.operators.impute import pair_moments
+
+    r = np.random.default_rng(1)
+    z = r.normal(size=(200, 5)).cumsum(axis=1)
+    df = spark.createDataFrame([(str(i), 0, [float(v) for v in x]) for i, x in enumerate(z)], "series_id string, win long, z array<double>")
+    sums = df.select(*[F.sum(F.col("z")[j]) for j in range(5)]).first()
+    made = gaussian_from_moments(pair_moments(df, 5).collect(), list(sums), 5)
+    want = LEARNERS["gaussian"].fit(z, z)
+    assert np.allclose(made["mu"], want["mu"]) and np.allclose(made["cov"], want["cov"])
 
 
 def test_planted_order(spark):
