@@ -101,34 +101,77 @@ class BlindTrie:
         return out
 
 
-def _words(text: np.ndarray, starts: np.ndarray, skip: int) -> np.ndarray:
+def _words(text: np.ndarray, starts: np.ndarray, skip: int | np.ndarray) -> np.ndarray:
     """Eight bytes after ``skip`` as one big-endian number; ``text`` must be padded."""
     eight = sliding_window_view(text, 8)[starts + skip]
     return np.ascontiguousarray(eight).view(">u8").reshape(-1).astype(np.uint64)
 
 
-def deep_shallow(text: np.ndarray, starts: np.ndarray, length: int, shallow: int = 40) -> tuple[np.ndarray, np.ndarray]:
+def multikey_quicksort(text: np.ndarray, starts: np.ndarray, depth: int, group: np.ndarray | None = None, stats: dict | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(order of ``starts``, where each group begins): strings of a group agree on their first ``depth`` bytes, or are alone.
+
+    Every unresolved group is partitioned in three about a pivot word of eight bytes, the median of three of its own:
+    less and greater stay at their depth, equal goes eight bytes deeper. Groups of one, and those at ``depth``, are done
+    and not looked at again. All groups of a round are partitioned at once, each element moved once. ``group`` tells
+    strings apart beforehand: only those of one group are compared. ``stats`` counts rounds, groups split and elements.
+    """
+    stats = {} if stats is None else stats
+    order = np.arange(len(starts)) if group is None else np.argsort(group, kind="stable")
+    if not len(order):
+        return order, np.zeros(0, dtype=np.int64)
+    begin = np.zeros(1, dtype=np.int64) if group is None else np.flatnonzero(np.diff(group[order], prepend=group[order[0]] - 1))
+    size = np.diff(np.append(begin, len(order)))
+    deep, done = np.zeros(len(begin), dtype=np.int64), []
+    while True:
+        over = (size <= 1) | (deep >= depth)
+        done.append(begin[over])
+        begin, size, deep = begin[~over], size[~over], deep[~over]
+        if not len(begin):
+            break
+        first = np.cumsum(size) - size
+        of = np.repeat(np.arange(len(begin)), size)
+        places = np.arange(len(of)) + (begin - first)[of]
+        members = order[places]
+        word = _words(text, starts[members], deep[of])
+        pivot = np.sort(np.stack([word[first], word[first + size // 2], word[first + size - 1]]), axis=0)[1][of]
+        side = (word >= pivot).astype(np.int64) + (word > pivot)
+        slot = of * 3 + side
+        counts = np.bincount(slot, minlength=3 * len(begin))
+        ahead = np.cumsum(counts) - counts
+        for k in range(3):
+            mine = np.flatnonzero(side == k)
+            own = counts[k::3]
+            order[begin[of[mine]] - first[of[mine]] + ahead[slot[mine]] + np.arange(len(mine)) - (np.cumsum(own) - own)[of[mine]]] = members[mine]
+        stats["rounds"] = stats.get("rounds", 0) + 1
+        stats["split"] = stats.get("split", 0) + len(begin)
+        stats["moved"] = stats.get("moved", 0) + len(of)
+        use = counts > 0
+        which = np.repeat(np.arange(len(begin)), 3)[use]
+        size, deep = counts[use], (deep[which] + 8 * (np.arange(len(counts)) % 3 == 1)[use])
+        begin = (begin - first)[which] + ahead[use]
+    return order, np.sort(np.concatenate(done))
+
+
+def deep_shallow(text: np.ndarray, starts: np.ndarray, length: int, shallow: int = 40, group: np.ndarray | None = None, stats: dict | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Sort the strings text[s : s + length]: (order of ``starts``, class of each in that order; equal strings share one).
 
-    The shallow phase splits groups by machine words, as multikey quicksort does by characters, until ``shallow``
-    bytes agree; a group that is still together and not all equal is finished by a blind trie.
+    Multikey quicksort down to ``shallow`` bytes; a group that is still together there and not all equal is finished by
+    a blind trie. Where ``group`` tells strings apart beforehand, the order is by group first.
     """
     shallow = min(shallow, length) // 8 * 8
-    order, group = np.arange(len(starts)), np.zeros(len(starts), dtype=np.int64)
-    for skip in range(0, shallow, 8):
-        word = _words(text, starts[order], skip)
-        again = np.lexsort((word, group))
-        order, word, group = order[again], word[again], group[again]
-        new = np.ones(len(order), dtype=bool)
-        new[1:] = (group[1:] != group[:-1]) | (word[1:] != word[:-1])
-        group = np.cumsum(new) - 1
+    stats = {} if stats is None else stats
+    order, begins = multikey_quicksort(text, starts, shallow, group, stats)
     if not len(order):
-        return order, group
-    edges = np.append(np.flatnonzero(np.diff(group, prepend=-1)), len(order))
+        return order, np.zeros(0, dtype=np.int64)
+    group = np.zeros(len(order), dtype=np.int64)
+    group[begins] = 1
+    group = np.cumsum(group) - 1
+    edges = np.append(begins, len(order))
     tails = sliding_window_view(text, length - shallow)[starts[order] + shallow] if shallow < length else np.zeros((len(order), 0), dtype=np.uint8)
     same = np.ones(len(order), dtype=bool)
     same[1:] = (tails[1:] == tails[:-1]).all(axis=1) | (group[1:] != group[:-1])
     ragged = np.unique(group[~same])
+    stats["blind"] = stats.get("blind", 0) + len(ragged)
     label = group * 1.0
     raw = text.tobytes() if len(ragged) else b""
     trie = BlindTrie(raw, length)
@@ -399,7 +442,7 @@ def _resolver(length: int):
             offset = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
             at = np.repeat(start[rep], counts) + offset
             text = np.frombuffer(raw + bytes(length + 8), dtype=np.uint8)
-            order, label = deep_shallow(text, at, length)
+            order, label = deep_shallow(text, at, length, group=np.repeat(group[several], counts))  # equal strings have one anchor
             by = np.full(int(label.max()) + 1, np.iinfo(np.uint64).max, dtype=np.uint64)
             np.minimum.at(by, label, least[string[order]])
             floor = np.empty(len(at), dtype=np.uint64)
