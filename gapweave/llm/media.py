@@ -1,11 +1,11 @@
 """Media columns whose payloads are stored as content-defined chunks.
 
 A text's UTF-8 bytes, zero-padded to a positive multiple of 64, become the 8-bit samples of a mono WAV file. The
-payload is cut by a rolling gear hash; a manifest keeps a medium's ordered chunk digests, and a chunk store keeps
-every chunk once, deduplicated by digest in Spark. Media are rebuilt by joining manifests with the store, verified
-against the SHA-256 of the whole file, and read back through a WAV reader.
+file, header and all, is cut by a rolling gear hash; a manifest keeps a medium's ordered chunk digests, and a chunk
+store keeps every chunk once, deduplicated by digest in Spark. Media are rebuilt by joining manifests with the store,
+verified against the SHA-256 of the whole file, and the stored bytes are read back through a WAV reader.
 
-Payload bytes are shuffled once, compressed, to meet equal chunks; only media of several chunks move again, to be
+The bytes are shuffled once, compressed, to meet equal chunks; only media of several chunks move again, to be
 put in order. Media that are equal as a whole are rebuilt once.
 
 Defined results: a null text counts as empty, its payload is 64 zero bytes; equal texts give equal values; repeated
@@ -80,9 +80,9 @@ def manifests(docs: DataFrame, chunker: Chunker = CHUNKER, batch_bytes: int = 4
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text", batch_bytes):
             texts = utf8(batch.column("text"))
-            payloads = [payload_of(t) for t in texts]
-            shas = [hashlib.sha256(to_media(p)).digest() for p in payloads]
-            chunks = [[_digest(c) for c in cs] for cs in chunker.cut(payloads)]
+            media = [to_media(payload_of(t)) for t in texts]
+            shas = [hashlib.sha256(m).digest() for m in media]
+            chunks = [[_digest(c) for c in cs] for cs in chunker.cut(media)]
             columns = [batch.column("doc_id"), pa.array(map(len, texts), pa.int64()), pa.array(shas, pa.binary()), pa.array(chunks, pa.list_(pa.binary()))]
             yield pa.record_batch(columns, names=["doc_id", "n_bytes", "media_sha256", "chunks"])
 
@@ -95,10 +95,10 @@ def chunk_store(docs: DataFrame, chunker: Chunker = CHUNKER, batch_bytes: int =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer, seen = zstandard.ZstdCompressor(3), set()
         for batch in slices(batches, "text", batch_bytes):
-            payloads = [payload_of(t) for t in utf8(batch.column("text"))]
+            media = [to_media(payload_of(t)) for t in utf8(batch.column("text"))]
             out: list[list] = [[], [], []]
-            for payload, chunks in zip(payloads, chunker.cut(payloads), strict=True):
-                salt = _salt(hashlib.sha256(to_media(payload)).digest())
+            for medium, chunks in zip(media, chunker.cut(media), strict=True):
+                salt = _salt(hashlib.sha256(medium).digest())
                 for chunk in chunks:
                     key = (_digest(chunk), salt)
                     if key in seen:
@@ -117,8 +117,7 @@ def _texts(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
-def _read_back(sha256: bytes, payload: bytes) -> tuple:
-    media = to_media(payload)
+def _read_back(sha256: bytes, media: bytes) -> tuple:
     if hashlib.sha256(media).digest() != sha256:
         raise ValueError(f"medium {sha256.hex()} does not match its manifest")
     samples = from_media(media)
