@@ -90,9 +90,9 @@ def exact_groups(docs: DataFrame, chunker: Chunker | None = None) -> DataFrame:
 
 
 def drop_copies(docs: DataFrame, chunker: Chunker | None = None) -> DataFrame:
-    """``docs`` without exact copies: the row with the largest doc_id of each group stays, with all its columns."""
-    kept = exact_groups(docs, chunker).where("kept").select(F.col("doc_id").alias("_keep_id"), F.unhex("text_sha256").alias("_keep_sha"))
+    """``docs`` without exact copies: the row with the largest doc_id of each group stays, with all its columns, whatever their names."""
+    kept = exact_groups(docs, chunker).where("kept").select(F.col("doc_id").alias("keep_id"), F.unhex("text_sha256").alias("keep_sha"))
     ascii_lower = F.translate(F.coalesce(F.col("text"), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    keyed = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_sha": F.unhex(F.sha2(ascii_lower.cast("binary"), 256))})
-    joined = keyed.join(kept, keyed["_id"].eqNullSafe(kept["_keep_id"]) & (keyed["_sha"] == kept["_keep_sha"]), "left_semi")
-    return joined.dropDuplicates(["_id", "_sha"]).drop("_id", "_sha")
+    keyed = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.unhex(F.sha2(ascii_lower.cast("binary"), 256)).alias("sha"))
+    joined = keyed.join(kept, keyed["id"].eqNullSafe(kept["keep_id"]) & (keyed["sha"] == kept["keep_sha"]), "left_semi")
+    return joined.dropDuplicates(["id", "sha"]).select("row.*")
