@@ -134,11 +134,12 @@ def mix_rows(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), budget_share
 
     Texts stay where they lie: only the rates are joined to them.
     """
-    columns = docs.columns
-    sizes = materialise(_sized(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", "text"), seed, buckets).select("_source", "_size", "_bucket", *KEY), "sizes")
-    taken = _taken(_sized(docs, seed, buckets), source_rates(sizes, weights, budget_share, max_epochs, seed))
+    plain = docs.select(F.struct("*").alias("_row"), F.col("doc_id").cast("long").alias("doc_id"), "source", "text")
+    keys = ("_source", "_size", "_bucket", *KEY)
+    sizes = materialise(_sized(plain, seed, buckets).select(*keys), "sizes")
+    taken = _taken(_sized(plain, seed, buckets).select("_row", *keys), source_rates(sizes, weights, budget_share, max_epochs, seed))
     rows = taken.where("repeats > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("repeats"))))
-    return rows.select(*[F.col(f"`{c}`") for c in columns])
+    return rows.select("_row.*")
 
 
 def _whole_and_rest(target: float, size: int) -> tuple[int, float]:
