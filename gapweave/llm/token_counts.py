@@ -20,8 +20,8 @@ from pyspark.sql import functions as F
 
 from .common import slices
 
-#: A space or line feed between two ASCII letters begins a token of its own in the byte-level pre-tokenizer.
-_SAFE = re.compile(r"(?<=[A-Za-z])[ \n](?=[A-Za-z])")
+#: A space or line feed between two letters of any script begins a token of its own in the byte-level pre-tokenizer.
+_SAFE = re.compile(r"(?<=[^\W\d_])[ \n](?=[^\W\d_])")
 _loaded: dict[str, object] = {}
 
 
@@ -51,6 +51,8 @@ def safe_parts(text: str, about: int = 16384) -> list[str]:
     parts, begin = [], 0
     while len(text) - begin > about:
         m = _SAFE.search(text, begin + about)
+        while m and not (text[m.start() - 1].isalpha() and text[m.end()].isalpha()):  # a number that is no digit, as a superscript, is no letter
+            m = _SAFE.search(text, m.end())
         if not m:
             break
         parts.append(text[begin : m.start()])
