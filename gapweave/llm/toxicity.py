@@ -62,9 +62,9 @@ class OrdinalModel:
 
     def above(self, text: str | None) -> list[float]:
         """P(grade > k) for every threshold."""
-        m = self.margin(text)
-        if not self.weights:
+        if not self.weights or not _LETTERS.search(text or ""):
             return [0.0] * len(self.thresholds)
+        m = self.margin(text)
         m = 0.0 if m is None else m
         return [1.0 / (1.0 + math.exp(min(700.0, t - m))) for t in self.thresholds]
 
