@@ -5,6 +5,10 @@ cut into the pieces with the greatest sum of scores; what no piece covers falls
 text can be decoded. The search keeps best scores and back pointers only for a window of the longest piece, and
 commits ids whenever the back pointer paths of all surviving boundaries run through one boundary.
 
+A document goes through one search, as a stream of parts. Where no piece of the vocabulary runs over the end of a word,
+all paths run through every word end, so the search commits there, and a stretch between two commits that it has met
+before is answered from memory. A stretch longer than a part is searched as it arrives, in the window alone.
+
 The vocabulary comes from a byte-pair model: its scores are merge ranks. They are read as a Zipf law, the score of
 rank r being -ln(r + 3), and a byte piece scores below any other. Ids are thus those of the best segmentation
 under these scores, not the merges that the model's own library would make; decoding is the library's.
@@ -17,6 +21,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+import re
 from array import array
 from collections.abc import Iterable, Iterator
 
@@ -27,6 +32,10 @@ from pyspark.sql import functions as F
 from .common import slices
 
 BLANK = "▁"
+#: What lies between two word ends: blanks and a word, or blanks at the end.
+_STRETCH = re.compile(f"{BLANK}*[^{BLANK}]+|{BLANK}+")
+#: Characters of a part in which a document is handed to the search.
+PART = 1 << 14
 _loaded: dict[str, Vocabulary] = {}
 
 
@@ -69,6 +78,28 @@ class Vocabulary:
         return _loaded[path]
 
 
+class _Open:
+    """The parts of a stretch whose end has not arrived; ``rest`` is what follows the end."""
+
+    def __init__(self, held: str, parts: Iterator[str], to_word_end: bool) -> None:
+        self.held, self.parts, self.to_word_end, self.rest, self.ended = held, parts, to_word_end, "", False
+
+    def __iter__(self) -> Iterator[str]:
+        yield self.held
+        before = self.held[-1:]
+        for part in self.parts:
+            at = next((i for i, c in enumerate(part) if c == BLANK and (part[i - 1] if i else before) != BLANK), -1) if self.to_word_end else -1
+            if at >= 0:
+                self.rest = part[at:]
+                if at:
+                    yield part[:at]
+                return
+            if part:
+                before = part[-1]
+                yield part
+        self.ended = True
+
+
 class StreamingViterbi:
     """Best segmentation of a stream of text, in memory bounded by the longest piece and the open stretch.
 
@@ -80,6 +111,44 @@ class StreamingViterbi:
 
     def __init__(self, vocabulary: Vocabulary, check: int | None = None) -> None:
         self.v, self.check, self.peak = vocabulary, check or 2 * vocabulary.longest, 0
+        #: Commits at word ends, and inside a stretch.
+        self.commits, self.early = 0, 0
+
+    def document(self, stream: Iterable[str], known: dict[str, bytes] | None = None, most: int = 200_000, part: int = 1 << 14) -> Iterator[bytes]:
+        """Packed ids of a text (blanks written as U+2581) given in parts, each yielded when it is committed."""
+        known = {} if known is None else known
+        parts, held, ended = iter(stream), "", False
+        while held or not ended:
+            while not ended and len(held) < part:
+                more = next(parts, None)
+                ended = more is None
+                held += more or ""
+            stretches = _STRETCH.findall(held) if self.v.words_stand_alone else [held]
+            closed = stretches if ended else stretches[:-1]
+            for stretch in closed:
+                ids = known.get(stretch)
+                if ids is None:
+                    ids = b"".join(self._search((stretch,)))
+                    if len(stretch) <= 64:
+                        if len(known) >= most:
+                            known.clear()
+                        known[stretch] = ids
+                yield ids
+            self.commits += len(closed)
+            if ended:
+                return
+            if closed:
+                held = stretches[-1]
+                continue
+            open_ = _Open(held, parts, self.v.words_stand_alone)
+            yield from self._search(open_)
+            self.commits += 1
+            held, ended = open_.rest, open_.ended
+
+    def _search(self, stream: Iterable[str]) -> Iterator[bytes]:
+        for k, ids in enumerate(self.encode(stream)):
+            self.early += k > 0
+            yield array("i", ids).tobytes()
 
     def encode(self, stream: Iterable[str]) -> Iterator[list[int]]:
         """Lists of ids, each yielded as soon as it is certain. ``stream`` gives the text in parts of any size."""
@@ -151,42 +220,19 @@ class StreamingViterbi:
 
 
 class Codec:
-    """Encoder and decoder of one worker. Words are searched once and remembered, up to ``most`` words."""
+    """Encoder and decoder of one worker; stretches once committed are remembered, up to ``most`` of them."""
 
     def __init__(self, vocabulary: Vocabulary, most: int = 200_000) -> None:
         self.v, self.most, self.viterbi = vocabulary, most, StreamingViterbi(vocabulary)
         self.known: dict[str, bytes] = {}
 
-    def _search(self, unit: str) -> bytes:
-        ids = array("i")
-        for part in self.viterbi.encode((unit,)):
-            ids.extend(part)
-        return ids.tobytes()
-
     def encode(self, text: str | None) -> bytes:
         """The ids of a text as packed 32-bit integers."""
         if not text:
             return b""
-        if not self.v.words_stand_alone:
-            return self._search(BLANK + text.replace(" ", BLANK))
-        known, out, blanks = self.known, [], 0
-        for word in text.replace(BLANK, " ").split(" "):
-            blanks += 1
-            if not word:
-                continue
-            key = word if blanks == 1 else BLANK * blanks + word
-            ids = known.get(key)
-            if ids is None:
-                if len(known) >= self.most:
-                    known.clear()
-                ids = self._search(BLANK * blanks + word)
-                if len(key) <= 64:
-                    known[key] = ids
-            out.append(ids)
-            blanks = 0
-        if blanks:
-            out.append(self._search(BLANK * blanks))
-        return b"".join(out)
+        text = BLANK + text.replace(" ", BLANK)
+        parts = (text[i : i + PART] for i in range(0, len(text), PART))
+        return b"".join(self.viterbi.document(parts, self.known, self.most, PART))
 
     def decode(self, ids: bytes) -> str:
         numbers = array("i")
