@@ -69,7 +69,7 @@ class OrdinalModel:
         return [1.0 / (1.0 + math.exp(min(700.0, t - m))) for t in self.thresholds]
 
 
-def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, least_z: float = 4.0, most_features: int = 20000, l2: float = 0.5, steps: int = 400, rate: float = 0.1) -> OrdinalModel:
+def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, least_z: float = 2.0, most_features: int = 20000, l2: float = 0.5, steps: int = 400, rate: float = 0.1) -> OrdinalModel:
     """Fit by full-batch Adam on the penalised likelihood. Without both classes the model is empty."""
     y = np.array(toxic, dtype=int)
     n1, n0 = int(y.sum()), int((1 - y).sum())
