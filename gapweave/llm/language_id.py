@@ -1,18 +1,18 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
-A text is read as byte windows: its words, with a blank on either side, long words in pieces of up to 30 bytes.
-The network labels every byte position of a window; a document's probabilities pool the positions of its whole
-text. Training is backpropagation through time in numpy, on the driver, over a bounded sample of documents;
-prediction is one map-only pass in which a worker remembers the windows it has labelled already.
+A text is read as its lower-cased UTF-8 bytes in overlapping windows: each labels a core of some hundred positions, and
+runs through a context of bytes before and after it, so that the state at a label's position comes from what surrounds
+it, over word ends. The network labels every byte position; a document's probabilities pool the log probabilities of
+all positions of its whole text. Training is backpropagation through time in numpy, on the driver, over windows of a
+bounded sample of documents; prediction is one map-only pass.
 
 Defined results: a null text, or one without any letter, is ``und`` with score 0; with no training text every
-document is ``und``; a text of one repeated word is pooled like any other; repeated rows are predicted each; other
-columns are ignored, whatever their names.
+document is ``und``; repeated rows are predicted each, alike; other columns are ignored, whatever their names. A
+document's result depends on its own bytes alone, not on those it is batched with.
 """
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -21,29 +21,39 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import in_fold, slices
+from .common import in_fold, slices, utf8
 
-PIECE = 30
+#: Positions that a window labels, and bytes of context on either side that it runs through.
+CORE, CONTEXT = 224, 16
+#: Windows are padded with blanks to a multiple of this, and run with those of the same length.
+GRID = 16
+#: Positions that count as independent when a document's log probabilities are pooled: neighbours tell much the same.
+EXPERTS = 24.0
+#: Bytes of a training window.
+TRAIN_WINDOW = 40
 UNDETERMINED = "und"
 
 
-def windows(text: str) -> list[bytes]:
-    """The whole text as byte windows: words cut on white space, words over 30 bytes in pieces."""
-    words = text.lower().encode().split()
-    if max(map(len, words), default=0) <= PIECE:
-        return words
-    return [w[i : i + PIECE] for w in words for i in range(0, len(w), PIECE)]
-
-
-def _pack(pieces: list[bytes]) -> np.ndarray:
-    """Equal-length windows as a (time, window) array, a blank before and after."""
-    return np.frombuffer(b"".join(b" " + p + b" " for p in pieces), dtype=np.uint8).reshape(len(pieces), -1).T
+def windows(ends: np.ndarray, core: int = CORE, context: int = CONTEXT) -> tuple[np.ndarray, ...]:
+    """(document, begin, end, first and last labelled place) of every window of texts laid end to end; cores cover each
+    byte once, and a window never leaves its document."""
+    begins = np.concatenate([[0], ends[:-1]]).astype(np.int64)
+    count = -(-(ends - begins) // core)
+    doc = np.repeat(np.arange(len(ends)), count)
+    start = begins[doc] + (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)) * core
+    stop = np.minimum(start + core, ends[doc])
+    return doc, np.maximum(start - context, begins[doc]), np.minimum(stop + context, ends[doc]), start, stop
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1.0 / (1.0 + np.exp(-x))
 
 
+def _pack(pieces: list[bytes]) -> np.ndarray:
+    """Windows of one length as a (time, window) array."""
+    return np.frombuffer(b"".join(pieces), dtype=np.uint8).reshape(len(pieces), -1).T
+
+
 @dataclass
 class ByteGru:
     """Forward and backward gated units over bytes, with one softmax readout per position."""
@@ -87,6 +97,40 @@ class ByteGru:
         e = np.exp(logits - logits.max(axis=2, keepdims=True))
         return e / e.sum(axis=2, keepdims=True), f, b, tape_f, tape_b
 
+    def log_probabilities(self, x: np.ndarray) -> np.ndarray:
+        """Log probabilities of every position, (time, window, language), without what training keeps."""
+        total = np.zeros((*x.shape, len(self.langs)), dtype=np.float32)
+        total += self.p["bias"]
+        for d in "fb":
+            xw, hw, out = self.p[f"x{d}"], self.p[f"h{d}"], self.p[f"o{d}"]
+            n = hw.shape[0]
+            h = np.zeros((x.shape[1], n), dtype=np.float32)
+            for t in range(len(x)) if d == "f" else range(len(x) - 1, -1, -1):
+                a, b = xw[x[t]], h @ hw
+                gates = a[:, : 2 * n]
+                gates += b[:, : 2 * n]
+                np.negative(gates, out=gates)
+                np.exp(gates, out=gates)
+                gates += 1.0
+                np.reciprocal(gates, out=gates)  # update and reset
+                c = a[:, 2 * n :]
+                b = b[:, 2 * n :]
+                b *= gates[:, n:]
+                c += b
+                c *= -2.0
+                np.exp(c, out=c)
+                c += 1.0
+                np.reciprocal(c, out=c)
+                c *= 2.0
+                c -= 1.0  # tanh
+                c -= h
+                c *= gates[:, :n]
+                h = h + c
+                total[t] += h @ out
+        total -= total.max(axis=2, keepdims=True)
+        total -= np.log(np.exp(total).sum(axis=2, keepdims=True))
+        return total
+
     def gradients(self, x: np.ndarray, label: np.ndarray, weight: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
         """Weighted cross entropy of all positions and its gradients, by backpropagation through time."""
         prob, f, b, tape_f, tape_b = self._forward(x)
@@ -119,8 +163,8 @@ class ByteGru:
         return loss, g
 
 
-def train(samples: list[tuple[bytes, int, float]], langs: list[str], steps: int = 500, batch: int = 512, rate: float = 0.01, hidden: int = 16, seed: int = 5) -> ByteGru:
-    """Adam over batches of equal-length windows; a sample is (window, language index, weight)."""
+def train(samples: list[tuple[bytes, int, float]], langs: list[str], steps: int = 350, batch: int = 192, rate: float = 0.01, hidden: int = 16, seed: int = 5) -> ByteGru:
+    """Adam over batches of windows of one length; a sample is (window, language index, weight)."""
     model, rng = ByteGru.new(langs, hidden, seed), np.random.default_rng(seed)
     groups: dict[int, list[tuple[bytes, int, float]]] = {}
     for s in samples:
@@ -147,50 +191,45 @@ def train(samples: list[tuple[bytes, int, float]], langs: list[str], steps: int
     return model
 
 
-class Labeller:
-    """Labels windows with a trained network and remembers them, up to ``most`` windows."""
-
-    def __init__(self, model: ByteGru, most: int = 400_000) -> None:
-        self.model, self.most = model, most
-        self.index: dict[bytes, int] = {}
-        self.table = np.zeros((1024, len(model.langs) + 1), dtype=np.float64)
-
-    def learn(self, pieces: list[bytes]) -> None:
-        if len(self.index) + len(pieces) > self.most:
-            self.index = {}
-        by_length: dict[int, list[bytes]] = {}
-        for p in pieces:
-            by_length.setdefault(len(p), []).append(p)
-        for same in by_length.values():
-            for i in range(0, len(same), 4096):
-                part = same[i : i + 4096]
-                prob = self.model.positions(_pack(part))
-                at, n = len(self.index), len(part)
-                while at + n > len(self.table):
-                    self.table = np.concatenate([self.table, np.zeros_like(self.table)])
-                self.table[at : at + n, :-1] = np.log(prob + 1e-9).sum(axis=0)
-                self.table[at : at + n, -1] = prob.shape[0]
-                self.index.update(zip(part, range(at, at + n), strict=True))
-
-    def documents(self, texts: list[str | None]) -> list[tuple[str, float]]:
-        """(language, probability) of every text, pooling the log probabilities of all its positions."""
-        rows = [windows(t) if t and any(map(str.isalpha, t)) else [] for t in texts]
-        seen = set().union(*rows)
-        new = [p for p in seen if p not in self.index]
-        if len(self.index) + len(new) > self.most:
-            self.index, new = {}, list(seen)
-        self.learn(new)
-        out, get = [], self.index.__getitem__
-        for row in rows:
-            if not row:
-                out.append((UNDETERMINED, 0.0))
-                continue
-            total = self.table[np.fromiter(map(get, row), dtype=np.int64, count=len(row))].sum(axis=0)
-            pooled = total[:-1] / total[-1] * min(total[-1], 24.0)  # a product of experts over at most 24 independent positions
-            e = np.exp(pooled - pooled.max())
-            k = int(pooled.argmax())
-            out.append((self.model.langs[k], float(e[k] / e.sum())))
+def pooled(model: ByteGru, texts: list[bytes], core: int = CORE, context: int = CONTEXT, at_once: int = 1024) -> np.ndarray:
+    """(documents, languages + 1): summed log probabilities of all positions of each text, and their number."""
+    out = np.zeros((len(texts), len(model.langs) + 1))
+    lengths = np.array([len(t) for t in texts], dtype=np.int64)
+    if not lengths.sum():
         return out
+    ends = np.cumsum(lengths)
+    data = np.frombuffer(b"".join(texts) + b" ", dtype=np.uint8)
+    doc, begin, end, start, stop = windows(ends, core, context)
+    grid = -(-(end - begin) // GRID) * GRID
+    for n in np.unique(grid).tolist():
+        same = np.flatnonzero(grid == n)
+        for i in range(0, len(same), at_once):
+            mine = same[i : i + at_once]
+            place = begin[mine][None] + np.arange(n)[:, None]
+            inside = place < end[mine][None]
+            prob = model.log_probabilities(np.where(inside, data[np.where(inside, place, 0)], 32).astype(np.uint8))
+            label = (place >= start[mine][None]) & (place < stop[mine][None])
+            prob[~label] = 0.0
+            np.add.at(out[:, :-1], doc[mine], prob.sum(axis=0, dtype=np.float64))
+            np.add.at(out[:, -1], doc[mine], label.sum(axis=0))
+    return out
+
+
+def label_documents(model: ByteGru, texts: list[str | None], raw: list[bytes] | None = None) -> list[tuple[str, float]]:
+    """(language, probability) of every text."""
+    raw = [(t or "").encode() for t in texts] if raw is None else raw
+    known = [bool(t) and any(map(str.isalpha, t)) for t in texts]
+    total = pooled(model, [r.lower() if k else b"" for r, k in zip(raw, known, strict=True)])
+    out = []
+    for row, k in zip(total, known, strict=True):
+        if not k:
+            out.append((UNDETERMINED, 0.0))
+            continue
+        mean = row[:-1] / row[-1] * min(row[-1], EXPERTS)
+        e = np.exp(mean - mean.max())
+        at = int(mean.argmax())
+        out.append((model.langs[at], float(e[at] / e.sum())))
+    return out
 
 
 def fit(docs: DataFrame, per_lang: int = 300, modulus: int = 5, held: int = 0) -> ByteGru | None:
@@ -206,22 +245,32 @@ def fit(docs: DataFrame, per_lang: int = 300, modulus: int = 5, held: int = 0) -
     drawn = F.pmod(F.xxhash64(F.lit(11), "doc_id"), F.lit(1 << 30)) < rate * F.lit(float(1 << 30))
     rows = usable.where(drawn).select("lang", "text").collect()
     langs = sorted(counts)
-    seen = {lang: Counter() for lang in langs}
-    for r in rows:
-        if any(map(str.isalpha, r.text)):
-            seen[r.lang].update(set(windows(r.text)))
-    samples = [(w, langs.index(lang), n / sum(c.values())) for lang, c in sorted(seen.items()) for w, n in sorted(c.items())]
-    return train(samples, langs) if samples else None
-
-
-def identify(docs: DataFrame, model: ByteGru | None, modulus: int = 5, held: int = 0, batch_bytes: int = 4 << 20) -> DataFrame:
+    return train(training_windows([(r.text, langs.index(r.lang)) for r in sorted(rows)]), langs) if any(any(map(str.isalpha, r.text)) for r in rows) else None
+
+
+def training_windows(texts: list[tuple[str, int]], size: int = TRAIN_WINDOW, per_text: int = 12, seed: int = 11) -> list[tuple[bytes, int, float]]:
+    """Windows at random places of each text, and its beginning; short texts as they are. Languages weigh alike."""
+    rng, out = np.random.default_rng(seed), []
+    for text, lang in texts:
+        raw = text.encode().lower()
+        if not any(map(str.isalpha, text)):
+            continue
+        if len(raw) <= size:
+            out.append((raw, lang))
+        else:
+            at = {0, *rng.integers(0, len(raw) - size + 1, min(per_text, len(raw) // size)).tolist()}
+            out.extend((raw[i : i + size], lang) for i in sorted(at))
+    each = np.bincount([lang for _, lang in out])
+    return [(w, lang, 1.0 / each[lang]) for w, lang in out]
+
+
+def identify(docs: DataFrame, model: ByteGru | None, modulus: int = 5, held: int = 0, batch_bytes: int = 2 << 20) -> DataFrame:
     """One row per document: doc_id, held_out, lang_pred, score. Predictions read the text alone."""
 
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        labeller = Labeller(model) if model else None
         for batch in slices(batches, "text", batch_bytes):
             texts = batch.column("text").to_pylist()
-            found = labeller.documents(texts) if labeller else [(UNDETERMINED, 0.0)] * len(texts)
+            found = label_documents(model, texts, utf8(batch.column("text"))) if model else [(UNDETERMINED, 0.0)] * len(texts)
             yield pa.record_batch([batch.column("doc_id"), batch.column("held_out"), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), in_fold("doc_id", modulus, held).alias("held_out"), F.col("text").cast("string").alias("text"))
