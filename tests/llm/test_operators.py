@@ -70,6 +70,7 @@ def test_water_fill_reaches_the_fixed_point():
     assert sum(mixing.water_fill([1, 1], [1, 1], 100, 2)) == 4
 
 
+@pytest.mark.xfail(strict=True, reason="written when a fractional repetition cut texts; now only whole documents are taken, and no choice of them comes this near in source a (README)")
 def test_mix_meets_targets_and_repeats(docs, plain):
     rows = mixing.mix(docs).collect()
     assert Counter(map(tuple, rows)) == Counter(map(tuple, mixing.mix(docs.repartition(7)).collect()))
@@ -92,6 +93,17 @@ def test_mix_rows_repeat_as_the_mix_says(docs, empty):
     assert mixing.mix(empty).count() == 0 and mixing.mix_rows(empty).count() == 0
 
 
+def test_mix_repeats_agree_and_miss_by_less_than_a_document(docs, plain):
+    rows = mixing.mix(docs).collect()
+    assert Counter(map(tuple, rows)) == Counter(map(tuple, mixing.mix(docs.repartition(7)).collect()))
+    assert Counter((r.doc_id, r["size"]) for r in rows) == Counter((i, len(low(t).split())) for i, t in plain)
+    for s in {r.source for r in rows}:
+        mine = [r for r in rows if r.source == s]
+        assert abs(sum(r.taken for r in mine) - mine[0].target) <= max(r["size"] for r in mine)
+    assert all(0 <= r.taken <= 2 * r["size"] for r in rows)
+    assert sum({r.source: r.target for r in rows}.values()) == pytest.approx(1.5 * sum(len(low(t).split()) for _, t in plain))
+
+
 def test_mix_rows_keep_whole_texts(spark):
     """No row is a prefix, also where a source's target is below its size; each target is missed by less than a document."""
     r = random.Random(7)
@@ -122,6 +134,17 @@ def test_chunks_rebuild_and_survive_insertions():
     assert c.cut([b""]) == [[b""]]
 
 
+def test_the_store_holds_the_media_files(docs, plain):
+    """Chunks, put in the manifest's order, are the WAV files themselves, header included."""
+    c = chunking.Chunker(least=64, bits=6, most=512)
+    store = {(bytes(r.digest), r.salt): media._open(bytes(r.data)) for r in media.chunk_store(docs, c).collect()}
+    got = Counter()
+    for r in media.manifests(docs, c).collect():
+        got[(r.doc_id, b"".join(store[bytes(d), media._salt(bytes(r.media_sha256))] for d in r.chunks))] += 1
+    assert got == Counter((i, media.to_media(media.payload_of((t or "").encode()))) for i, t in plain)
+    assert all(m.startswith(b"RIFF") for _, m in got)
+
+
 def test_media_round_trip(docs, plain, empty):
     rows = media.media_features(docs, chunking.Chunker(least=64, bits=6, most=512)).collect()
     assert len(rows) == len(plain)
@@ -156,6 +179,24 @@ def test_deep_shallow_orders_equal_prefixes():
     assert all((a == b) == (x == y) for a, b, x, y in zip(strings, strings[1:], label, label[1:]))
 
 
+def test_multikey_quicksort_partitions_only_what_is_unresolved():
+    r = random.Random(2)
+    stems = [bytes(r.choice(b"abcd") for _ in range(40)) for _ in range(5)]
+    strings = [r.choice(stems) + bytes(r.choice(b"pq") for _ in range(10)) for _ in range(400)] + [bytes(r.randrange(256) for _ in range(50)) for _ in range(2000)]
+    text = np.frombuffer(b"".join(strings) + bytes(64), dtype=np.uint8)
+    starts, stats = np.arange(0, 50 * len(strings), 50), {}
+    order, begins = suffix_dedup.multikey_quicksort(text, starts, 40, stats=stats)
+    cut = [strings[i][:40] for i in order]
+    assert cut == sorted(cut) and sorted(order.tolist()) == list(range(len(strings)))
+    assert [cut[b] for b in begins] == sorted(set(cut))
+    assert stats["split"] > 500 and stats["moved"] < 0.75 * stats["rounds"] * len(strings)  # the random ones drop out early
+    kind = np.array([i % 3 for i in range(len(strings))])
+    order, begins = suffix_dedup.multikey_quicksort(text, starts, 40, kind)
+    assert [(int(kind[i]), strings[i][:40]) for i in order] == sorted((i % 3, s[:40]) for i, s in enumerate(strings))
+    assert len(begins) == len({(i % 3, s[:40]) for i, s in enumerate(strings)})
+    assert len(suffix_dedup.multikey_quicksort(text, starts[:0], 40)[0]) == 0
+
+
 def brute_repeats(rows, length=50):
     out = Counter()
     todo = sorted((i if i is not None else -1, (t or "").encode()) for i, t in rows)
@@ -222,6 +263,38 @@ def test_gru_gradients():
         assert g[name][where] == pytest.approx((up - down) / 2e-5, rel=2e-3, abs=1e-7)
 
 
+def test_windows_label_each_byte_once():
+    ends = np.cumsum([0, 5, 224, 225, 1000, 0, 448])
+    doc, begin, end, start, stop = language_id.windows(ends)
+    seen = np.zeros(ends[-1], dtype=int)
+    for a, b in zip(start, stop):
+        seen[a:b] += 1
+    assert (seen == 1).all() and (begin <= start).all() and (end >= stop).all()
+    assert all(([0, *ends][d] <= a) and (b <= ends[d]) for d, a, b in zip(doc, begin, end))
+    assert (start - begin)[1:].max() == language_id.CONTEXT
+
+
+def test_language_pools_all_positions():
+    """The map's result equals a plain pass over every window, position by position, alone or in any batch."""
+    m = language_id.ByteGru.new(["a", "b", "c"], hidden=5, seed=9)
+    r = random.Random(1)
+    texts = ["".join(r.choice("abcdé 世ß\n") for _ in range(n)) for n in (1, 7, 40, 300, 900)] + [None, "", "12 ..."]
+    got = language_id.label_documents(m, texts)
+    assert got[5:] == [("und", 0.0)] * 3
+    for text, (lang, score) in zip(texts[:5], got):
+        raw, total = text.encode().lower(), np.zeros(3)
+        for at in range(0, len(raw), 224):
+            a, b = max(0, at - 16), min(len(raw), min(len(raw), at + 224) + 16)
+            window = raw[a:b] + b" " * (-(b - a) % 16)
+            prob = m.positions(np.frombuffer(window, dtype=np.uint8)[:, None])[:, 0]
+            total += np.log(prob[at - a : min(len(raw), at + 224) - a].astype(float)).sum(axis=0)
+        mean = total / len(raw) * min(len(raw), 24)
+        e = np.exp(mean - mean.max())
+        assert lang == "abc"[int(mean.argmax())] and score == pytest.approx(float(e.max() / e.sum()), rel=1e-3)
+        alone = language_id.label_documents(m, [text])[0]
+        assert alone[0] == lang and alone[1] == pytest.approx(score, rel=1e-5)
+
+
 def test_language_held_out_accuracy(spark, data, docs, empty):
     table = spark.read.parquet(f"{data}/documents.parquet")
     model = language_id.fit(table)
@@ -250,6 +323,36 @@ def test_ordinal_regression_orders_grades():
     assert all(a >= b for a, b in [m.above(t) for t in clean + bad])
 
 
+def test_severity_equals_its_formula(docs, plain):
+    """Expected severity by hand from weights and thresholds; nothing to read has severity 0, whatever the thresholds."""
+    m = toxicity.OrdinalModel({"w1": 0.7, "one": 1.3, "hello": -2.0, "quic-": 0.4}, (-0.5, 1.5))
+    got = defaultdict(set)
+    for r in toxicity.score(docs, m).collect():
+        got[r.doc_id].add((round(r.p_toxic, 9), round(r.p_severe, 9), round(r.expected_severity, 9), r.grade))
+    for i, t in plain:
+        c = toxicity.features(t)
+        x = sum(w * (1 + math.log(c[f])) for f, w in m.weights.items() if c[f])
+        p = [1 / (1 + math.exp(k - x)) for k in m.thresholds] if any(map(str.isalpha, t or "")) else [0.0, 0.0]
+        mass = [1 - p[0], p[0] - p[1], p[1]]
+        assert (round(p[0], 9), round(p[1], 9), round(sum(p), 9), mass.index(max(mass))) in got[i]
+    assert all(got[i] == {(0.0, 0.0, 0.0, 0)} for i in (1, 2, 3, 9))
+
+
+def test_toxicity_held_out():
+    """Fitted on two thirds of the labelled rows, the others are told apart."""
+    import pyarrow.parquet as pq
+
+    text = {r["doc_id"]: r["text"] for r in pq.read_table("/root/testdata/sf0.1/documents.parquet").to_pylist()}
+    rows = [(text[r["doc_id"]], r["toxic"], r["doc_id"]) for r in pq.read_table("/root/testdata/sf0.1/labels.parquet").to_pylist() if r["toxic"] is not None and r["doc_id"] in text]
+    held = [r for r in rows if zlib.crc32(str(r[2]).encode()) % 3 == 0]
+    known = [r for r in rows if zlib.crc32(str(r[2]).encode()) % 3 != 0]
+    m = toxicity.fit_ordinal([r[0] for r in known], [r[1] for r in known])
+    caught = [m.above(t)[0] >= 0.5 for t, toxic, _ in held if toxic]
+    kept = [m.above(t)[0] < 0.5 for t, toxic, _ in held if not toxic]
+    print("held out:", len(caught), "toxic, caught", sum(caught) / len(caught), ";", len(kept), "clean, kept", sum(kept) / len(kept))
+    assert sum(caught) >= 0.8 * len(caught) and sum(kept) >= 0.97 * len(kept)
+
+
 def test_toxicity_on_tables(spark, data, docs, empty):
     table, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
     model = toxicity.fit(table, labels)
@@ -296,6 +399,53 @@ def test_viterbi_window_stays_small():
     assert n > 3000 and search.peak < 20 * v.longest
 
 
+def best_segmentation(v, text):
+    best = [(0.0, [])] + [None] * len(text)
+    for j in range(1, len(text) + 1):
+        options = []
+        for i in range(max(0, j - v.longest), j):
+            hit = v.pieces.get(text[i:j])
+            if hit:
+                options.append((best[i][0] + hit[1], best[i][1] + [hit[0]]))
+            elif j == i + 1:
+                raw = text[i].encode()
+                options.append((best[i][0] + v.byte_score * len(raw), best[i][1] + [v.byte_ids[b] for b in raw]))
+        best[j] = max(options, key=lambda o: o[0])
+    return best[-1][1]
+
+
+def test_documents_stream_through_one_search(plain):
+    """The ids of whole documents are the best segmentation's; commits come at word ends, and inside stretches without any."""
+    v = pieces.Vocabulary.load(pieces.default_model())
+    assert v.words_stand_alone
+    texts = [t for _, t in plain if t and len(t) < 4000] + ["a  b   c ", " lead", "x" * 700 + " y " + "information" * 90]
+    for part in (7, 50, 1 << 14):
+        search, known = pieces.StreamingViterbi(v), {}
+        for t in texts[:: 1 if part == 50 else 5]:
+            marked = "▁" + t.replace(" ", "▁")
+            ids = array("i")
+            for piece in search.document((marked[i : i + 11] for i in range(0, len(marked), 11)), known, part=part):
+                ids.frombytes(piece)
+            assert ids.tolist() == best_segmentation(v, marked)
+    words = " ".join(f"word{i}" for i in range(2000))
+    search = pieces.StreamingViterbi(v)
+    list(search.document(["▁" + words.replace(" ", "▁")]))
+    assert search.commits == 2000 and search.peak < 4 * v.longest
+    search = pieces.StreamingViterbi(v)
+    list(search.document((("information" * 20) for _ in range(200)), part=64))
+    assert search.early > 500 and search.peak < 20 * v.longest
+
+
+def test_query_digests_are_those_of_the_best_segmentation(docs, plain):
+    v = pieces.Vocabulary.load(pieces.default_model())
+    got = defaultdict(set)
+    for r in pieces.round_trip(docs).collect():
+        got[r.doc_id].add((r.n_ids, r.ids_sha256))
+    for i, t in plain[:25]:
+        ids = array("i", best_segmentation(v, "▁" + t.replace(" ", "▁")) if t else [])
+        assert (len(ids), hashlib.sha256(ids.tobytes()).hexdigest()) in got[i]
+
+
 def test_pieces_round_trip(docs, plain, empty):
     import sentencepiece
 
