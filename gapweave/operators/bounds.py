@@ -42,12 +42,21 @@ def max_mask_for(n: Column, missing: Column, eps: float = 0.03, delta: float = 0
     return F.when(m >= 0, m)
 
 
-def cluster_guarantees(pairs: DataFrame, mask_share: float, eps: float = 0.03, delta: float = 0.1, gamma_min: float = 0.2) -> DataFrame:
-    """Per cluster: n, alpha (projected share), beta (extra mask), gamma, need, met, feasible; ``pairs`` has cluster and missing (share)."""
+def cluster_guarantees(pairs: DataFrame, masks: DataFrame, eps: float = 0.03, delta: float = 0.1, gamma_min: float = 0.2) -> DataFrame:
+    """Per cluster: n, alpha (projected share), beta (the mask found for the cluster), gamma, need, slack, met, feasible.
+
+    ``pairs`` has cluster and missing (share); ``masks`` cluster and mask, a row a cluster.
+    """
     g = pairs.groupBy("cluster").agg(F.count("*").alias("n"), F.avg("missing").alias("alpha"))
-    g = g.withColumns({"beta": F.lit(float(mask_share)), "need": F.lit(need_value(eps, delta))})
+    g = g.join(F.broadcast(masks.select("cluster", F.col("mask").alias("beta"))), "cluster").withColumn("need", F.lit(need_value(eps, delta)))
     g = g.withColumn("gamma", F.greatest(F.lit(0.0), observable_ratio(F.col("alpha"), F.col("beta"), "difference")))
-    return g.withColumns({"met": F.col("n") * F.col("gamma") >= F.col("need"), "feasible": F.col("gamma") >= gamma_min})
+    g = g.withColumn("slack", F.col("n") * F.col("gamma") - F.col("need"))
+    return g.withColumns({"met": F.col("slack") >= 0, "feasible": F.col("gamma") >= gamma_min})
+
+
+def success_label(success: Column, delta: float = 0.1) -> Column:
+    """1 where the share of windows that are rebuilt reaches 1 - delta."""
+    return (success >= 1 - delta).cast("int")
 
 
 def reconstruction_test(predicted: str, truth: str, hidden: str, tolerance: Column | float, agg: str = "all") -> Column:

@@ -14,9 +14,10 @@ from ..functions.hashing import SEEDS, unit_sql
 from ..learners.core import EVALUATED
 from ..operators import gaps, impute, metrics, minmask, patterns, series
 from ..plans import experiments, pipeline
+from ..sources.scratch import materialise
 from ..sources.workloads import WORKLOADS, windows_sql
 from .patterns import _pairs
-from .windows import CLUSTER_SQL, W, Z_SQL, base_centroids, incomplete_assigned, slots, train_complete, wins, z_wins
+from .windows import CLUSTER_SQL, W, Z_SQL, Base, base_centroids, incomplete_assigned, slots, train_complete, wins, z_wins
 
 # ---- exact imputers on held-out windows, half of the slots hidden ---------------------------------------------
 
@@ -131,23 +132,46 @@ _TOKENS = f"""WITH {windows_sql(WORKLOADS['priority_day'])}, full_w AS (SELECT g
  ctx AS (SELECT pos, token, CAST(lag(token, 1) OVER o AS VARCHAR) AS p1, CAST(lag(token, 2) OVER o AS VARCHAR) AS p2 FROM tk WINDOW o AS (PARTITION BY series_id, win ORDER BY pos))
  SELECT context, token, count(*) AS n FROM (SELECT '' AS context, token FROM ctx UNION ALL SELECT p1, token FROM ctx WHERE p1 IS NOT NULL UNION ALL SELECT p2 || ',' || p1, token FROM ctx WHERE p2 IS NOT NULL) GROUP BY 1, 2"""
 
-# ---- measures on literal tables -------------------------------------------------------------------------------
+# ---- measures on a table of scores ----------------------------------------------------------------------------
 
-SCORES = [("a", "m1", "framework", "mcar", 0.1, 0.5), ("a", "m1", "direct", "mcar", 0.1, 0.7), ("a", "m2", "framework", "mcar", 0.1, 0.9), ("a", "m2", "direct", "mcar", 0.1, 0.8), ("b", "m1", "framework", "mcar", 0.9, 0.25), ("b", "m1", "direct", "mcar", 0.9, 0.25), ("b", "m2", "framework", "mcar", 0.9, 1.0), ("b", "m2", "direct", "mcar", 0.9, 3.0)]
-_SCORES = "sc(dataset, learner, strategy, gap_kind, rate, mse) AS (VALUES " + ", ".join(map(str, SCORES)) + ")"
 
+def _scores(s, d):
+    """Errors of slot means by cluster (``framework``) and over all (``direct``), by region and share hidden at random.
 
-def _scores(s):
-    return s.createDataFrame(SCORES, "dataset string, learner string, strategy string, gap_kind string, rate double, mse double")
+    A data set is a region's suppliers; z is what is scored.
+    """
+    b = Base(s, d)
+    profile = F.array(*[F.lit(float(v)) for v in impute.slot_means(b.train, W, "z")])
+    centres = F.array(*[F.array(*[F.lit(float(v)) for v in row]) for row in b.centroids])
+    nation = s.read.parquet(f"{d}/nation.parquet").select(F.col("n_nationkey").alias("s_nationkey"), "n_regionkey")
+    region = s.read.parquet(f"{d}/supplier.parquet").join(F.broadcast(nation), "s_nationkey").select(F.col("s_suppkey").cast("string").alias("series_id"), F.col("n_regionkey").cast("string").alias("dataset"))
+    test = materialise(z_wins(s, d).where("complete").where(series.holdout()).select("series_id", "win", "z").join(region, "series_id"), "test")
+    rows = []
+    for rate in (0.1, 0.5, 0.9):
+        t = gaps.mcar(test, W, rate).withColumn("seen", impute.shown("z", "hidden"))
+        t = t.withColumn("own", F.element_at(centres, nearest(euclid_to("seen", b.centroids))["cluster"] + 1))
+        cells = t.select("dataset", F.explode(F.arrays_zip(F.col("z").alias("t"), F.col("hidden").alias("h"), F.col("own").alias("framework"), profile.alias("direct"))).alias("c")).where("c.h")
+        for strategy in ("framework", "direct"):
+            rows.append(metrics.errors(cells.select("dataset", F.col(f"c.{strategy}").alias("pred"), F.col("c.t").alias("truth")), ["dataset"]).select("dataset", F.lit("profile").alias("learner"), F.lit(strategy).alias("strategy"), F.lit("mcar").alias("gap_kind"), F.lit(rate).alias("rate"), F.round("mse", 6).alias("mse")))
+    return reduce(DataFrame.unionByName, rows)
 
 
 def win_grid(s, d):
-    return metrics.win_grid(_scores(s), "framework", "direct", ["rate"]).select("rate", "wins", "losses", "ties", F.round("mean_ratio", 6).alias("mean_ratio"))
+    return metrics.win_grid(_scores(s, d), "framework", "direct", ["rate"]).select("rate", "wins", "losses", "ties", F.round("mean_ratio", 4).alias("mean_ratio"))
 
 
 def reduction(s, d):
-    p = _scores(s).groupBy("dataset", "learner").pivot("strategy", ["framework", "direct"]).agg(F.first("mse"))
-    return p.select("dataset", "learner", F.round(metrics.reduction_pct(F.col("framework"), F.col("direct")), 4).alias("reduction_pct"))
+    p = _scores(s, d).groupBy("dataset", "learner", "rate").pivot("strategy", ["framework", "direct"]).agg(F.first("mse"))
+    return p.select("dataset", "learner", "rate", F.round(metrics.reduction_pct(F.col("framework"), F.col("direct")), 3).alias("reduction_pct"))
+
+
+_SCORES = f"""WITH {CLUSTER_SQL}, te AS (SELECT z.series_id, z.win, z.pos, z.z, r.rate, {unit_sql(SEEDS['gap'], 'z.series_id', 'z.win', 'z.pos')} < r.rate AS hidden FROM zs z, (VALUES (0.1::DOUBLE), (0.5), (0.9)) r(rate) WHERE z.complete AND z.held),
+ sm AS (SELECT pos, avg(z) AS m FROM zc GROUP BY 1),
+ vis AS (SELECT series_id, win, rate, sum(CASE WHEN hidden THEN 0 ELSE 1 END) AS n FROM te GROUP BY 1, 2, 3),
+ td AS (SELECT v.series_id, v.win, v.rate, c.cluster, sqrt(sum(CASE WHEN v.hidden THEN 0 ELSE (v.z - c.c) * (v.z - c.c) END) * {2.0 * W} / (max(vis.n) + {W})) AS dist FROM te v JOIN c2 c ON c.pos = v.pos JOIN vis ON vis.series_id = v.series_id AND vis.win = v.win AND vis.rate = v.rate GROUP BY 1, 2, 3, 4),
+ tk AS (SELECT series_id, win, rate, cluster FROM td QUALIFY row_number() OVER (PARTITION BY series_id, win, rate ORDER BY dist, cluster) = 1),
+ p AS (SELECT CAST(n.n_regionkey AS VARCHAR) AS dataset, te.rate, round(avg((c2.c - te.z) * (c2.c - te.z)), 6) AS a, round(avg((sm.m - te.z) * (sm.m - te.z)), 6) AS b FROM te JOIN tk ON tk.series_id = te.series_id AND tk.win = te.win AND tk.rate = te.rate JOIN c2 ON c2.cluster = tk.cluster AND c2.pos = te.pos JOIN sm ON sm.pos = te.pos
+  JOIN supplier s ON CAST(s.s_suppkey AS VARCHAR) = te.series_id JOIN nation n ON n.n_nationkey = s.s_nationkey WHERE te.hidden GROUP BY 1, 2)"""
 
 
 def training_reduction(s, d):
@@ -300,7 +324,7 @@ ORACLES = {
     "mask_transition_counts": f"""WITH {Z_SQL}, g AS (SELECT series_id, win, pos, CASE WHEN value IS NULL THEN 1 ELSE 0 END AS cur FROM zs WHERE NOT complete AND n_obs > 0)
         SELECT CAST(pos AS BIGINT) AS pos, CAST(coalesce(prev, 2) AS BIGINT) AS prev, CAST(cur AS BIGINT) AS cur, count(*) AS n FROM (SELECT *, lag(cur) OVER (PARTITION BY series_id, win ORDER BY pos) AS prev FROM g) GROUP BY 1, 2, 3""",
     "token_counts": _TOKENS,
-    "win_grid": f"WITH {_SCORES}, p AS (SELECT dataset, learner, rate, max(CASE WHEN strategy = 'framework' THEN mse END) AS a, max(CASE WHEN strategy = 'direct' THEN mse END) AS b FROM sc GROUP BY 1, 2, 3) SELECT CAST(rate AS DOUBLE) AS rate, CAST(sum(CASE WHEN a < b THEN 1 ELSE 0 END) AS BIGINT) AS wins, CAST(sum(CASE WHEN a > b THEN 1 ELSE 0 END) AS BIGINT) AS losses, CAST(sum(CASE WHEN a = b THEN 1 ELSE 0 END) AS BIGINT) AS ties, round(exp(avg(ln(b::DOUBLE / a::DOUBLE))), 6) AS mean_ratio FROM p GROUP BY 1",
-    "reduction_pct": f"WITH {_SCORES} SELECT dataset, learner, round(100 * (1 - max(CASE WHEN strategy = 'framework' THEN mse END)::DOUBLE / max(CASE WHEN strategy = 'direct' THEN mse END)::DOUBLE), 4) AS reduction_pct FROM sc GROUP BY 1, 2",
+    "win_grid": f"{_SCORES} SELECT rate, CAST(sum(CASE WHEN round(a, 4) < round(b, 4) THEN 1 ELSE 0 END) AS BIGINT) AS wins, CAST(sum(CASE WHEN round(a, 4) > round(b, 4) THEN 1 ELSE 0 END) AS BIGINT) AS losses, CAST(sum(CASE WHEN round(a, 4) = round(b, 4) THEN 1 ELSE 0 END) AS BIGINT) AS ties, round(exp(avg(ln(round(b, 4) / round(a, 4)))), 4) AS mean_ratio FROM p GROUP BY 1",
+    "reduction_pct": f"{_SCORES} SELECT dataset, 'profile' AS learner, rate, round(100 * (1 - a / b), 3) AS reduction_pct FROM p",
     "training_reduction": " UNION ALL ".join(map(_reduction_sql, ("supplier_week", "user_halfday", "flag_day"))),
 }

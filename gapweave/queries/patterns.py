@@ -10,6 +10,7 @@ from ..functions.hashing import SEEDS, draw_sql, unit_sql
 from ..functions.masks import missing_ratio, pattern_kl_sql
 from ..operators import assign, bounds, gaps, minmask, patterns, series
 from ..sources.planted import planted
+from ..sources.scratch import materialise
 from .windows import CLUSTER_SQL, INC_SQL, W, Z_SQL, Base, complete_assigned, incomplete_assigned, wins, z_wins
 
 H = SEEDS
@@ -207,9 +208,23 @@ def windows_needed(s, d):
     return wins(s, d).groupBy("n_obs").agg(F.first(bounds.windows_needed(g)).alias("needed"), F.round(F.first(bounds.max_mask_for(F.lit(600.0), missing_ratio("words", W))), 6).alias("max_mask")).select(F.col("n_obs").cast("long").alias("n_obs"), "needed", "max_mask")
 
 
+#: A mask a cluster, for the exact twin of the guarantees.
+MASKS = [(0, 0.01), (1, 0.08), (2, 0.32)]
+
+
 def cluster_guarantees(s, d):
-    g = bounds.cluster_guarantees(_inc(s, d).withColumn("missing", missing_ratio("words", W)), 0.08)
-    return g.select("cluster", "n", "met", "feasible", *[F.round(c, 6).alias(c) for c in ("alpha", "beta", "gamma", "need")])
+    rows = _inc(s, d).withColumn("missing", missing_ratio("words", W))
+    g = bounds.cluster_guarantees(rows, s.createDataFrame(MASKS, "cluster int, mask double"))
+    return g.select("cluster", "n", "met", "feasible", *[F.round(c, 6).alias(c) for c in ("alpha", "beta", "gamma", "need", "slack")])
+
+
+def searched_guarantees(s, d):
+    """The same with the masks that the search finds: beta is the cluster's own."""
+    b = Base(s, d)
+    inc = b.incomplete()
+    masks = minmask.min_mask_search(patterns.pair(inc, b.complete()), W, "gaussian", runs=2)[0]
+    g = bounds.cluster_guarantees(inc.withColumn("missing", missing_ratio("words", W)), masks)
+    return g.select("cluster", "n", "met", "feasible", *[F.round(c, 6).alias(c) for c in ("alpha", "beta", "gamma", "need", "slack")])
 
 
 def reconstruction(s, d, share=0.1):
@@ -273,20 +288,50 @@ def sample_incomplete(s, d):
     return assign.sample_incomplete(z, 1, 300.0, 0.7, 1.5).select("series_id", "win")
 
 
+#: Tolerances of the reconstruction test, as shares of the complete windows' deviation.
+TOLERANCES = (0.1, 1.0, 2.0, 2.5)
+ALPHAS, BETAS, DELTA = (0.1, 0.3, 0.5, 0.7), (0.01, 0.1, 0.2, 0.4), 0.1
+
+
 def learnability(s, d):
-    """Share of windows that the slot profile rebuilds within one deviation, over a grid of projected and extra shares."""
+    """Share of windows that the slot profile rebuilds within each tolerance, over a grid of projected and extra shares,
+    and whether it reaches 1 - delta."""
     from ..functions.hashing import unit
     from .windows import train_complete
 
-    z = train_complete(s, d)
+    z = materialise(train_complete(s, d), "complete")
     profile = z.select(*[F.avg(F.col("z")[j]).alias(f"p{j}") for j in range(W)]).first()
-    grid = s.createDataFrame([(a, b) for a in (0.1, 0.3, 0.5) for b in (0.01, 0.1, 0.2)], "alpha double, beta double")
-    rows = z.crossJoin(F.broadcast(grid))
+    sd = z.select(F.explode("z").alias("v")).agg(F.stddev_pop("v")).first()[0]
+    grid = s.createDataFrame([(a, b) for a in ALPHAS for b in BETAS], "alpha double, beta double")
+    rows = z.crossJoin(F.broadcast(grid))  # 16 rows a window
     hidden = F.transform(F.sequence(F.lit(0), F.lit(W - 1)), lambda i: (unit(H["gap"], "series_id", "win", i) < F.col("alpha")) | (unit(H["mask"], "series_id", "win", i) < F.col("beta")))
     rows = rows.withColumns({"hidden": hidden, "guess": F.array(*[F.lit(profile[j]) for j in range(W)])})
-    ok = bounds.reconstruction_test("guess", "z", "hidden", 1.5, "all")
-    g = rows.groupBy("alpha", "beta").agg(F.round(F.avg(ok.cast("double")), 6).alias("success"), F.count("*").alias("n"))
-    return g.withColumn("label", (F.col("success") >= 0.5).cast("int"))
+    tests = F.array(*[F.struct(F.lit(t).alias("tolerance"), bounds.reconstruction_test("guess", "z", "hidden", t * sd, "all").alias("ok")) for t in TOLERANCES])
+    rows = rows.select("alpha", "beta", F.explode(tests).alias("t"))
+    g = rows.groupBy("t.tolerance", "alpha", "beta").agg(F.round(F.avg(F.col("t.ok").cast("double")), 6).alias("success"), F.count("*").alias("n"))
+    return g.withColumn("label", bounds.success_label(F.col("success"), DELTA))
+
+
+def learnability_boundary(s, d):
+    """A line in (alpha, beta) between learnable and not, for each tolerance, and whether it separates the grid."""
+    import numpy as np
+
+    by: dict[float, list] = {}
+    for r in learnability(s, d).collect():  # 16 rows a tolerance
+        by.setdefault(r.tolerance, []).append((r.alpha, r.beta, r.label))
+    out = []
+    for t, rows in sorted(by.items()):
+        theta, split = bounds.fit_boundary(np.array([r[:2] for r in sorted(rows)]), np.array([r[2] for r in sorted(rows)]))
+        out.append((t, *[float(v) for v in theta], bool(split), sum(r[2] for r in rows)))
+    return s.createDataFrame(out, "tolerance double, theta_alpha double, theta_beta double, constant double, separates boolean, learnable int")
+
+
+def operation_counts(s, d):
+    """What the complexity formulas count, for the sizes of this collection."""
+    from ..operators.metrics import operation_counts as counts
+
+    n = {r.complete: r.n for r in wins(s, d).groupBy("complete").agg(F.count("*").alias("n")).collect()}
+    return s.createDataFrame(sorted(counts(n.get(True, 0), n.get(False, 0), 3, W, 15, 6, 5).items()), "operation string, n long")
 
 
 def worked_example(s, d):
@@ -332,8 +377,12 @@ QUERIES = {
     "observable_ratio": observable_ratio,
     "windows_needed": windows_needed,
     "cluster_guarantees": cluster_guarantees,
+    "cluster_guarantees_searched": searched_guarantees,
     "reconstruction_test": reconstruction,
+    "reconstruction_wide": lambda s, d: reconstruction(s, d, 1.0),
     "learnability_labels": learnability,
+    "learnability_boundary": learnability_boundary,
+    "operation_counts": operation_counts,
     "assign_bounded": assign_bounded,
     "assign_drop": assign_drop,
     "assign_unbounded": assign_unbounded,
@@ -344,6 +393,36 @@ QUERIES = {
     "worked_example": worked_example,
 }
 _NEED = bounds.need_value()
+_RECONSTRUCTED = f"""{PAIR_SQL}, e AS (SELECT p.cluster, p.series_id, p.win, abs(c2.c - zc.z) AS e FROM pairs p JOIN zc ON zc.series_id = p.comp_series AND zc.win = p.comp_win JOIN c2 ON c2.cluster = p.cluster AND c2.pos = zc.pos WHERE (p.word >> zc.pos) & 1 = 0),
+        sg AS (SELECT TOLERANCE * stddev_pop(z) AS tol FROM zc),
+        t AS (SELECT cluster, series_id, win, CASE WHEN max(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS a, CASE WHEN avg(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS m, avg(CASE WHEN e <= tol THEN 1.0 ELSE 0.0 END) AS sl FROM e, sg GROUP BY 1, 2, 3)
+        SELECT cluster, round(avg(a), 6) AS "all", round(avg(m), 6) AS mean, round(avg(sl), 6) AS slot, count(*) AS n FROM t GROUP BY 1"""
+#: Every pattern replaced by its random rival first.
+_NULL = _COMPARED.replace("FROM inc", "FROM inc2").replace(
+    " rnd AS (",
+    f""" inc2 AS (SELECT i.series_id, i.win, i.cluster, i.n_obs, x.word FROM inc i JOIN (SELECT series_id, win, CAST({ALL} - sum(1::BIGINT << pos) AS BIGINT) AS word FROM (SELECT i.series_id, i.win, b.pos, i.n_obs, row_number() OVER (PARTITION BY i.series_id, i.win ORDER BY {draw_sql(H['random'] + 1000, 'i.series_id', 'i.win', 'b.pos')}, b.pos) AS k FROM inc i CROSS JOIN {_BITS} b) WHERE k <= {W} - n_obs GROUP BY 1, 2) x ON x.series_id = i.series_id AND x.win = i.win),
+ rnd AS (""",
+    1,
+)
+
+
+def _levels_sql():
+    """(kind, level, SQL of hidden) of every generator at every level."""
+    for p in (0.1, 0.3, 0.5, 0.7, 0.9):
+        yield "mcar", p, f"{unit_sql(H['gap'], 'series_id', 'win', 'pos')} < {p}"
+        yield "mcar_exact", p, f"row_number() OVER (PARTITION BY series_id, win ORDER BY {draw_sql(H['gap'], 'series_id', 'win', 'pos')}, pos) <= {round(p * W)}"
+        yield "mnar_value", p, f"{unit_sql(H['value'], 'series_id', 'win', 'pos')} < greatest(0.0, least(1.0, {p} * (1 + 0.8 * (1 - 2.0 * (row_number() OVER (PARTITION BY series_id, win ORDER BY -value, pos) - 1) / {W - 1}))))"
+        start = lambda n, room, *ids: f"({draw_sql(H['burst'], 'series_id', 'win', *ids)} % {room - n + 1})"
+        if p <= 0.5:
+            n = max(1, min(W // 2, round(p * W)))
+            yield "mnar_burst", p, f"pos >= {start(n, W)} AND pos < {start(n, W)} + {n}"
+        else:
+            half = W // 2
+            n1 = min(half, round(p * W / 2))
+            n2 = min(W - half, round(p * W) - n1)
+            yield "mnar_burst", p, f"(pos >= {start(n1, half, '1')} AND pos < {start(n1, half, '1')} + {n1}) OR (pos >= {half} + {start(n2, W - half, '2')} AND pos < {half} + {start(n2, W - half, '2')} + {n2})"
+
+
 ORACLES = {
     "pair_one_to_one": f"WITH {INC_SQL}, {_RANK} SELECT ri.series_id, ri.win, ri.cluster, comp_series, comp_win FROM ri JOIN rc ON rc.cluster = ri.cluster AND rc.comp_rank = ri.rank",
     "pair_reuse": f"{PAIR_SQL} SELECT series_id, win, cluster, comp_series, comp_win FROM pairs",
@@ -373,15 +452,30 @@ ORACLES = {
     "sample_need": "SELECT CAST(e AS DOUBLE) AS eps, CAST(q AS DOUBLE) AS delta, round((1 / e) * (3 * ln(1 / e) + ln(1 / q)), 4) AS need, CAST(ceil((1 / e) * (3 * ln(1 / e) + ln(1 / q))) AS BIGINT) AS windows FROM (VALUES (0.01::DOUBLE), (0.03), (0.05), (0.1)) a(e), (VALUES (0.01::DOUBLE), (0.05), (0.1)) b(q)",
     "observable_ratio": f"WITH {Z_SQL} SELECT series_id, win, round((1 - ({W} - n_obs) / {float(W)}) * 0.9::DOUBLE, 6) AS product, round(1 - ({W} - n_obs) / {float(W)} - 0.1::DOUBLE, 6) AS difference FROM wins",
     "windows_needed": f"WITH {Z_SQL} SELECT n_obs, CAST(max(CASE WHEN n_obs > 0 THEN ceil({_NEED!r}::DOUBLE / ((1 - ({W} - n_obs) / {float(W)}) * 0.9::DOUBLE)) END) AS BIGINT) AS needed, round(max(CASE WHEN 1 - ({W} - n_obs) / {float(W)} - {_NEED!r}::DOUBLE / 600 >= 0 THEN 1 - ({W} - n_obs) / {float(W)} - {_NEED!r}::DOUBLE / 600 END), 6) AS max_mask FROM wins GROUP BY 1",
-    "cluster_guarantees": f"WITH {INC_SQL} SELECT cluster, n, n * gamma >= {_NEED!r} AS met, gamma >= 0.2 AS feasible, round(alpha, 6) AS alpha, 0.08::DOUBLE AS beta, round(gamma, 6) AS gamma, round({_NEED!r}::DOUBLE, 6) AS need FROM (SELECT cluster, count(*) AS n, avg(({W} - n_obs) / {float(W)}) AS alpha, greatest(0.0, 1 - avg(({W} - n_obs) / {float(W)}) - 0.08::DOUBLE) AS gamma FROM inc GROUP BY 1)",
-    "reconstruction_test": f"""{PAIR_SQL}, e AS (SELECT p.cluster, p.series_id, p.win, abs(c2.c - zc.z) AS e FROM pairs p JOIN zc ON zc.series_id = p.comp_series AND zc.win = p.comp_win JOIN c2 ON c2.cluster = p.cluster AND c2.pos = zc.pos WHERE (p.word >> zc.pos) & 1 = 0),
-        sg AS (SELECT 0.1 * stddev_pop(z) AS tol FROM zc),
-        t AS (SELECT cluster, series_id, win, CASE WHEN max(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS a, CASE WHEN avg(e) <= max(tol) THEN 1.0 ELSE 0.0 END AS m, avg(CASE WHEN e <= tol THEN 1.0 ELSE 0.0 END) AS sl FROM e, sg GROUP BY 1, 2, 3)
-        SELECT cluster, round(avg(a), 6) AS "all", round(avg(m), 6) AS mean, round(avg(sl), 6) AS slot, count(*) AS n FROM t GROUP BY 1""",
-    "learnability_labels": f"""WITH {Z_SQL}, pr AS (SELECT pos, avg(z) AS p FROM zc GROUP BY 1),
-        g AS (SELECT * FROM (VALUES (0.1::DOUBLE), (0.3), (0.5)) a(alpha), (VALUES (0.01::DOUBLE), (0.1), (0.2)) b(beta)),
-        e AS (SELECT g.alpha, g.beta, zc.series_id, zc.win, max(CASE WHEN ({unit_sql(H['gap'], 'zc.series_id', 'zc.win', 'zc.pos')} < g.alpha OR {unit_sql(H['mask'], 'zc.series_id', 'zc.win', 'zc.pos')} < g.beta) AND abs(pr.p - zc.z) > 1.5 THEN 0.0 ELSE NULL END) AS bad FROM zc JOIN pr ON pr.pos = zc.pos CROSS JOIN g GROUP BY 1, 2, 3, 4),
-        t AS (SELECT alpha, beta, round(avg(coalesce(bad, 1.0)), 6) AS success, count(*) AS n FROM e GROUP BY 1, 2) SELECT alpha, beta, success, n, CASE WHEN success >= 0.5 THEN 1 ELSE 0 END AS label FROM t""",
+    "cluster_guarantees": f"""WITH {INC_SQL}, m(cluster, beta) AS (VALUES {', '.join(f'({c}, {m}::DOUBLE)' for c, m in MASKS)}),
+        g AS (SELECT i.cluster, count(*) AS n, avg(({W} - n_obs) / {float(W)}) AS alpha, max(m.beta) AS beta FROM inc i JOIN m ON m.cluster = i.cluster GROUP BY 1),
+        h AS (SELECT *, greatest(0.0, 1 - alpha - beta) AS gamma FROM g)
+        SELECT cluster, n, n * gamma - {_NEED!r}::DOUBLE >= 0 AS met, gamma >= 0.2 AS feasible, round(alpha, 6) AS alpha, beta, round(gamma, 6) AS gamma, round({_NEED!r}::DOUBLE, 6) AS need, round(n * gamma - {_NEED!r}::DOUBLE, 6) AS slack FROM h""",
+    "reconstruction_test": _RECONSTRUCTED.replace("TOLERANCE", "0.1"),
+    "reconstruction_wide": _RECONSTRUCTED.replace("TOLERANCE", "1.0"),
+    "learnability_labels": f"""WITH {Z_SQL}, pr AS (SELECT pos, avg(z) AS p FROM zc GROUP BY 1), sg AS (SELECT stddev_pop(z) AS sd FROM zc),
+        g AS (SELECT * FROM (VALUES {', '.join(f'({x}::DOUBLE)' for x in ALPHAS)}) a(alpha), (VALUES {', '.join(f'({x}::DOUBLE)' for x in BETAS)}) b(beta)),
+        e AS (SELECT g.alpha, g.beta, zc.series_id, zc.win, max(CASE WHEN ({unit_sql(H['gap'], 'zc.series_id', 'zc.win', 'zc.pos')} < g.alpha OR {unit_sql(H['mask'], 'zc.series_id', 'zc.win', 'zc.pos')} < g.beta) THEN abs(pr.p - zc.z) END) AS worst FROM zc JOIN pr ON pr.pos = zc.pos CROSS JOIN g GROUP BY 1, 2, 3, 4),
+        t AS (SELECT o.tolerance, alpha, beta, round(avg(CASE WHEN worst > o.tolerance * sg.sd THEN 0.0 ELSE 1.0 END), 6) AS success, count(*) AS n FROM e, sg, (VALUES {', '.join(f'({x}::DOUBLE)' for x in TOLERANCES)}) o(tolerance) GROUP BY 1, 2, 3)
+        SELECT tolerance, alpha, beta, success, n, CASE WHEN success >= {1 - DELTA} THEN 1 ELSE 0 END AS label FROM t""",
+    "operation_counts": f"""WITH {Z_SQL}, n AS (SELECT CAST(sum(CASE WHEN n_obs = {W} THEN 1 ELSE 0 END) AS BIGINT) AS c, CAST(sum(CASE WHEN n_obs = {W} THEN 0 ELSE 1 END) AS BIGINT) AS i FROM wins)
+        SELECT 'kmeans_distances' AS operation, 15 * 3 * c AS n FROM n UNION ALL SELECT 'dbi_cells', c * {W} + 9 * {W} FROM n UNION ALL SELECT 'dtw_cells', i * 3 * {W * W} FROM n UNION ALL SELECT 'mask_fits', 108 FROM n""",
+    "pair_replacement": f"WITH {INC_SQL}, {_RANK} SELECT ri.series_id, ri.win, ri.cluster, comp_series, comp_win FROM ri JOIN rc ON rc.cluster = ri.cluster AND rc.comp_rank = CAST(floor({unit_sql(H['comp'] + 500, 'ri.series_id', 'ri.win')} * rc.n_comp) AS BIGINT) + 1",
+    "sample_incomplete": f"WITH {Z_SQL}, g AS (SELECT DISTINCT series_id, win FROM zs WHERE NOT complete AND NOT held AND n_obs > 0) SELECT series_id, win FROM g WHERE {math.ceil(1.5 * 300.0 / 0.7)} >= (SELECT count(*) FROM g) OR {draw_sql(H['sample'], 'series_id', 'win')} < {math.ceil(1.5 * 300.0 / 0.7)}::DOUBLE / (SELECT count(*) FROM g) * 4294967296.0",
+    "role_counts": f"{PAIR_SQL} SELECT role, count(*) AS n FROM pairs CROSS JOIN (VALUES ('proj'), ('mask'), ('proj_mask')) r(role) GROUP BY 1",
+    "pattern_features": f"""WITH {INC_SQL}, b AS (SELECT i.series_id, i.win, p.pos, CAST((i.word >> p.pos) & 1 AS INTEGER) AS seen FROM inc i CROSS JOIN {_BITS} p),
+        t AS (SELECT *, lag(seen) OVER (PARTITION BY series_id, win ORDER BY pos) AS prev, pos - row_number() OVER (PARTITION BY series_id, win, seen ORDER BY pos) AS island FROM b),
+        r AS (SELECT series_id, win, island, count(*) AS length FROM t WHERE seen = 0 GROUP BY 1, 2, 3),
+        l AS (SELECT series_id, win, count(*) AS gaps, max(length) AS longest FROM r GROUP BY 1, 2),
+        k AS (SELECT series_id, win, sum(CASE WHEN prev = 0 AND seen = 0 THEN 1 ELSE 0 END) AS a, sum(CASE WHEN prev = 0 AND seen = 1 THEN 1 ELSE 0 END) AS b, sum(CASE WHEN prev = 1 AND seen = 0 THEN 1 ELSE 0 END) AS c, sum(CASE WHEN prev = 1 AND seen = 1 THEN 1 ELSE 0 END) AS d FROM t GROUP BY 1, 2)
+        SELECT k.series_id, k.win, CAST(l.gaps AS INTEGER) AS gaps, CAST(l.longest AS INTEGER) AS longest, concat_ws(',', CAST(a AS BIGINT), CAST(b AS BIGINT), CAST(c AS BIGINT), CAST(d AS BIGINT)) AS transitions FROM k JOIN l ON l.series_id = k.series_id AND l.win = k.win""",
+    "structure_null": _NULL + f" SELECT cluster, count(*) AS n, round(sum(CASE WHEN kl_s < kl_r - 1e-9 THEN 1 ELSE 0 END) / count(*), 6) AS ratio, sum(CASE WHEN kl_s < kl_r - 1e-9 THEN 1 ELSE 0 END) / count(*) > 2 / 3.0 AS kept FROM cmp GROUP BY 1",
+    "missing_levels": f"{_COMPLETE} " + " UNION ALL ".join(f"SELECT '{k}' AS kind, {p}::DOUBLE AS p, round(avg(n / {float(W)}), 4) AS share, count(*) AS windows FROM (SELECT series_id, win, sum(CASE WHEN hidden THEN 1 ELSE 0 END) AS n FROM (SELECT series_id, win, {h} AS hidden FROM whole) GROUP BY 1, 2)" for k, p, h in _levels_sql()),
     "assign_unbounded": f"WITH {INC_SQL} SELECT series_id, win, cluster, round(dist, 4) AS dist FROM inc",
     "waterfill_sizes": f"""WITH {INC_SQL}, n AS (SELECT cluster, count(*) AS n FROM inc GROUP BY 1), lv AS (SELECT max(l) AS l FROM (SELECT unnest(range(0, 20000)) AS l) WHERE (SELECT sum(greatest(0, l - n.n)) FROM n) <= 1000),
         b AS (SELECT n.cluster, greatest(n.n, lv.l) AS base, lv.l FROM n, lv), r AS (SELECT *, 1000 - (SELECT sum(b.base) FROM b) + (SELECT sum(n.n) FROM n) AS rest, row_number() OVER (PARTITION BY base = l ORDER BY cluster) AS k FROM b)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from functools import reduce
 
 import numpy as np
@@ -238,6 +239,41 @@ def assign_first_choice(s, d):
     return incomplete_assigned(s, d).select("series_id", "win", "cluster", F.round("dist", 4).alias("dist"))
 
 
+def denormalised(s, d):
+    """Normalised and back."""
+    return z_wins(s, d).where("n_obs > 0").select("series_id", "win", series.to_text(series.denormalise(F.col("z")), 3).alias("x_text"))
+
+
+def padded(s, d):
+    """Windows that have a reading, the trailing part of the grid kept with gaps."""
+    w = series.described(series.to_windows(slots(s, d), W, "pad"), W)
+    return w.select("series_id", "win", F.col("n_obs").cast("long").alias("n_obs"), "complete")
+
+
+def source_formats(s, d):
+    """Readings written as CSV, JSON, ORC and Parquet, and read with the declared schema."""
+    from ..sources.scratch import scratch_root
+    from ..sources.tables import read_slots
+
+    rows, out = materialise(slots(s, d), "slots"), []
+    for kind in ("csv", "json", "orc", "parquet"):
+        path = f"{scratch_root(s)}/{kind}-{uuid.uuid4().hex[:8]}"
+        rows.write.format(kind).save(path)
+        out.append(read_slots(s, path, kind).agg(F.lit(kind).alias("format"), F.count("value").alias("n"), F.round(F.sum("value"), 2).alias("total")))
+    return reduce(DataFrame.unionByName, out)
+
+
+def sink_partitioned(s, d):
+    """Windows written by completeness and read back, each side from its own partition."""
+    from ..sources.scratch import scratch_root
+    from ..sources.tables import write_windows
+
+    path = f"{scratch_root(s)}/windows-{uuid.uuid4().hex[:8]}"
+    write_windows(wins(s, d), path)
+    back = s.read.parquet(path)
+    return back.where("complete").unionByName(back.where("NOT complete")).groupBy("complete").agg(F.count("*").alias("n"), F.sum("n_obs").alias("observed"))
+
+
 def embedding_complete(s, d):
     e = series.normalise(series.described(embedding_windows(s, d), 64))
     return e.select("series_id", F.col("n_obs").cast("long").alias("n_obs"), "complete", F.round("mu", 5).alias("mu"), F.round("sd", 5).alias("sd"))
@@ -252,6 +288,10 @@ QUERIES = {
     "window_masks": window_masks,
     "zscore_windows": zscore_windows,
     "zscore_series": zscore_series,
+    "zscore_inverse": denormalised,
+    "windows_tail_pad": padded,
+    "source_formats": source_formats,
+    "sink_partitioned": sink_partitioned,
     "lloyd_two_steps": lloyd_two_steps,
     "assign_complete": assign_complete,
     "dbi_pairs": dbi_pairs,
@@ -280,6 +320,10 @@ ORACLES = {
     "zscore_windows": f"WITH {Z_SQL} SELECT series_id, win, round(max(mu), 6) AS mu, round(max(sd), 6) AS sd, string_agg(coalesce(CAST(CAST(round(z * 1000) AS BIGINT) AS VARCHAR), '-'), ',' ORDER BY pos) AS z_text FROM zs WHERE n_obs > 0 GROUP BY 1, 2",
     "zscore_series": f"""WITH {windows_sql(A)}, t AS (SELECT series_id, avg(value) AS mu, stddev_pop(value) AS sd FROM grid GROUP BY 1)
         SELECT g.series_id, g.win, round(max(t.mu), 4) AS mu, round(max(t.sd), 4) AS sd, round(sum((g.value - t.mu) / t.sd), 3) AS z_sum FROM grid g JOIN t ON t.series_id = g.series_id GROUP BY 1, 2 HAVING count(g.value) = {W}""",
+    "zscore_inverse": f"WITH {Z_SQL} SELECT series_id, win, string_agg(coalesce(CAST(CAST(round(value * 1000) AS BIGINT) AS VARCHAR), '-'), ',' ORDER BY pos) AS x_text FROM zs WHERE n_obs > 0 GROUP BY 1, 2",
+    "windows_tail_pad": f"WITH {slots_sql(A)} SELECT series_id, slot // {W} AS win, count(*) AS n_obs, count(*) = {W} AS complete FROM slots GROUP BY 1, 2",
+    "source_formats": f"WITH {slots_sql(A)} SELECT format, count(*) AS n, round(sum(value), 2) AS total FROM slots, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) f(format) GROUP BY 1",
+    "sink_partitioned": f"WITH {windows_sql(A)} SELECT n_obs = {W} AS complete, count(*) AS n, CAST(sum(n_obs) AS BIGINT) AS observed FROM wins GROUP BY 1",
     "lloyd_two_steps": f"WITH {CLUSTER_SQL} SELECT CAST(cluster AS BIGINT) AS cluster, CAST(pos AS BIGINT) AS pos, round(c, 4) AS c FROM c2",
     "assign_complete": f"WITH {CLUSTER_SQL} SELECT series_id, win, CAST(cluster AS BIGINT) AS cluster, round(dist, 4) AS dist FROM a2",
     "dbi_pairs": f"WITH {CLUSTER_SQL}{_SCATTER} SELECT CAST(i AS BIGINT) AS i, CAST(j AS BIGINT) AS j, round(similarity, 4) AS similarity FROM ({_SIM})",
