@@ -169,18 +169,23 @@ def _ask(blocks: DataFrame, ranges: int) -> DataFrame:
     return blocks.mapInArrow(run, "range int, block long, n long, keys binary, counts binary")
 
 
-def _answer(table: pa.Table) -> pa.Table:
-    rows = sorted(table.to_pylist(), key=lambda r: r["block"])
-    keys = np.concatenate([unpack_sorted(r["keys"], r["n"]) for r in rows])
-    distinct, where = np.unique(keys, return_inverse=True)
-    totals = np.zeros(len(distinct), dtype=np.int64)
-    np.add.at(totals, where, np.concatenate([unpack(r["counts"], r["n"]) for r in rows]).astype(np.int64))
-    mine, at, out = totals[where], 0, []
-    for r in rows:
-        out.append((r["range"], r["block"], r["n"], pack(mine[at : at + r["n"]])))
-        at += r["n"]
-    columns = [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.int64(), pa.int64(), pa.binary()), strict=True)]
-    return pa.Table.from_arrays(columns, names=["range", "block", "n", "totals"])
+def _answerer(shared_only: bool):
+    def answer(table: pa.Table) -> pa.Table:
+        """One range's totals, for each block in its own order; 2 stands for any above 1 where only that is asked."""
+        rows = sorted(table.to_pylist(), key=lambda r: r["block"])
+        keys = np.concatenate([unpack_sorted(r["keys"], r["n"]) for r in rows])
+        distinct, where = np.unique(keys, return_inverse=True)
+        totals = np.zeros(len(distinct), dtype=np.int64)
+        np.add.at(totals, where, np.concatenate([unpack(r["counts"], r["n"]) for r in rows]).astype(np.int64))
+        totals = np.minimum(totals, 2) if shared_only else totals
+        mine, at, out = totals[where], 0, []
+        for r in rows:
+            out.append((r["range"], r["block"], r["n"], pack(mine[at : at + r["n"]])))
+            at += r["n"]
+        columns = [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.int64(), pa.int64(), pa.binary()), strict=True)]
+        return pa.Table.from_arrays(columns, names=["range", "block", "n", "totals"])
+
+    return answer
 
 
 def choose_prefix(frequency: np.ndarray, n: int, percent: int, most_l: int, costly: int) -> tuple[int, int, np.ndarray] | None:
@@ -208,11 +213,11 @@ def choose_prefix(frequency: np.ndarray, n: int, percent: int, most_l: int, cost
     return best + 1, int(m[best]), np.flatnonzero((part > 1) & (part <= costly))
 
 
-def _informed(blocks: DataFrame, keys_per_range: int) -> DataFrame:
-    """``blocks`` with answers: the document frequency of every key among the living nodes of all blocks."""
+def _informed(blocks: DataFrame, keys_per_range: int, shared_only: bool = False) -> DataFrame:
+    """``blocks`` with answers: the document frequency of every key among the living nodes of all blocks, or whether it is above 1."""
     total = int(blocks.agg(F.sum("keys")).first()[0] or 0)
     ranges = max(int(blocks.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // keys_per_range))
-    answers = materialise(_ask(blocks, ranges).groupBy("range").applyInArrow(_answer, "range int, block long, n long, totals binary"), "frequencies")
+    answers = materialise(_ask(blocks, ranges).groupBy("range").applyInArrow(_answerer(shared_only), "range int, block long, n long, totals binary"), "frequencies")
     given = answers.groupBy("block").agg(F.collect_list(F.struct("range", "n", "totals")).alias("answers"))
     return blocks.join(given.hint("merge"), "block")
 
@@ -234,7 +239,7 @@ def survivors(blocks: DataFrame, percent: int, keys_per_range: int) -> DataFrame
                 if alive:
                     yield pa.record_batch([pa.array([row["block"]], pa.int64()), pa.array([alive], pa.list_(pa.int64()))], names=["block", "alive"])
 
-    return materialise(_informed(blocks, keys_per_range).mapInArrow(run, "block long, alive array<long>"), "alive")
+    return materialise(_informed(blocks, keys_per_range, True).mapInArrow(run, "block long, alive array<long>"), "alive")
 
 
 def postings(blocks: DataFrame, percent: int, most_l: int, costly: int, keys_per_range: int) -> DataFrame:
@@ -352,7 +357,7 @@ def similar_groups(
     # document's keys, of the lists left, that come before its own, so the join gives a pair at most once: where it
     # shares the last of as many as it must. Shingles of a document that fall together under one key are asked for once.
     own = lists.groupBy(F.col("node").alias("_own")).agg(F.array_sort(F.collect_set("key")).alias("keys"), F.count("*").alias("posted"))
-    full = lists.join(own, lists["node"] == own["_own"]).withColumn("before", F.expr("slice(keys, 1, cast(array_position(keys, key) as int) - 1)"))
+    full = lists.join(own.hint("merge"), lists["node"] == own["_own"]).withColumn("before", F.expr("slice(keys, 1, cast(array_position(keys, key) as int) - 1)"))
     full = full.withColumn("m", F.greatest(F.lit(1), F.col("m") - (F.col("posted") - F.size("keys"))).cast("int"))
     full = materialise(full.drop("_own", "weight", "keys", "posted"), "keyed")
     side = lambda mark: full.select(*[F.col(c).alias(f"{c}{mark}") for c in ("key", "node", "n", "s", "l", "m", "component", "before")])
@@ -366,7 +371,7 @@ def similar_groups(
     components = connected_components(links.unionByName(found))
 
     grouped = materialise(_labelled(named, components).select(F.col("signature").alias("_signature"), "component"), "components")
-    rows = table.select("doc_id", "n", "signature").join(grouped, (F.col("signature") == F.col("_signature")) & (F.col("n") > 0), "left")
+    rows = table.select("doc_id", "n", "signature").join(grouped.hint("merge"), (F.col("signature") == F.col("_signature")) & (F.col("n") > 0), "left")
     shown = lambda c: F.nullif(c, F.lit(NO_ID))
     return rows.select(shown(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), shown(F.coalesce("component", "doc_id")).alias("component_id"))
 
