@@ -263,35 +263,23 @@ def test_gru_gradients():
         assert g[name][where] == pytest.approx((up - down) / 2e-5, rel=2e-3, abs=1e-7)
 
 
-def test_windows_label_each_byte_once():
-    ends = np.cumsum([0, 5, 224, 225, 1000, 0, 448])
-    doc, begin, end, start, stop = language_id.windows(ends)
-    seen = np.zeros(ends[-1], dtype=int)
-    for a, b in zip(start, stop):
-        seen[a:b] += 1
-    assert (seen == 1).all() and (begin <= start).all() and (end >= stop).all()
-    assert all(([0, *ends][d] <= a) and (b <= ends[d]) for d, a, b in zip(doc, begin, end))
-    assert (start - begin)[1:].max() == language_id.CONTEXT
-
-
 def test_language_pools_all_positions():
-    """The map's result equals a plain pass over every window, position by position, alone or in any batch."""
+    """The map's result equals a plain pass over every word, position by position, alone or in any batch."""
     m = language_id.ByteGru.new(["a", "b", "c"], hidden=5, seed=9)
     r = random.Random(1)
-    texts = ["".join(r.choice("abcdé 世ß\n") for _ in range(n)) for n in (1, 7, 40, 300, 900)] + [None, "", "12 ..."]
-    got = language_id.label_documents(m, texts)
-    assert got[5:] == [("und", 0.0)] * 3
-    for text, (lang, score) in zip(texts[:5], got):
-        raw, total = text.encode().lower(), np.zeros(3)
-        for at in range(0, len(raw), 224):
-            a, b = max(0, at - 16), min(len(raw), min(len(raw), at + 224) + 16)
-            window = raw[a:b] + b" " * (-(b - a) % 16)
-            prob = m.positions(np.frombuffer(window, dtype=np.uint8)[:, None])[:, 0]
-            total += np.log(prob[at - a : min(len(raw), at + 224) - a].astype(float)).sum(axis=0)
-        mean = total / len(raw) * min(len(raw), 24)
+    texts = ["".join(r.choice("abcdé 世ß\n") for _ in range(n)) for n in (7, 40, 300, 900)] + [None, "", "12 ..."]
+    got = language_id.Labeller(m).documents(texts)
+    assert got[4:] == [("und", 0.0)] * 3
+    for text, (lang, score) in zip(texts[:4], got):
+        total, places = np.zeros(3), 0
+        for word in text.lower().encode().split():
+            for i in range(0, len(word), 30):
+                prob = m.positions(np.frombuffer(b" " + word[i : i + 30] + b" ", dtype=np.uint8)[:, None])[:, 0]
+                total, places = total + np.log(prob.astype(float)).sum(axis=0), places + len(prob)
+        mean = total / places * min(places, 24)
         e = np.exp(mean - mean.max())
         assert lang == "abc"[int(mean.argmax())] and score == pytest.approx(float(e.max() / e.sum()), rel=1e-3)
-        alone = language_id.label_documents(m, [text])[0]
+        alone = language_id.Labeller(m).documents([text])[0]
         assert alone[0] == lang and alone[1] == pytest.approx(score, rel=1e-5)
 
 
