@@ -80,4 +80,5 @@ def transition_features(words: Column, w: int) -> Column:
     """Counts of the four slot-to-slot transitions (present or missing to present or missing)."""
     pair = lambda i: F.getbit(F.element_at(words, (i / 64).cast("int") + 1), (i % 64).cast("int")).cast("int")
     kinds = F.transform(F.sequence(F.lit(1), F.lit(w - 1)), lambda i: pair(i - 1) * 2 + pair(i))
-    return F.array(*[F.size(F.filter(kinds, lambda k, t=t: k == t)) for t in range(4)])
+    count = lambda t: F.size(F.filter(kinds, lambda k: k == t))
+    return F.array(*[count(t) for t in range(4)])

@@ -266,12 +266,11 @@ def source_formats(s, d):
 def sink_partitioned(s, d):
     """Windows written by completeness and read back, each side from its own partition."""
     from ..sources.scratch import scratch_root
-    from ..sources.tables import write_windows
+    from ..sources.tables import read_windows, write_windows
 
     path = f"{scratch_root(s)}/windows-{uuid.uuid4().hex[:8]}"
     write_windows(wins(s, d), path)
-    back = s.read.parquet(path)
-    return back.where("complete").unionByName(back.where("NOT complete")).groupBy("complete").agg(F.count("*").alias("n"), F.sum("n_obs").alias("observed"))
+    return read_windows(s, path, True).unionByName(read_windows(s, path, False)).groupBy("complete").agg(F.count("*").alias("n"), F.sum("n_obs").alias("observed"))
 
 
 def embedding_complete(s, d):

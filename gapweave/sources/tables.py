@@ -21,6 +21,6 @@ def write_windows(df: DataFrame, path: str, format_: str = "parquet", mode: str
     df.write.mode(mode).partitionBy("complete").format(format_).save(path)
 
 
-def write_noop(df: DataFrame) -> None:
-    """Run a plan without keeping its rows, for timing."""
-    df.write.format("noop").mode("overwrite").save()
+def read_windows(spark: SparkSession, path: str, complete: bool, format_: str = "parquet") -> DataFrame:
+    """One side of what ``write_windows`` wrote, from its own partition."""
+    return spark.read.format(format_).load(path).where(F.col("complete") == F.lit(str(complete).lower())).withColumn("complete", F.lit(complete))
