@@ -327,8 +327,11 @@ def similar_groups(
     nodes = table.where("n > 0").groupBy("signature").agg(F.min(F.struct("doc_id", "n", "prefix")).alias("r")).select("signature", F.col("r.doc_id").alias("node"), F.col("r.n").alias("n"), F.col("r.prefix").alias("prefix"))
     prefixes = _store(node_blocks(nodes, block_keys), "nodes", "zstd")
     named = prefixes.select(F.explode(F.arrays_zip("signatures", "ids")).alias("z")).select(F.col("z.signatures").alias("signature"), F.col("z.ids").alias("node"))
-    # Who may have a partner is asked of prefixes first, then of the whole sets of those left, among themselves.
-    stored = candidate_sets(docs, survivors(prefixes, percent, keys_per_range), width, block_keys)
+    # Who may have a partner is asked of prefixes first, twice, as what was shared only with those that fell is no longer
+    # shared; then of the whole sets of those left, among themselves.
+    alive = survivors(prefixes, percent, keys_per_range)
+    alive = survivors(prefixes.join(alive.hint("merge"), "block"), percent, keys_per_range)
+    stored = candidate_sets(docs, alive, width, block_keys)
     sets = stored.select(F.explode(F.arrays_zip("ids", "prefixes")).alias("z")).select(F.col("z.ids").alias("node"), F.col("z.prefixes").alias("shingles"))
     living = stored.join(survivors(stored, percent, keys_per_range).hint("merge"), "block")
     posted = postings(living, percent, most_l, costly, keys_per_range)
