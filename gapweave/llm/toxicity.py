@@ -2,7 +2,8 @@
 
 Grades are 0 (not toxic), 1 (mild) and 2 (severe). One weight vector is shared by all thresholds:
 P(grade > k) = sigmoid(w.x - theta_k), with theta_0 < theta_1. Features are words and word beginnings of four and
-five letters, valued 1 + ln(count); only those that tell the labelled classes apart are kept. The labels table is
+five letters, valued 1 + ln(count); only those that tell the labelled classes apart are kept, by a cutoff chosen on a
+third of the labelled texts that a trial fit leaves out. The labels table is
 binary, so labelled toxic texts are graded by their dose: those whose number of indicative features per word is
 above the median of the labelled toxic texts are severe.
 
@@ -18,6 +19,8 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -69,44 +72,23 @@ class OrdinalModel:
         return [1.0 / (1.0 + math.exp(min(700.0, t - m))) for t in self.thresholds]
 
 
-def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, least_z: float = 2.0, most_features: int = 20000, l2: float = 0.5, steps: int = 400, rate: float = 0.1) -> OrdinalModel:
-    """Fit by full-batch Adam on the penalised likelihood. Without both classes the model is empty."""
-    y = np.array(toxic, dtype=int)
-    n1, n0 = int(y.sum()), int((1 - y).sum())
-    if not n1 or not n0:
-        return OrdinalModel()
-    df1, df0 = Counter(), Counter()
-    for text, t in zip(texts, toxic, strict=True):  # features are found again below: holding those of all texts takes much memory
-        (df1 if t else df0).update(features(text).keys())
-    scored = []
-    for f in df1.keys() | df0.keys():
-        a, b = df1[f], df0[f]
+def _told_apart(parts: list[tuple[Counter[str], Counter[str]]], n1: int, n0: int, least_df: int, least_z: float, most: int) -> dict[str, tuple[float, bool]]:
+    """Features whose share differs between the classes: |z| of the difference, and whether it points to toxic texts alone."""
+    found = []
+    for f in set().union(*(c.keys() for part in parts for c in part)):
+        b, a = (sum(part[t][f] for part in parts) for t in (0, 1))
         if a + b < least_df:
             continue
         p = (a + b) / (n1 + n0)
         z = (a / n1 - b / n0) / math.sqrt(max(p * (1 - p), 1e-12) * (1 / n1 + 1 / n0))
         if abs(z) >= least_z:
-            scored.append((-abs(z), f, z))
-    kept = sorted(scored)[:most_features]
-    if not kept:
-        return OrdinalModel()
-    column = {f: j for j, (_, f, _) in enumerate(kept)}
-    indicative = {f for _, f, z in kept if z > 0 and df1[f] / n1 > 4 * df0[f] / n0}
-    del df1, df0, scored
+            found.append((-abs(z), f, z > 0 and a / n1 > 4 * b / n0))
+    return {f: (-z, marks) for z, f, marks in sorted(found)[:most]}
 
-    dose, rows, cols, values = np.zeros(len(texts)), [], [], []
-    for i, text in enumerate(texts):
-        found = features(text)
-        dose[i] = sum(n for f, n in found.items() if f in indicative) / max(1, sum(found.values()))
-        for f, n in found.items():
-            if f in column:
-                rows.append(i)
-                cols.append(column[f])
-                values.append(1.0 + math.log(n))
-    middle = float(np.median(dose[y == 1]))
-    grade = np.where(y == 1, np.where(dose > middle, 2, 1), 0)
-    r, j, v = np.array(rows, dtype=int), np.array(cols, dtype=int), np.array(values)
-    n, m = len(texts), len(column)
+
+def _solve(r: np.ndarray, j: np.ndarray, v: np.ndarray, grade: np.ndarray, m: int, l2: float, steps: int, rate: float) -> tuple[np.ndarray, tuple[float, float]]:
+    """Weights of ``m`` features and both thresholds: full-batch Adam on the penalised likelihood of (row, feature, value) entries."""
+    n = len(grade)
     w, cut = np.zeros(m), np.array([1.0, 0.0])  # theta_0 and log(theta_1 - theta_0)
     moment, square = [np.zeros(m), np.zeros(2)], [np.zeros(m), np.zeros(2)]
     for step in range(1, steps + 1):
@@ -124,7 +106,70 @@ def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, le
             moment[k] = 0.9 * moment[k] + 0.1 * g
             square[k] = 0.999 * square[k] + 0.001 * g * g
             x -= rate * (moment[k] / (1 - 0.9**step)) / (np.sqrt(square[k] / (1 - 0.999**step)) + 1e-8)
-    return OrdinalModel({f: float(w[k]) for f, k in column.items()}, (float(cut[0]), float(cut[0] + math.exp(cut[1]))))
+    return w, (float(cut[0]), float(cut[0] + math.exp(cut[1])))
+
+
+def fit_ordinal(texts: list[str | None], toxic: list[int], least_df: int = 4, cutoffs: tuple[float, ...] = (2.0, 2.5, 3.0, 3.5, 4.0), most_features: int = 20000, l2: float = 0.5, steps: int = 400, rate: float = 0.1) -> OrdinalModel:
+    """Fit on features whose z reaches a cutoff. Without both classes the model is empty.
+
+    The cutoff is chosen inside: a third of the texts, drawn by their digests, is put aside, and that cutoff is taken whose
+    fit on the others, features included, gives the third the greatest likelihood of being toxic or not (the higher one on
+    ties). Where either part lacks a class the lowest is taken. The model is then fitted on all texts.
+    """
+    y = np.array(toxic, dtype=int)
+    if not y.sum() or y.all():
+        return OrdinalModel()
+    aside = np.array([zlib.crc32((t or "").encode()) % 3 == 0 for t in texts], dtype=bool)
+    counts = {k: (Counter(), Counter()) for k in (False, True)}
+    for text, t, k in zip(texts, toxic, aside.tolist(), strict=True):  # features are found again below: holding those of all texts takes much memory
+        counts[k][t].update(features(text).keys())
+    classes = lambda rows: (int(y[rows].sum()), int((1 - y[rows]).sum()))
+    least = min(cutoffs)
+    every = np.ones(len(y), dtype=bool)
+    whole = _told_apart([counts[False], counts[True]], *classes(every), least_df, least, most_features)
+    chooses = len(cutoffs) > 1 and all(n for rows in (aside, ~aside) for n in classes(rows))
+    rest = _told_apart([counts[False]], *classes(~aside), least_df, least, most_features) if chooses else {}
+    del counts
+    if not whole:
+        return OrdinalModel()
+    column = {f: j for j, f in enumerate(dict.fromkeys([*whole, *rest]))}
+    r, j, n, total = array("q"), array("q"), array("q"), np.zeros(len(y))
+    for i, text in enumerate(texts):
+        found = features(text)
+        total[i] = max(1, sum(found.values()))
+        for f, k in found.items():
+            if f in column:
+                r.append(i)
+                j.append(column[f])
+                n.append(k)
+    r, j, n = (np.array(x, dtype=np.int64) for x in (r, j, n))
+
+    def solve(rows: np.ndarray, chosen: dict[str, tuple[float, bool]], cutoff: float) -> tuple[dict[str, float], tuple[float, float], np.ndarray]:
+        """Weights by feature, thresholds, and the margins of all texts, from a fit on some rows and the features above a cutoff."""
+        kept = [f for f, (z, _) in chosen.items() if z >= cutoff]
+        place = np.full(len(column), -1)
+        place[[column[f] for f in kept]] = np.arange(len(kept))
+        use = place[j] >= 0
+        marks = np.array([chosen[f][1] for f in kept], dtype=bool)
+        dose = np.bincount(r[use], n[use] * marks[place[j[use]]], len(y)) / total
+        severe = dose > np.median(dose[rows & (y == 1)])
+        grade = np.where(y == 1, np.where(severe, 2, 1), 0)[rows]
+        here = use & rows[r]
+        w, theta = _solve((np.cumsum(rows) - 1)[r[here]], place[j[here]], 1.0 + np.log(n[here]), grade, len(kept), l2, steps, rate)
+        return dict(zip(kept, map(float, w), strict=True)), theta, np.bincount(r[use], (1.0 + np.log(n[use])) * w[place[j[use]]], len(y))
+
+    best = least
+    if chooses:
+        gained = []
+        for cutoff in cutoffs:
+            if not any(z >= cutoff for z, _ in rest.values()) or not any(z >= cutoff for z, _ in whole.values()):
+                continue
+            _, theta, margin = solve(~aside, rest, cutoff)
+            sign = np.where(y[aside] == 1, 1.0, -1.0)
+            gained.append((float(-np.logaddexp(0.0, -sign * (margin[aside] - theta[0])).sum()), cutoff))
+        best = max(gained, default=(0.0, least))[1]
+    weights, theta, _ = solve(every, whole, best)
+    return OrdinalModel(weights, theta)
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = 3000) -> OrdinalModel:

@@ -326,6 +326,26 @@ def test_severity_equals_its_formula(docs, plain):
     assert all(got[i] == {(0.0, 0.0, 0.0, 0)} for i in (1, 2, 3, 9))
 
 
+def test_the_cutoff_is_chosen_on_what_a_trial_leaves_out():
+    """By hand: of single cutoffs, fitted without the third put aside, the one that tells that third best; then all texts."""
+    import pyarrow.parquet as pq
+
+    text = {r["doc_id"]: r["text"] for r in pq.read_table("/root/testdata/sf0.01/documents.parquet").to_pylist()}
+    rows = [(text[r["doc_id"]], r["toxic"]) for r in pq.read_table("/root/testdata/sf0.01/labels.parquet").to_pylist() if r["toxic"] is not None and text.get(r["doc_id"])]
+    third = [r for r in rows if zlib.crc32(r[0].encode()) % 3 == 0]
+    others = [r for r in rows if zlib.crc32(r[0].encode()) % 3 != 0]
+    score = {}
+    for z in (2.0, 3.0, 5.0):
+        m = toxicity.fit_ordinal(*zip(*others), cutoffs=(z,))
+        chance = [1 / (1 + math.exp(m.thresholds[0] - (m.margin(t) or 0.0))) for t, _ in third]
+        score[z] = sum(math.log(c if toxic else 1 - c) for c, (_, toxic) in zip(chance, third))
+    best = max(score, key=score.get)
+    got, want = toxicity.fit_ordinal(*zip(*rows), cutoffs=(2.0, 3.0, 5.0)), toxicity.fit_ordinal(*zip(*rows), cutoffs=(best,))
+    assert got.weights == want.weights and got.thresholds == want.thresholds and got.weights
+    few = [("scum scum", 1), ("sun sea", 0)] * 4  # equal texts fall on one side: nothing to choose by
+    assert toxicity.fit_ordinal(*zip(*few)).weights == toxicity.fit_ordinal(*zip(*few), cutoffs=(2.0,)).weights
+
+
 def test_toxicity_held_out():
     """Fitted on two thirds of the labelled rows, the others are told apart."""
     import pyarrow.parquet as pq
