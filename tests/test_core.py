@@ -475,3 +475,19 @@ def test_itertools_paths_cover_small_cases():
             y = np.array([2.0 if b else np.nan for b in bits[n:]])
             a, b = float(gap_dtw(x, y)), paths_reference(x, y)
             assert (math.isnan(a) and math.isnan(b)) or a == pytest.approx(b)
+
+
+# ---- clusters above what one group holds ----------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("learner", ["gaussian", "attention", "linear_diffusion"])
+def test_sweep_of_large_clusters_uses_all_pairs(spark, learner):
+    r = np.random.default_rng(5)
+    rows = [(i % 2, str(i), 0, [float(v) for v in np.sin(np.arange(8) + i % 7) + 0.1 * r.normal(size=8)], [int(r.integers(1, 255))]) for i in range(1200)]
+    pairs = spark.createDataFrame(rows, "cluster int, series_id string, win long, z array<double>, words array<bigint>")
+    sweep = lambda df, **options: {(x.cluster, x.step, x.run): x for x in minmask.sweep_masks(df, 8, learner, [0.1, 0.3], 2, **options).collect()}
+    one, many, dealt = sweep(pairs), sweep(pairs, group=100), sweep(pairs.repartition(7), group=100)
+    assert set(one) == set(many) and {x.n for x in many.values()} == {600}
+    for k, x in many.items():
+        assert x.oracle == pytest.approx(one[k].oracle, rel=0.5) and x.projected == pytest.approx(one[k].projected, rel=0.5)
+        assert (x.oracle, x.projected) == pytest.approx((dealt[k].oracle, dealt[k].projected), rel=1e-6)  # draws are a window's own
