@@ -491,3 +491,18 @@ def test_sweep_of_large_clusters_uses_all_pairs(spark, learner):
     for k, x in many.items():
         assert x.oracle == pytest.approx(one[k].oracle, rel=0.5) and x.projected == pytest.approx(one[k].projected, rel=0.5)
         assert (x.oracle, x.projected) == pytest.approx((dealt[k].oracle, dealt[k].projected), rel=1e-6)  # draws are a window's own
+
+
+def test_large_clusters_are_fitted_by_sums(spark):
+    from gapweave.plans.pipeline import fit_clusters
+
+    r = np.random.default_rng(6)
+    y = np.sin(np.arange(8) + r.integers(0, 5, (400, 1))) + 0.1 * r.normal(size=(400, 8))
+    x = np.where(r.random(y.shape) < 0.3, np.nan, y)
+    rows = [(int(i >= 300), str(i), 0, m, [None if math.isnan(v) else float(v) for v in x[i]], [float(v) for v in y[i]]) for i in range(400) for m in ("gaussian", "bidirectional")]
+    training = spark.createDataFrame(rows, "cluster int, series_id string, win long, learner string, x_in array<double>, y array<double>")
+    read = lambda df: {(m.cluster, m.kind): unpack_params(m.params) for m in df.collect()}
+    one, many = read(fit_clusters(training)), read(fit_clusters(training, max_group=40))  # 300 rows are above 3 * 40, 100 are not
+    assert set(one) == set(many) and len(one) == 4
+    for (c, kind), params in many.items():
+        assert np.abs(LEARNERS[kind].predict(params, x) - LEARNERS[kind].predict(one[c, kind], x)).max() < 1e-6
