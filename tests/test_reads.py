@@ -10,7 +10,7 @@ from gapweave import catalog
 from gapweave.operators import minmask
 from tests.test_twins import plain
 
-MOVED = ["mask_argmin", "mask_last_within"]
+MOVED = ["mask_argmin", "mask_last_within", "mask_search_rule"]
 
 
 @pytest.mark.parametrize("name", MOVED)
