@@ -10,7 +10,7 @@ from gapweave import catalog
 from gapweave.operators import minmask
 from tests.test_twins import plain
 
-MOVED = ["mask_argmin", "mask_last_within", "mask_search_rule", "mask_schedule", "sample_need"]
+MOVED = ["mask_argmin", "mask_last_within", "mask_search_rule", "mask_schedule", "sample_need", "sql_surface"]
 
 
 @pytest.mark.parametrize("name", MOVED)
