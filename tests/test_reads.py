@@ -7,10 +7,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from gapweave import catalog
-from gapweave.operators import minmask
+from gapweave.operators import minmask, series
 from tests.test_twins import plain
 
-MOVED = ["mask_argmin", "mask_last_within", "mask_search_rule", "mask_schedule", "sample_need", "sql_surface"]
+MOVED = ["mask_argmin", "mask_last_within", "mask_search_rule", "mask_schedule", "sample_need", "sql_surface", "worked_example"]
 
 
 @pytest.mark.parametrize("name", MOVED)
@@ -25,6 +25,13 @@ def test_reads_the_line_items(spark, data, name):
     assert sorted((tuple(map(str, (plain(r[c]) for c in cols))) for r in df.collect()), key=repr) == want and want
 
 
+def test_literal_row_of_nineteen_slots(spark):
+    x = [10, None, 7, None, 6, 8, None, None, 14, 12, None, 9, 8, 7, None, 10, 13, None, 14]
+    df = spark.createDataFrame([("1", 0, [None if v is None else float(v) for v in x])], "series_id string, win long, x array<double>")
+    r = series.described(df, 19).first()
+    assert (r.n_obs, r.words[0]) == (12, sum(1 << i for i, v in enumerate(x) if v is not None))
+
+
 TRACE = [(0, 0, 0.01, 0.5, 0.2), (0, 1, 0.02, 0.1, 0.2), (0, 2, 0.04, 0.15, 0.2), (0, 3, 0.08, 0.6, 0.2), (1, 0, 0.01, 0.9, 0.1), (1, 1, 0.02, 0.4, 0.1), (1, 2, 0.04, 0.4, 0.1), (2, 0, 0.01, 0.05, 0.1), (2, 1, 0.02, 0.05, 0.1), (2, 2, 0.04, 0.3, 0.1)]
 
 
